@@ -3,12 +3,16 @@
 from __future__ import annotations
 
 from .byte_bpe import op7_byte_bpe
+from .decontaminate import op5_decontamination
+from .language import op8_language_id
 from .secrets import op4_secret_scan
 
 
 def queries() -> dict:
     return {
         "op7_byte_bpe": op7_byte_bpe,
+        "op5_decontamination": op5_decontamination,
+        "op8_language_id": op8_language_id,
         "op4_secret_scan": op4_secret_scan,
     }
 

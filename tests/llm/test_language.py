@@ -1,0 +1,52 @@
+import numpy as np
+from freshview.llm import language as L
+from freshview.llm.common import table
+
+
+def plain_viterbi(scores, penalty):
+    best, back = np.zeros(scores.shape[1], np.float32), []
+    for s in scores:
+        top = int(best.argmax())
+        stay = best >= best[top] - np.float32(penalty)
+        back.append(np.where(stay, np.arange(len(best)), top))
+        best = np.where(stay, best, best[top] - np.float32(penalty)) + s
+    out = [int(best.argmax())]
+    for b in back[::-1]:
+        out.append(int(b[out[-1]]))
+    return out[-2::-1]
+
+
+def test_blocks_equal_plain_viterbi():
+    rng = np.random.default_rng(1)
+    sizes = [0, 1, 7, 8, 9, 40, 3, 0, 100]
+    bounds = np.concatenate(([0], np.cumsum(sizes)))
+    scores = (rng.integers(-5, 5, (bounds[-1], 3)) / 2).astype(np.float32)
+    got = L.viterbi(scores, bounds, 2.0, block=8)
+    for a, b in zip(bounds, bounds[1:]):
+        if a == b:
+            continue
+        want = plain_viterbi(scores[a:b], 2.0)
+        value = lambda path: sum(scores[a + i][x] for i, x in enumerate(path)) - 2.0 * sum(x != y for x, y in zip(path, path[1:]))
+        assert abs(value(got[a:b].tolist()) - value(want)) < 1e-3
+
+
+def test_held_out_accuracy_and_edges(spark):
+    docs = table(spark, "/root/testdata/sf0.01", "documents")
+    rows = L.op8_language_id(spark, "/root/testdata/sf0.01").join(docs.select("doc_id", "lang", "text"), "doc_id").collect()
+    assert len(rows) == docs.count()
+    held = [r for r in rows if r.held_out and r.lang and r.lang_pred != "und"]
+    assert sum(r.lang == r.lang_pred for r in held) / len(held) > 0.95
+    model = L.train_on_documents(docs)
+    text = {r.lang: r.text for r in rows if r.text and 400 < len(r.text) < 3000}
+    mixed = text["en"] + " " + text["de"]
+    odd = [(0, None, "a"), (1, "", "a"), (2, "123 !!", "a"), (3, mixed, "a"), (3, mixed, "b"), (4, "x" * 200_000, "a"), (5, "русский текст", "a")]
+    df = spark.createDataFrame(odd, "doc_id long, text string, score string")
+    got = {(r.doc_id): r for r in L.identify(df, model, spans=True).collect()}
+    assert [got[i].lang_pred for i in range(3)] == ["und"] * 3 and got[0].text is None
+    langs = [s.lang for s in got[3].lang_spans]
+    assert langs[0] == "en" and langs[-1] == "de" and len(langs) <= 4
+    cut = got[3].lang_spans[0].end
+    assert abs(cut - len(text["en"])) < 60
+    assert got[4].lang_pred in model.langs and 0 <= got[4].score <= 1
+    empty = L.train(docs.limit(0))
+    assert {r.lang_pred for r in L.identify(df, empty).collect()} == {"und"}
