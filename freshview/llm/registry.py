@@ -5,6 +5,7 @@ from __future__ import annotations
 from .byte_bpe import op7_byte_bpe
 from .decontaminate import op5_decontamination
 from .language import op8_language_id
+from .ngram_join import op2_ngram_join
 from .secrets import op4_secret_scan
 
 
@@ -13,6 +14,7 @@ def queries() -> dict:
         "op7_byte_bpe": op7_byte_bpe,
         "op5_decontamination": op5_decontamination,
         "op8_language_id": op8_language_id,
+        "op2_ngram_join": op2_ngram_join,
         "op4_secret_scan": op4_secret_scan,
     }
 
