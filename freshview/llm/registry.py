@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from .byte_bpe import op7_byte_bpe
 from .decontaminate import op5_decontamination
+from .kd_shards import op10_kd_shards
 from .language import op8_language_id
 from .ngram_join import op2_ngram_join
 from .secrets import op4_secret_scan
@@ -15,6 +16,7 @@ def queries() -> dict:
         "op5_decontamination": op5_decontamination,
         "op8_language_id": op8_language_id,
         "op2_ngram_join": op2_ngram_join,
+        "op10_kd_shards": op10_kd_shards,
         "op4_secret_scan": op4_secret_scan,
     }
 
