@@ -7,6 +7,7 @@ from .decontaminate import op5_decontamination
 from .kd_shards import op10_kd_shards
 from .language import op8_language_id
 from .ngram_join import op2_ngram_join
+from .page_text import op1_page_text
 from .secrets import op4_secret_scan
 
 
@@ -17,6 +18,7 @@ def queries() -> dict:
         "op8_language_id": op8_language_id,
         "op2_ngram_join": op2_ngram_join,
         "op10_kd_shards": op10_kd_shards,
+        "op1_page_text": op1_page_text,
         "op4_secret_scan": op4_secret_scan,
     }
 
