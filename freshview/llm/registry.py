@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from .avi_clips import op6_avi_clips
 from .byte_bpe import op7_byte_bpe
 from .decontaminate import op5_decontamination
 from .kd_shards import op10_kd_shards
@@ -19,6 +20,7 @@ def queries() -> dict:
         "op2_ngram_join": op2_ngram_join,
         "op10_kd_shards": op10_kd_shards,
         "op1_page_text": op1_page_text,
+        "op6_avi_clips": op6_avi_clips,
         "op4_secret_scan": op4_secret_scan,
     }
 
