@@ -9,6 +9,7 @@ from .kd_shards import op10_kd_shards
 from .language import op8_language_id
 from .ngram_join import op2_ngram_join
 from .page_text import op1_page_text
+from .piece_counts import op3_token_counts
 from .secrets import op4_secret_scan
 
 
@@ -21,6 +22,7 @@ def queries() -> dict:
         "op10_kd_shards": op10_kd_shards,
         "op1_page_text": op1_page_text,
         "op6_avi_clips": op6_avi_clips,
+        "op3_token_counts": op3_token_counts,
         "op4_secret_scan": op4_secret_scan,
     }
 
