@@ -10,6 +10,7 @@ from .language import op8_language_id
 from .ngram_join import op2_ngram_join
 from .page_text import op1_page_text
 from .piece_counts import op3_token_counts
+from .preferences import op9_preference_pairs
 from .secrets import op4_secret_scan
 
 
@@ -23,6 +24,7 @@ def queries() -> dict:
         "op1_page_text": op1_page_text,
         "op6_avi_clips": op6_avi_clips,
         "op3_token_counts": op3_token_counts,
+        "op9_preference_pairs": op9_preference_pairs,
         "op4_secret_scan": op4_secret_scan,
     }
 
