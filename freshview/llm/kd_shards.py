@@ -5,7 +5,7 @@ widest there (spread over the node, relative to the spread over the corpus) at t
 median by weight (bytes), until its leaves reach the target or the depth is met. All
 nodes of a level split together. A weighted median is found without sorting: a
 histogram by node of the next bits of the key, summed in Spark, narrows each node's
-cut to one bin; a few rounds fix all 62 bits. The key is the dimension's value, then
+cut to one bin; a few rounds fix the cut. The key is the dimension's value, then
 a hash of the whole row, so ties and repeated values split as evenly as any others.
 What reaches the driver is one histogram of a fixed number of bins a node.
 
@@ -19,14 +19,16 @@ only together; other columns are not read; with fewer rows than shards some stay
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .common import materialise, table
 
 SHARDS = 16
 #: Bits of a key: value and tie; bits that one histogram resolves.
-VALUE_BITS, TIE_BITS, ROUND_BITS = 32, 30, 10
+VALUE_BITS, TIE_BITS, ROUND_BITS = 32, 30, 11
+#: Share of the wanted weight that a cut may be off.
+TOLERANCE = 1e-4
 #: Rows numbered together in one task.
 SLOT_ROWS = 1 << 13
 
@@ -44,61 +46,73 @@ def document_dimensions(df: DataFrame) -> list[Column]:
     return [source, _ordinal(df["lang"]), bounded(df["n_chars"]), F.pmod(F.coalesce(df["doc_id"].cast("long"), F.lit(0)), F.lit(2**VALUE_BITS))]
 
 
+def _small(spark: SparkSession, names: str, rows: list[tuple]) -> DataFrame:
+    """A local table of one row a leaf. Plans differ only in its rows, so generated code is reused."""
+    return F.broadcast(spark.sql(f"SELECT * FROM VALUES {', '.join(str(r) for r in rows)} AS t({names})"))
+
+
 def kd_leaves(points: DataFrame, dims: list[str], size: str, leaves: int = SHARDS, target_bytes: int | None = None, tie: str = "tie") -> DataFrame:
     """``points`` plus ``leaf``: split until there are ``leaves`` leaves or all have at most ``target_bytes``.
 
     ``leaves`` need not be a power of two: a node that stands for m leaves splits its
     weight as m//2 to m - m//2.
     """
+    spark, columns = points.sparkSession, points.columns
     overall = points.agg(*[f(d).alias(f"{f.__name__}_{d}") for d in dims for f in (F.min, F.max)]).first()
     width = {d: max(1, (overall[f"max_{d}"] or 0) - (overall[f"min_{d}"] or 0)) for d in dims}
-    points = points.withColumn("leaf", F.lit(0)).withColumn("parts", F.lit(leaves))
+    points = points.withColumn("leaf", F.lit(0).cast("int"))
     share = {0: leaves}
     while True:
         stats = points.groupBy("leaf").agg(F.sum(size).alias("bytes"), *[(F.max(d) - F.min(d)).alias(d) for d in dims]).collect()
         split = {r["leaf"]: r for r in stats if share[r["leaf"]] > 1 and (target_bytes is None or r["bytes"] > target_bytes)}
         if not split:
-            return points.drop("parts")
-        axis = {leaf: max(dims, key=lambda d: (r[d] / width[d], -dims.index(d))) for leaf, r in split.items()}
-        value = F.lit(None).cast("long")
-        for leaf, d in axis.items():
-            value = F.when(F.col("leaf") == leaf, F.col(d)).otherwise(value)
-        keyed = points.withColumn("key", F.shiftleft(value, TIE_BITS) + F.col(tie))
-        cut = {leaf: 0 for leaf in split}
-        before = {leaf: 0 for leaf in split}
-        want = {leaf: r["bytes"] * (share[leaf] // 2) / share[leaf] for leaf, r in split.items()}
-        shift = VALUE_BITS + TIE_BITS
-        while shift > 0:
-            step = min(ROUND_BITS, shift)
-            shift -= step
-            known = F.lit(None).cast("long")
-            for leaf, prefix in cut.items():
-                known = F.when(F.col("leaf") == leaf, F.lit(prefix)).otherwise(known)
-            inside = keyed.filter(F.shiftright("key", shift + step) == known)
-            bins = inside.groupBy("leaf", (F.shiftright("key", shift).bitwiseAND((1 << step) - 1)).alias("bin")).agg(F.sum(size).alias("bytes"))
-            by_leaf: dict[int, list] = {}
-            for r in bins.collect():
-                by_leaf.setdefault(r["leaf"], []).append((r["bin"], r["bytes"]))
-            for leaf in cut:
-                chosen = 0
+            return points
+        axis = {leaf: max(range(len(dims)), key=lambda k: (r[dims[k]] / width[dims[k]], -k)) for leaf, r in split.items()}
+        value = F.element_at(F.array(*dims), F.col("axis") + 1)
+        key = F.shiftleft(value, TIE_BITS) + F.col(tie)
+        keyed = materialise(points.join(_small(spark, "leaf, axis", list(axis.items())), "leaf", "left").select(*columns, "leaf", key.alias("key")))
+        cut = _weighted_cuts(keyed, size, {leaf: r["bytes"] * (share[leaf] // 2) / share[leaf] for leaf, r in split.items()})
+        parts, rows, fresh = dict(share), [], max(share) + 1
+        for leaf in split:
+            parts[fresh], parts[leaf] = share[leaf] - share[leaf] // 2, share[leaf] // 2
+            rows.append((leaf, cut[leaf], fresh))
+            fresh += 1
+        share = parts
+        placed = keyed.join(_small(spark, "leaf, cut, fresh", rows), "leaf", "left")
+        points = placed.select(*columns, F.when(F.col("key") >= F.col("cut"), F.col("fresh")).otherwise(F.col("leaf")).alias("leaf"))
+
+
+def _weighted_cuts(keyed: DataFrame, size: str, want: dict[int, float]) -> dict[int, int]:
+    """Per leaf the key below which lies the wanted weight, found ROUND_BITS at a time.
+
+    A leaf is done early when the bin that holds its cut weighs at most TOLERANCE of
+    the weight wanted.
+    """
+    cut, before = dict.fromkeys(want, 0), dict.fromkeys(want, 0)
+    open_leaves, shift = set(want), VALUE_BITS + TIE_BITS
+    while shift > 0 and open_leaves:
+        step = min(ROUND_BITS, shift)
+        shift -= step
+        state = _small(keyed.sparkSession, "leaf, known, high, low, mask", [(leaf, cut[leaf], shift + step, shift, (1 << step) - 1) for leaf in sorted(open_leaves)])
+        inside = keyed.select("leaf", "key", size).join(state, "leaf").filter("shiftright(key, high) = known")
+        bins = inside.groupBy("leaf", F.expr("cast(shiftright(key, low) & mask as int)").alias("bin")).agg(F.sum(size).alias("bytes"))
+        by_leaf: dict[int, list] = {}
+        for r in bins.collect():
+            by_leaf.setdefault(r["leaf"], []).append((r["bin"], r["bytes"]))
+        for leaf in want:
+            chosen = 0
+            if leaf in open_leaves:
                 for b, n in sorted(by_leaf.get(leaf, [])):
                     chosen = b
                     if before[leaf] + n > want[leaf]:
+                        if n <= TOLERANCE * want[leaf]:
+                            open_leaves.discard(leaf)
                         break
                     before[leaf] += n
                 else:
                     chosen = (1 << step) - 1
-                cut[leaf] = (cut[leaf] << step) | chosen
-        leaf_of, parts = F.col("leaf"), dict(share)
-        fresh = max(share) + 1
-        for leaf in split:
-            leaf_of = F.when((F.col("leaf") == leaf) & (F.col("key") >= cut[leaf]), F.lit(fresh)).otherwise(leaf_of)
-            parts[fresh], parts[leaf] = share[leaf] - share[leaf] // 2, share[leaf] // 2
-            fresh += 1
-        share = parts
-        points = keyed.withColumn("leaf", leaf_of).drop("key")
-        if target_bytes is not None or len(share) > 8:
-            points = materialise(points)
+            cut[leaf] = (cut[leaf] << step) | chosen
+    return {leaf: c << shift for leaf, c in cut.items()}
 
 
 def with_slots(placed: DataFrame, shard: str, order: list[str], slot_rows: int = SLOT_ROWS) -> DataFrame:
@@ -107,8 +121,6 @@ def with_slots(placed: DataFrame, shard: str, order: list[str], slot_rows: int =
     pieces = max(1, rows // slot_rows)
     pieced = placed.withColumn("piece", F.pmod(F.xxhash64(*order), F.lit(pieces)).cast("int"))
     counts = pieced.groupBy(shard, "piece").agg(F.count(F.lit(1)).alias("n"))
-    from pyspark.sql import Window
-
     # one row a shard and piece: rows / slot_rows rows in all
     offset = counts.withColumn("offset", F.sum("n").over(Window.partitionBy(shard).orderBy("piece")) - F.col("n")).drop("n")
     numbered = pieced.withColumn("place", F.row_number().over(Window.partitionBy(shard, "piece").orderBy(*order)) - 1)
