@@ -319,20 +319,18 @@ def similar_components(df: DataFrame, doc_id: str = "doc_id", text: str = "text"
     classes = full.groupBy("sid", "n").agg(F.first("prefix").alias("prefix"))
     postings = classes.select("sid", "n", F.posexplode("prefix").alias("pos", "h"))
 
-    # leaders by column and size class; columns of one row end here
-    size_class = F.floor(F.log("n") / F.log(F.lit(100 / percent)))
-    postings = postings.withColumn("class", size_class.cast("int"))
-    leaders = postings.groupBy("h", "class").agg(F.min(F.struct("sid", "n", "pos")).alias("lead"))
-    shared = postings.groupBy("h").agg(F.count(F.lit(1)).alias("rows")).filter("rows > 1").select("h")
-    met = materialise(postings.join(shared, "h").select("h", "class", "sid", "n", "pos"))
-    first = met.join(leaders.filter(F.lit(True)), ["h", "class"]).filter(F.col("sid") != F.col("lead.sid"))
+    # The leader of a column is the class in which the fewest rarer shingles stand before
+    # it: the least edited of a group of near copies, which most others are close to.
+    leaders = postings.groupBy("h").agg(F.count(F.lit(1)).alias("rows"), F.min(F.struct("sid", "n", "pos")).alias("lead")).filter("rows > 1").drop("rows")
+    met = materialise(postings.join(leaders, "h").select("h", "sid", "n", "pos", "lead"))
+    first = met.filter(F.col("sid") != F.col("lead.sid"))
     first = first.select(F.col("sid").alias("a"), F.col("lead.sid").alias("b"), F.col("n").alias("n_a"), F.col("lead.n").alias("n_b"), F.col("pos").alias("pos_a"), F.col("lead.pos").alias("pos_b"))
     pairs = materialise(_summed(first, percent))
     near = materialise(_links(pairs, _full_sets(docs, pairs, words), percent))
     groups = connected_components(near)
 
     # pairs across the components found so far
-    placed = met.join(groups.select(F.col("node").alias("sid"), "component"), "sid", "left").select("h", "sid", "n", "pos", F.coalesce("component", "sid").alias("comp"))
+    placed = met.drop("lead").join(groups.select(F.col("node").alias("sid"), "component"), "sid", "left").select("h", "sid", "n", "pos", F.coalesce("component", "sid").alias("comp"))
     mixed = placed.groupBy("h").agg(F.min("comp").alias("low"), F.max("comp").alias("high")).filter("low <> high").select("h")
     placed = materialise(placed.join(mixed, "h", "left_semi"))
     there = placed.select("h", F.col("comp").alias("comp_a")).distinct()
