@@ -321,7 +321,7 @@ def similar_components(df: DataFrame, doc_id: str = "doc_id", text: str = "text"
 
     # The leader of a column is the class in which the fewest rarer shingles stand before
     # it: the least edited of a group of near copies, which most others are close to.
-    leaders = postings.groupBy("h").agg(F.count(F.lit(1)).alias("rows"), F.min(F.struct("sid", "n", "pos")).alias("lead")).filter("rows > 1").drop("rows")
+    leaders = postings.groupBy("h").agg(F.count(F.lit(1)).alias("rows"), F.min(F.struct("pos", "sid", "n")).alias("lead")).filter("rows > 1").drop("rows")
     met = materialise(postings.join(leaders, "h").select("h", "sid", "n", "pos", "lead"))
     first = met.filter(F.col("sid") != F.col("lead.sid"))
     first = first.select(F.col("sid").alias("a"), F.col("lead.sid").alias("b"), F.col("n").alias("n_a"), F.col("lead.n").alias("n_b"), F.col("pos").alias("pos_a"), F.col("lead.pos").alias("pos_b"))
