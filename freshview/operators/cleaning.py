@@ -33,11 +33,13 @@ def check_correspondence(stale: DataFrame, fresh: DataFrame, stale_s: DataFrame,
         n("fs = 1").alias("fs"), n("f = 1").alias("f"), n("fs = 1 and f = 0").alias("bad_superfluous"), n("f = 1 and s = 0").alias("new"), n("fs = 1 and s = 0").alias("new_s"),
         n("ss = 1 and f = 1").alias("kept"), n("ss = 1 and f = 1 and fs = 0").alias("lost"),
     )
+    none, double = F.lit(0).cast("bigint"), lambda c: F.col(c).cast("double")
+    row = lambda clause, observed, expected, violations: F.struct(F.lit(clause).alias("clause"), observed.alias("observed"), expected.cast("double").alias("expected"), violations.alias("violations"))
     rows = F.array(
-        F.struct(F.lit("uniform").alias("clause"), F.col("fs").cast("double").alias("observed"), (F.col("f") * m).alias("expected"), F.lit(0).cast("bigint").alias("violations")),
-        F.struct(F.lit("superfluous"), F.lit(0.0), F.lit(0.0), F.col("bad_superfluous")),
-        F.struct(F.lit("missing"), F.col("new_s").cast("double"), F.col("new") * m, F.lit(0).cast("bigint")),
-        F.struct(F.lit("preserved"), (F.col("kept") - F.col("lost")).cast("double"), F.col("kept").cast("double"), F.col("lost")),
+        row("uniform", double("fs"), F.col("f") * m, none),
+        row("superfluous", F.lit(0.0), F.lit(0.0), F.col("bad_superfluous")),
+        row("missing", double("new_s"), F.col("new") * m, none),
+        row("preserved", (F.col("kept") - F.col("lost")).cast("double"), double("kept"), F.col("lost")),
     )
     return sums.select(F.inline(rows))
 

@@ -168,7 +168,7 @@ for _name in ("recompute", "change_table", "signed_union"):
     _add(f"r9_refresh_sample_{_name}", O.demand() + " select l_partkey, n, cast(v as double) as v from fresh_s")(lambda s, d, n=_name: _visible(_demand(s, d, strategy=n).fresh_s, "l_partkey", "n", "v"))
 
 
-@_add("r4_updates_refresh", f"""with {O.SPLIT}, new as (select l_partkey, {O.MONEY} as v, dh from split union all select l_partkey, cast(round(l_extendedprice * 1.1, 2) as decimal(12,2)), 'u' from split where dh >= '80000000' and dh < '8ccccccd')
+@_add("r4_updates_refresh", f"""with {O.SPLIT}, new as (select l_partkey, {O.MONEY} as v, dh from split union all select l_partkey, cast({O.MONEY} * 1.1 as decimal(12,2)), 'u' from split where dh >= '80000000' and dh < '8ccccccd')
  select l_partkey, count(*) as n, cast(sum(v) as double) as v from new where dh = 'u' or (dh < '80000000' or dh >= '8ccccccd') group by 1""")
 def _r4(spark, d):
     c = base.line_changes(spark, d, 0.0, 0.0, updated=True)

@@ -46,7 +46,7 @@ def line_changes(spark: SparkSession, sf_dir: str, inserted: float = CHANGED, de
     tables = {"lineitem": T.lines(spark, sf_dir)} | (more or {})
 
     def change(df: DataFrame) -> DataFrame:
-        return df.withColumn("l_quantity", F.col("l_quantity") + 1).withColumn("l_extendedprice", F.round(F.col("l_extendedprice") * 1.1, 2))
+        return df.withColumn("l_quantity", F.col("l_quantity") + 1).withColumn("l_extendedprice", (T.money("l_extendedprice") * F.lit("1.1").cast("decimal(2,1)")).cast("decimal(12,2)").cast("double"))
 
     update = {"lineitem": (0.5, 0.55, change)} if updated else None
     return ChangeSet.from_split(tables, T.KEYS, {"lineitem": (inserted, deleted)}, update=update)
