@@ -59,7 +59,9 @@ def hash32(text: Column, salt: str = SALT, family: str = "md5") -> Column:
         return F.pmod(mixed % LINEAR_PRIME, F.lit(2**32)).cast("long")
     if family == "sdbm":
         points = F.transform(F.split(F.hex(F.encode(salted, "UTF-8")), "(?<=\\G..)"), lambda h: F.coalesce(F.conv(h, 16, 10).cast("long"), F.lit(0)))
-        return F.aggregate(points, F.lit(0).cast("long"), lambda h, c: F.pmod(h * SDBM + c, F.lit(2**32)))
+        # the last characters only reach the low bits, so a multiplication spreads them
+        spread = lambda h: F.pmod(F.pmod(h, F.lit(2**31)) * F.lit(LINEAR_A), F.lit(2**32))
+        return F.aggregate(points, F.lit(0).cast("long"), lambda h, c: F.pmod(h * SDBM + c, F.lit(2**32)), spread)
     raise ValueError(f"unknown family {family}")
 
 

@@ -413,7 +413,7 @@ def _join_sql(q: AggQuery, sample: str) -> str:
     part = lambda where: f"(select {group} as g, {O.plain(q)} as x from w where {where} {('group by ' + by) if by else ''})"
     ins = f"dh >= '{O.INS}'"
     return f"""with {O.ORDER_SPLIT}{_WIDE}, t as {part('true')}, s as {part(ins)}, f_s as {part(sample)}, s_s as {part(ins + ' and ' + sample)}
- select g as group_key, round(t.x, 5) as truth, round(s.x, 5) as stale, round(f_s.x * {scale}, 5) as direct, round(coalesce(s.x, 0) + (coalesce(f_s.x, 0) * {scale} - coalesce(s_s.x, 0) * {scale}), 5) as correction from t full join s using (g) full join f_s using (g) full join s_s using (g)"""
+ select g as group_key, round(t.x, 5) as truth, round(s.x, 5) as stale, round(f_s.x * {scale}, 5) as direct, round(case when coalesce(s.x, f_s.x) is not null then coalesce(s.x, 0) + (coalesce(f_s.x, 0) * {scale} - coalesce(s_s.x, 0) * {scale}) end, 5) as correction from t full join s using (g) full join f_s using (g) full join s_s using (g)"""
 
 
 for _name, _q in join_view.queries():
