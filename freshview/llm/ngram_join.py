@@ -9,6 +9,7 @@ the two sizes discard pairs early:
 * a class brings only ``n - ceil(0.8 n) + 1`` columns, the rarest by a corpus-wide
   order, since two sets that link must share one of these;
 * sizes must allow the similarity;
+* rarer columns that no other class brings leave so much less to share;
 * the summed overlap plus what can still follow after the last shared column must
   reach the overlap that both sizes demand.
 
@@ -32,15 +33,15 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import materialise, table
+from .common import bounded_batches, materialise, table
 
 WORDS, PERCENT = 5, 80
 #: Buckets of the corpus-wide order, and bits of the filter that spares sets without a candidate; both of fixed size.
 ORDER_BITS, FILTER_BITS = 18, 24
-CHUNK = 1 << 22
+CHUNK = 1 << 20
 #: White space bytes of the contract.
 WHITE = [0x20, *range(0x09, 0x0E)]
 
@@ -191,7 +192,7 @@ def _least(n: np.ndarray | int, percent: int):
 
 
 def _sets_with_prefix(docs: DataFrame, order: np.ndarray, words: int, percent: int) -> DataFrame:
-    """Per row: doc_id, n, sid (identity of the set), prefix (its rarest shingles, in order)."""
+    """Per row: doc_id, n, sid (identity of the set), prefix (its rarest shingles, in order), and its last one's place in the order."""
     held = docs.sparkSession.sparkContext.broadcast(order)
     bits = int(len(order)).bit_length() - 1
 
@@ -199,18 +200,20 @@ def _sets_with_prefix(docs: DataFrame, order: np.ndarray, words: int, percent: i
         counts = held.value
         for batch in batches:
             sets = shingle_sets(batch.column(1), words)
-            prefixes = []
+            prefixes, ends = [], []
             for s in sets:
                 keep = len(s) - _least(len(s), percent) + 1 if len(s) else 0
                 rank = np.lexsort((s, counts[(s >> np.uint64(64 - bits)).astype(np.int64)]))[:keep]
                 prefixes.append(s[rank].view(np.int64))
+                last = s[rank[-1:]]
+                ends.append((int(counts[(last >> np.uint64(64 - bits)).astype(np.int64)][0]), int((last ^ np.uint64(1 << 63)).view(np.int64)[0])) if keep else (0, 0))
             yield pa.RecordBatch.from_arrays(
-                [batch.column(0), pa.array([len(s) for s in sets], pa.int32()), pa.array([set_id(s) for s in sets], pa.int64()), pa.array(prefixes, pa.list_(pa.int64()))],
-                names=["doc_id", "n", "sid", "prefix"],
+                [batch.column(0), pa.array([len(s) for s in sets], pa.int32()), pa.array([set_id(s) for s in sets], pa.int64()), pa.array(prefixes, pa.list_(pa.int64())), pa.array([e[0] for e in ends], pa.int64()), pa.array([e[1] for e in ends], pa.int64())],
+                names=["doc_id", "n", "sid", "prefix", "end_count", "end_hash"],
             )
 
     kind = docs.schema["doc_id"].dataType.simpleString()
-    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, n int, sid long, prefix array<long>")
+    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, n int, sid long, prefix array<long>, end_count long, end_hash long")
 
 
 def _possible(percent: int):
@@ -223,9 +226,39 @@ def _sizes_fit(percent: int):
     return 100 * F.least("n_a", "n_b") >= percent * F.greatest("n_a", "n_b")
 
 
+def _with_unshared(postings: DataFrame, percent: int) -> DataFrame:
+    """Per class what bounds its overlap with any other.
+
+    ``alone``: columns of its prefix that no other class brings. ``bits_k``: its shared
+    columns, as 256 hash bits.
+    """
+    by_class = Window.partitionBy("sid")
+    bit = lambda k: F.when(F.shiftrightunsigned("h", 6).bitwiseAND(3) == k, F.expr("shiftleft(1L, cast(h & 63 as int))")).otherwise(F.lit(0).cast("long"))
+    columns = F.col("n") - F.ceil(F.col("n") * percent / 100) + 1
+    return postings.select("h", "sid", "n", "pos", "comp", "end_count", "end_hash", (columns - F.count(F.lit(1)).over(by_class)).cast("int").alias("alone"), *[F.bit_or(bit(k)).over(by_class).alias(f"bits{k}") for k in range(4)])
+
+
+def _unshared_allows(percent: int):
+    """Whether the columns that one side cannot share leave enough overlap.
+
+    It holds for the side whose prefix ends first in the corpus order: had the other set
+    one of its columns, the other's prefix would have it too. A bit that only one side has
+    is a column, or several, that only that side has.
+    """
+
+    def left(x: str, y: str):
+        only = sum((F.bit_count(F.col(f"bits{k}_{x}").bitwiseAND(F.bitwise_not(f"bits{k}_{y}"))) for k in range(4)), F.lit(0))
+        return F.col(f"n_{x}") - F.col(f"alone_{x}") - only
+
+    ends_first = F.expr("end_count_a < end_count_b or (end_count_a = end_count_b and end_hash_a <= end_hash_b)")
+    return (100 + percent) * F.when(ends_first, left("a", "b")).otherwise(left("b", "a")) >= percent * (F.col("n_a") + F.col("n_b"))
+
+
 def _summed(products: DataFrame, percent: int) -> DataFrame:
     """Sum the products of each pair over the columns and discard by the bounds."""
-    pairs = products.filter(_sizes_fit(percent)).groupBy("a", "b", "n_a", "n_b").agg(F.count(F.lit(1)).alias("c"), F.max("pos_a").alias("pos_a"), F.max("pos_b").alias("pos_b"))
+    turned = F.col("a") > F.col("b")
+    ordered = [F.when(turned, F.col(f"{c}{y}")).otherwise(F.col(f"{c}{x}")).alias(f"{c}{x}") for c in ("", "n_", "pos_") for x, y in (("a", "b"), ("b", "a"))]
+    pairs = products.filter(_sizes_fit(percent)).select(*ordered).groupBy("a", "b", "n_a", "n_b").agg(F.count(F.lit(1)).alias("c"), F.max("pos_a").alias("pos_a"), F.max("pos_b").alias("pos_b"))
     return pairs.filter(_possible(percent)).select("a", "b")
 
 
@@ -313,6 +346,7 @@ def connected_components(edges: DataFrame) -> DataFrame:
 def similar_components(df: DataFrame, doc_id: str = "doc_id", text: str = "text", words: int = WORDS, percent: int = PERCENT) -> DataFrame:
     """Per row: doc_id, n_shingles, component_id (least doc_id reachable by links)."""
     docs = df.select(df[doc_id].alias("doc_id"), df[text].cast("string").alias("text"))
+    bounded_batches(docs)
     order = corpus_order(docs.select("text"), words)
     rows = materialise(_sets_with_prefix(docs, order, words, percent))
     full = rows.filter("n > 0")
@@ -329,13 +363,16 @@ def similar_components(df: DataFrame, doc_id: str = "doc_id", text: str = "text"
     near = materialise(_links(pairs, _full_sets(docs, pairs, words), percent))
     groups = connected_components(near)
 
-    # pairs across the components found so far
-    placed = met.drop("lead").join(groups.select(F.col("node").alias("sid"), "component"), "sid", "left").select("h", "sid", "n", "pos", F.coalesce("component", "sid").alias("comp"))
-    mixed = placed.groupBy("h").agg(F.min("comp").alias("low"), F.max("comp").alias("high")).filter("low <> high").select("h")
-    placed = materialise(placed.join(mixed, "h", "left_semi"))
-    there = placed.select("h", F.col("comp").alias("comp_a")).distinct()
-    reach = placed.select("h", F.col("sid").alias("b"), F.col("n").alias("n_b"), F.col("pos").alias("pos_b"), "comp").join(there, "h").filter("comp_a < comp").drop("comp")
-    across = reach.join(placed.select("h", F.col("comp").alias("comp_a"), F.col("sid").alias("a"), F.col("n").alias("n_a"), F.col("pos").alias("pos_a")), ["h", "comp_a"])
+    # Pairs across the components found so far: each column pairs the classes outside its
+    # largest component with all others, and the bounds are part of the join's condition.
+    ends = full.select("sid", "end_count", "end_hash").distinct()
+    placed = _with_unshared(met.drop("lead").join(ends, "sid").join(groups.select(F.col("node").alias("sid"), "component"), "sid", "left").withColumn("comp", F.coalesce("component", "sid")), percent)
+    counts = placed.groupBy("h", "comp").agg(F.count(F.lit(1)).alias("rows"))
+    largest = counts.groupBy("h").agg(F.max(F.struct("rows", "comp")).alias("top"), F.count(F.lit(1)).alias("comps")).filter("comps > 1").select("h", F.col("top.comp").alias("top"))
+    placed = materialise(placed.join(largest, "h"))
+    outside = placed.filter("comp <> top")
+    side = lambda df, x: df.select("h", *[F.col(c).alias(f"{c}_{x}") for c in df.columns if c not in ("h", "sid", "top")], F.col("sid").alias(x), *([F.col("top")] if x == "b" else []))
+    across = side(outside, "a").join(side(placed, "b"), "h").filter("comp_a <> comp_b and (comp_b = top or comp_a < comp_b)").filter(_sizes_fit(percent)).filter(_unshared_allows(percent))
     pairs = materialise(_summed(across, percent))
     far = _links(pairs, _full_sets(docs, pairs, words), percent)
     edges = groups.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(far)
