@@ -29,7 +29,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from .common import table
+from .common import bounded_batches, table
 
 LETTER, NUMBER, OTHER, WHITE, SPACE, END = range(6)
 #: The code points of Unicode's White_Space property.
@@ -37,9 +37,9 @@ WHITE_SPACE = [*range(0x9, 0xE), 0x20, 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B
 #: What follows the apostrophe of a contraction.
 CONTRACTIONS = ("s", "t", "re", "ve", "m", "ll", "d")
 #: Entries of a worker's cache of pieces, and the longest piece kept, in code points.
-CACHE_PIECES, CACHE_CHARS = 400_000, 64
+CACHE_PIECES, CACHE_CHARS = 200_000, 64
 #: Characters that are cut and encoded together.
-BLOCK_CHARS = 1 << 21
+BLOCK_CHARS = 1 << 19
 
 
 def _cut_table() -> np.ndarray:
@@ -260,7 +260,7 @@ def encode_documents(df: DataFrame, doc_id: str = "doc_id", text: str = "text",
                     names=["doc_id", "ids", "offsets"],
                 )
 
-    return src.mapInArrow(run, f"doc_id {src.schema['doc_id'].dataType.simpleString()}, ids array<int>, offsets array<long>")
+    return bounded_batches(src).mapInArrow(run, f"doc_id {src.schema['doc_id'].dataType.simpleString()}, ids array<int>, offsets array<long>")
 
 
 def decode_documents(df: DataFrame, doc_id: str = "doc_id", ids: str = "ids", path: str | None = None) -> DataFrame:
@@ -274,7 +274,7 @@ def decode_documents(df: DataFrame, doc_id: str = "doc_id", ids: str = "ids", pa
             decoded = pa.array([tool.decode(x or ()) for x in batch.column(1).to_pylist()], pa.binary())
             yield pa.RecordBatch.from_arrays([batch.column(0), decoded], names=["doc_id", "decoded"])
 
-    return src.mapInArrow(run, f"doc_id {src.schema['doc_id'].dataType.simpleString()}, decoded binary")
+    return bounded_batches(src).mapInArrow(run, f"doc_id {src.schema['doc_id'].dataType.simpleString()}, decoded binary")
 
 
 def encode_digests(df: DataFrame, doc_id: str = "doc_id", text: str = "text", path: str | None = None) -> DataFrame:
@@ -301,7 +301,7 @@ def encode_digests(df: DataFrame, doc_id: str = "doc_id", text: str = "text", pa
                     names=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"],
                 )
 
-    return src.mapInArrow(run, f"doc_id {src.schema['doc_id'].dataType.simpleString()}, n_tokens long, ids_sha256 string, decoded_sha256 string")
+    return bounded_batches(src).mapInArrow(run, f"doc_id {src.schema['doc_id'].dataType.simpleString()}, n_tokens long, ids_sha256 string, decoded_sha256 string")
 
 
 def op7_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -30,14 +30,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import bounded_batches, table
 
 #: Fixed values of the contract: A-Z is lowered, then these are the words, as UTF-8 bytes and as text.
 WORD_BYTES = re.compile(rb"[0-9a-z\x80-\xff]+")
 WORD_TEXT = re.compile(r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+")
 WINDOW = 10
 #: Indexed words of a shard (a longer document is a shard of its own), and benchmark words of a block.
-SHARD_WORDS, BLOCK_WORDS = 1 << 20, 1 << 20
+SHARD_WORDS, BLOCK_WORDS = 1 << 19, 1 << 20
 #: Every so many-th suffix position is kept.
 SAMPLE = 8
 
@@ -287,7 +287,7 @@ def find_contamination(df: DataFrame, benchmark: DataFrame, doc_id: str = "doc_i
                 names=["doc_id", "n_words", "n_hit", "items", "spans"],
             )
 
-    return src.mapInArrow(run, f"doc_id {src.schema['doc_id'].dataType.simpleString()}, n_words long, n_hit long, items array<string>, spans array<struct<start:int,end:int>>")
+    return bounded_batches(src).mapInArrow(run, f"doc_id {src.schema['doc_id'].dataType.simpleString()}, n_words long, n_hit long, items array<string>, spans array<struct<start:int,end:int>>")
 
 
 def remove_contamination(df: DataFrame, benchmark: DataFrame, text: str = "text", item_id: str = "item_id", item_text: str = "text", window: int = WINDOW, block_words: int = BLOCK_WORDS) -> DataFrame:
@@ -300,7 +300,7 @@ def remove_contamination(df: DataFrame, benchmark: DataFrame, text: str = "text"
             clean = [without(t, removal_spans(t, h)) for t, h in zip(texts, hits)]
             yield pa.RecordBatch.from_arrays([*part.columns[:-1], pa.array(clean, pa.string())], schema=part.schema)
 
-    return src.mapInArrow(run, src.schema).select(*df.columns)
+    return bounded_batches(src).mapInArrow(run, src.schema).select(*df.columns)
 
 
 def op5_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import bounded_batches, table
 
 #: Bound of the training sample, in rows over all languages; and of the model, in hashed trigrams.
 TRAIN_ROWS, BUCKETS = 20_000, 1 << 16
@@ -36,7 +36,7 @@ TRAIN_ROWS, BUCKETS = 20_000, 1 << 16
 SWITCH = 12.0
 #: A script counts as used by a language from this share of its words.
 SCRIPT_SHARE = 0.02
-BLOCK_WORDS, BLOCK_CHARS = 256, 1 << 20
+BLOCK_WORDS, BLOCK_CHARS = 256, 1 << 19
 UNKNOWN = "und"
 #: First code points of script ranges (Unicode blocks) and the script from there on.
 SCRIPT_RANGES = (
@@ -230,7 +230,7 @@ def train(labelled: DataFrame, text: str = "text", lang: str = "lang", key: str
             yield pa.RecordBatch.from_arrays([pa.array([code] * len(at), pa.string()), pa.array(at, pa.int32()), pa.array(row[at], pa.int64())], names=["lang", "slot", "n"])
 
     # a language has at most BUCKETS + len(SCRIPTS) rows here
-    got = src.select("lang", "text").mapInArrow(run, "lang string, slot int, n long").groupBy("lang", "slot").agg(F.sum("n").alias("n")).toPandas()
+    got = bounded_batches(src.select("lang", "text")).mapInArrow(run, "lang string, slot int, n long").groupBy("lang", "slot").agg(F.sum("n").alias("n")).toPandas()
     langs = sorted(got["lang"].unique())
     full = np.zeros((BUCKETS + len(SCRIPTS), len(langs)))
     full[got["slot"].to_numpy(int), np.searchsorted(langs, got["lang"].to_numpy(str)) if langs else []] = got["n"]
@@ -273,7 +273,7 @@ def identify(df: DataFrame, model: Model, text: str = "text", spans: bool = Fals
                     more.append(pa.array(spans_of(tool, b - a, words, label), pa.list_(span)))
                 yield pa.RecordBatch.from_arrays([*part.columns, *more], names=[*part.schema.names, "lang_pred", "score", *["lang_spans"] * spans])
 
-    return src.mapInArrow(run, schema)
+    return bounded_batches(src).mapInArrow(run, schema)
 
 
 def held_out(doc_id: str = "doc_id"):

@@ -28,7 +28,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialise, table
+from .common import bounded_batches, materialise, table
 
 MIN_PAGES, MIN_SHARE = 5, 0.2
 
@@ -286,6 +286,7 @@ def site_templates(pages: DataFrame, min_pages: int = MIN_PAGES, min_share: floa
 
 def extract_pages(pages: DataFrame, min_pages: int = MIN_PAGES, min_share: float = MIN_SHARE) -> DataFrame:
     """Per row of pages (page_id, url, html): page_id, url, text, n_chars, n_template."""
+    bounded_batches(pages)
     src = with_host(pages.select("page_id", "url", F.col("html").cast("string").alias("html")))
     templates = materialise(site_templates(src, min_pages, min_share))
     joined = src.join(templates, "host", "left").select("page_id", "url", "html", "template")
