@@ -7,7 +7,8 @@ from pyspark.sql import functions as F
 
 from . import oracles as O
 from .functions import hashing as H
-from .operators import bootstrap, cleaning, estimate, intervals, maintenance, metrics, outliers, skew, staleness
+from .functions import table_functions
+from .operators import bootstrap, cleaning, estimate, intervals, joins, maintenance, metrics, outliers, skew, staleness
 from .operators.estimate import AggQuery
 from .plans import keys, pushdown
 from .plans.nodes import Aggregate, Difference, Distinct, Intersect, Join, KeyHash, Project, Scan, Select, Union, Windowed
@@ -450,6 +451,64 @@ _add("skew_popular_parts", f"with {O.LINE} select cast(floor(2000 * power((cast(
 )
 
 
+# --- surrounding operators ------------------------------------------------------------------
+_SIZES = "(values ('small', 1, 10), ('medium', 10, 25), ('large', 25, 51), ('odd', 5, 12)) as t(label, low, high)"
+
+
+@_add("s14_range_join", f"select p_partkey, label from part join {_SIZES} on p_size >= low and p_size < high")
+def _s14(spark, d):
+    return joins.range_join(T.load(spark, d, "part"), "p_size", spark.sql("SELECT * FROM VALUES ('small', 1, 10), ('medium', 10, 25), ('large', 25, 51), ('odd', 5, 12) AS t(label, low, high)"), "low", "high", 10).select("p_partkey", "label")
+
+
+def _kind(spark, d, kind: str, *names: tuple[str, str]) -> DataFrame:
+    return T.load(spark, d, "events").filter(F.col("event_type") == kind).select("user_id", *[F.col(a).alias(b) for a, b in names])
+
+
+@_add("s15_interval_join", "select c.event_id as click, e.event_id as error from events c join events e on c.user_id = e.user_id and c.event_type = 'click' and e.event_type = 'error' and e.ts > c.ts and e.ts <= c.ts + interval 6 hour")
+def _s15(spark, d):
+    return joins.interval_join(_kind(spark, d, "click", ("event_id", "click"), ("ts", "ts_click")), _kind(spark, d, "error", ("event_id", "error"), ("ts", "ts_error")), "user_id", "ts_click", "ts_error", 6 * 3600).select("click", "error")
+
+
+@_add("s16_asof_join", "select e.event_id, c.event_id as asof_click from (select * from events where event_type = 'error') e asof left join (select * from events where event_type = 'click') c on e.user_id = c.user_id and e.ts >= c.ts")
+def _s16(spark, d):
+    return joins.asof_join(_kind(spark, d, "error", ("event_id", "event_id"), ("ts", "ts")), _kind(spark, d, "click", ("event_id", "click"), ("ts", "ts")), "user_id", "ts", ["click"], "click").select("event_id", "asof_click")
+
+
+_add("s13_theta_join", "select r_regionkey, n_nationkey from region join nation on r_regionkey < n_regionkey")(lambda s, d: Join(_scan(s, d, "region"), _scan(s, d, "nation"), condition="r_regionkey < n_regionkey").lower().select("r_regionkey", "n_nationkey"))
+_add("s21_distinct_counts", "select l_suppkey, count(distinct l_partkey) as parts, count(distinct l_orderkey) as orders from lineitem group by 1")(lambda s, d: T.load(s, d, "lineitem").groupBy("l_suppkey").agg(F.countDistinct("l_partkey").alias("parts"), F.countDistinct("l_orderkey").alias("orders")))
+_add("s21_distinct_sketch")(lambda s, d: T.load(s, d, "lineitem").groupBy("l_returnflag").agg(F.approx_count_distinct("l_partkey", 0.02).alias("parts")))
+_add("s24_grouping_sets", "select l_returnflag, l_linestatus, cast(grouping_id(l_returnflag, l_linestatus) as bigint) as gid, count(*) as n from lineitem group by rollup (l_returnflag, l_linestatus)")(lambda s, d: T.load(s, d, "lineitem").rollup("l_returnflag", "l_linestatus").agg(F.grouping_id().alias("gid"), F.count(F.lit(1)).alias("n")))
+_add("s25_ranks", "select o_orderkey, cast(rank() over w as int) as r, cast(dense_rank() over w as int) as dr, cast(ntile(4) over (partition by o_custkey order by o_orderdate, o_orderkey) as int) as quarter from orders window w as (partition by o_custkey order by o_orderpriority)")(
+    lambda s, d: T.load(s, d, "orders").selectExpr("o_orderkey", "rank() over (partition by o_custkey order by o_orderpriority) as r", "dense_rank() over (partition by o_custkey order by o_orderpriority) as dr", "ntile(4) over (partition by o_custkey order by o_orderdate, o_orderkey) as quarter")
+)
+_add("s26_running_sums", "select event_id, count(*) over (partition by user_id order by ts, event_id rows unbounded preceding) as so_far, lag(event_id) over (partition by user_id order by ts, event_id) as before from events")(
+    lambda s, d: T.load(s, d, "events").selectExpr("event_id", "count(*) over (partition by user_id order by ts, event_id rows unbounded preceding) as so_far", "lag(event_id) over (partition by user_id order by ts, event_id) as before")
+)
+_add("s27_top_per_group", "select * from (select o_custkey, o_orderkey, cast(row_number() over (partition by o_custkey order by o_totalprice desc, o_orderkey) as int) as place from orders) where place <= 3")(lambda s, d: joins.top_per_group(T.load(s, d, "orders").select("o_custkey", "o_orderkey", "o_totalprice"), ["o_custkey"], "o_totalprice", 3, ["o_orderkey"]).select("o_custkey", "o_orderkey", "place"))
+
+
+def _langs(s, d, source: str) -> Scan:
+    return Scan("documents", T.load(s, d, "documents").filter(F.col("source") == source).select("lang"), ("lang",))
+
+
+for _kind_, _node, _word in (("union", Union, "union all"), ("intersect", Intersect, "intersect all"), ("difference", Difference, "except all")):
+    _add(f"s28_bag_{_kind_}", f"select lang from documents where source = 'src0' {_word} select lang from documents where source = 'src1'")(lambda s, d, n=_node: n(_langs(s, d, "src0"), _langs(s, d, "src1"), bag=True).lower())
+
+
+@_add("s40_sql_in_sample", f"select o_orderkey, substr(md5('s1|' || o_orderkey), 1, 8) as h from orders where {O.sampled('o_orderkey')}")
+def _s40(spark, d):
+    H.register_sql_functions(spark)
+    T.load(spark, d, "orders").createOrReplaceTempView("freshview_orders")
+    return spark.sql("SELECT o_orderkey, key_hash(CAST(o_orderkey AS STRING), 's1') AS h FROM freshview_orders WHERE in_sample(CAST(o_orderkey AS STRING), 0.1D, 's1')")
+
+
+@_add("s42_answer_fresh", _PAIRS + " select 'direct' as method, round(sum(f), 0) as estimate, round(1.96 * sqrt(0.9 * sum(f * f)), 0) as width from p union all select 'correction', round((select cast(sum(v) as double) from stale) + sum(f) - sum(s), 0), round(1.96 * sqrt(0.9 * sum((f - s) * (f - s))), 0) from p")
+def _s42(spark, d):
+    s = _demand(spark, d)
+    row = table_functions.prepared(s.stale, s.stale_s, s.fresh_s, demand.QUERIES["sum"], M, KEY)
+    return table_functions.answer_fresh(spark, row).select("method", F.round("estimate", 0).alias("estimate"), F.round((F.col("high") - F.col("low")) / 2, 0).alias("width"))
+
+
 def queries() -> dict:
     return dict(_queries)
 
