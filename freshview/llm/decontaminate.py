@@ -306,7 +306,23 @@ def remove_contamination(df: DataFrame, benchmark: DataFrame, text: str = "text"
 def op5_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = find_contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
     items = F.array_join(F.array_sort("items"), ",")
-    return found.select("doc_id", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), F.sha2(items, 256).alias("items_sha256"), (F.col("n_hit") > 0).alias("contaminated"), F.array_join(F.transform("spans", lambda s: F.concat_ws(":", s["start"].cast("string"), s["end"].cast("string"))), ",").alias("removal_spans"))
+    return found.select("doc_id", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), F.sha2(items, 256).alias("items_sha256"), (F.col("n_hit") > 0).alias("contaminated"))
+
+
+_CUT = r"regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+')"
+#: DuckDB: every window of every text as a string, joined with the items' windows.
+ORACLE_SQL = f"""
+with d as (select row_number() over () as row_id, doc_id, {_CUT} as w from documents),
+b as (select cast(item_id as varchar) as item_id, {_CUT} as w, least({WINDOW}, len(w)) as n from benchmark),
+known as (select distinct item_id, n, array_to_string(w[i : i + n - 1], ' ') as win from b, unnest(range(1, len(w) - n + 2)) t(i) where n > 0),
+sizes as (select distinct n from known),
+cut as (select row_id, n, i, array_to_string(w[i : i + n - 1], ' ') as win from d, sizes, unnest(range(1, len(w) - n + 2)) t(i)),
+met as (select row_id, i, cut.n, item_id from cut join known on cut.win = known.win and cut.n = known.n),
+hits as (select row_id, count(distinct p) as n_hit from (select distinct row_id, i, n from met) x, unnest(range(i, i + n)) u(p) group by row_id),
+found as (select row_id, count(distinct item_id) as n_items, array_to_string(list_sort(list(distinct item_id)), ',') as ids from met group by row_id)
+select doc_id, cast(len(w) as bigint) as n_words, coalesce(n_hit, 0) as n_hit, coalesce(n_items, 0) as n_items, sha256(coalesce(ids, '')) as items_sha256, coalesce(n_hit, 0) > 0 as contaminated
+from d left join hits using (row_id) left join found using (row_id)
+"""
 
 
 def brute_force(text: str | None, items: list[tuple], window: int = WINDOW) -> tuple[int, int, list[str]]:
