@@ -389,3 +389,18 @@ def similar_components(df: DataFrame, doc_id: str = "doc_id", text: str = "text"
 
 def op2_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return similar_components(table(spark, sf_dir, "documents"))
+
+
+_CUT = r"regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+')"
+#: DuckDB: shingles as strings, all pairs that share one, and the reach of every row along links.
+ORACLE_SQL = f"""
+with recursive d as (select row_number() over () as r, doc_id, {_CUT} as w from documents),
+s as (select distinct r, array_to_string(w[i : i + {WORDS - 1}], ' ') as g from d, unnest(range(1, greatest(len(w) - {WORDS - 1}, 1) + 1)) t(i) where len(w) > 0),
+n as (select r, count(*) as n from s group by r),
+p as (select x.r as a, y.r as b, count(*) as c from s x join s y on x.g = y.g and x.r < y.r group by 1, 2),
+e as (select a, b from p join n na on na.r = a join n nb on nb.r = b where 100 * c >= {PERCENT} * (na.n + nb.n - c)),
+linked as (select a, b from e union select b, a from e),
+reach(a, b) as (select r, r from d union select reach.a, linked.b from reach join linked on reach.b = linked.a),
+least_id as (select a, min(d.doc_id) as component_id from reach join d on d.r = reach.b group by a)
+select doc_id, coalesce(n.n, 0) as n_shingles, component_id from d left join n using (r) join least_id on least_id.a = d.r
+"""

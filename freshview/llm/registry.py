@@ -4,9 +4,11 @@ from __future__ import annotations
 
 from .avi_clips import op6_avi_clips
 from .byte_bpe import op7_byte_bpe
+from .decontaminate import ORACLE_SQL as OP5_SQL
 from .decontaminate import op5_decontamination
 from .kd_shards import op10_kd_shards
 from .language import op8_language_id
+from .ngram_join import ORACLE_SQL as OP2_SQL
 from .ngram_join import op2_ngram_join
 from .page_text import op1_page_text
 from .piece_counts import op3_token_counts
@@ -30,4 +32,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict:
-    return {}
+    return {"op2_ngram_join": OP2_SQL, "op5_decontamination": OP5_SQL}
