@@ -134,7 +134,9 @@ def neighbour_pairs(turns: DataFrame) -> DataFrame:
     known = neighbours(conversations.filter("conv_id is not null"))
     other = conversations.select(F.col("conv_id").alias("rejected_id"), F.col("turns").alias("other"))
     named = conversations.join(known.withColumnRenamed("conv_id", "__id"), F.col("conv_id") == F.col("__id"), "left")
-    paired = named.join(other, F.col("next_id") == F.col("rejected_id"), "left")
+    # conversations without a neighbour go by their own id, so that they do not meet in one task
+    partner = (F.coalesce("next_id", "conv_id") == F.col("rejected_id")) & F.col("next_id").isNotNull()
+    paired = named.join(other, partner, "left")
     return format_pairs(paired.select("conv_id", "rejected_id", F.col("turns").alias("chosen"), F.when(F.col("rejected_id").isNull(), stale_reply(F.col("turns"))).otherwise(F.col("other")).alias("rejected")))
 
 
