@@ -15,8 +15,11 @@ from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 
 from freshview.operators.estimate import AggQuery, answer_exact, correction_estimate, direct_estimate
-from freshview.operators.maintenance import refresh, refresh_plan, refresh_sample
+from freshview.operators.maintenance import refresh, refresh_plan, refresh_sample, stale_plan
 from freshview.operators.metrics import error_summary, timed, work_report
+from freshview.operators.views import View
+from freshview.sources import tables as T
+from freshview.sources.changes import ChangeSet
 from freshview.workloads import cube, demand, join_view, log_views, outlier_sweep
 
 M = 0.1
@@ -92,6 +95,20 @@ def main() -> None:
         part = run(f"log_{name}_refresh_sample", refresh_sample(log_views.VIEWS[name], log_stale, s.changes, M))
         extra[f"log_{name}_speedup"] = full / part
 
+    # a view with many groups on copies of the lines, so that fixed costs do not hide the ratio
+    copies = int(os.environ.get("BENCH_COPIES", "20"))
+    many = T.lines(spark, sf_dir).crossJoin(spark.range(copies)).withColumn("l_orderkey", F.col("l_orderkey") + F.col("id") * 100_000_000).select("l_orderkey", "l_seq", "l_extendedprice")
+    orders = View("order_revenue", ("l_orderkey",), (("rev", demand.PRICE), ("n", "1")), lambda leaf: leaf["lineitem"], ("lineitem",))
+    changes = ChangeSet.from_split({"lineitem": many}, T.KEYS, {"lineitem": (M, 0.0)})
+    many_stale = cached(stale_plan(orders, changes).lower())
+    changes.inserted["lineitem"] = cached(changes.inserted["lineitem"])
+    full = run(f"orders_x{copies}_full_refresh", refresh(orders, many_stale, changes), 3)
+    for family in ("md5", "xxhash64"):
+        part = run(f"orders_x{copies}_refresh_sample_{family}", refresh_sample(orders, many_stale, changes, M, family=family), 3)
+        extra[f"orders_x{copies}_speedup_{family}"] = full / part
+    extra[f"orders_x{copies}_groups"] = many_stale.count()
+    spark.catalog.clearCache()
+
     # outlier set at the strongest skew
     start = time.perf_counter()
     row = outlier_sweep.z_sweep(spark, sf_dir, (4,)).first()
