@@ -29,6 +29,8 @@ class Entry:
     epoch: int = 0
     version: int = 0
     sample_version: int = 0
+    #: Last logged batch that a full refresh has taken in.
+    applied: int = -1
     thresholds: dict[str, float] = field(default_factory=dict)
     pending: list[ChangeSet] = field(default_factory=list)
 
@@ -61,7 +63,7 @@ class ViewManager:
         self._point(e)
 
     def _point(self, e: Entry) -> None:
-        state = json.dumps({"name": e.view.name, "key": list(e.view.keys), "m": e.m, "salt": e.salt, "epoch": e.epoch, "version": e.version, "sample_version": e.sample_version, "thresholds": e.thresholds})
+        state = json.dumps({"name": e.view.name, "key": list(e.view.keys), "m": e.m, "salt": e.salt, "epoch": e.epoch, "version": e.version, "sample_version": e.sample_version, "applied": e.applied, "thresholds": e.thresholds})
         self.spark.sql(f"SELECT '{state.replace(chr(39), chr(39) * 2)}' AS state").coalesce(1).write.mode("overwrite").json(f"{self.path}/{e.view.name}/pointer")
 
     def _cut(self, e: Entry) -> DataFrame:

@@ -16,24 +16,30 @@ from ..sources.changes import ChangeSet
 
 
 class FreshSampleLoop:
-    """Appends each batch to the change log and publishes a fresh sample every ``every`` batches."""
+    """Appends each batch to the change log and publishes a fresh sample every ``every`` batches.
+
+    The log has a directory a batch; the catalogue's entry knows the last batch that a
+    full refresh has taken in, so what is pending are the later ones.
+    """
 
     def __init__(self, manager: ViewManager, view: str, table: str, base: DataFrame, log: str, every: int = 1) -> None:
         self.manager, self.view, self.table, self.base, self.log, self.every = manager, view, table, base, log, every
 
     def pending(self) -> ChangeSet:
-        logged = self.manager.spark.read.schema(self.base.schema).parquet(self.log)
-        return ChangeSet({self.table: self.base}, {self.table: logged}, keys={self.table: ()})
+        logged = self.manager.spark.read.option("basePath", self.log).parquet(self.log)
+        applied = self.manager.entries[self.view].applied
+        columns = self.base.columns
+        old = self.base.unionByName(logged.filter(F.col("batch_id") <= applied).select(*columns))
+        return ChangeSet({self.table: old}, {self.table: logged.filter(F.col("batch_id") > applied).select(*columns)}, keys={self.table: ()})
+
+    def keep(self, batch: DataFrame, batch_id: int) -> None:
+        # a batch that is tried again overwrites its own rows
+        batch.select(*self.base.columns).write.mode("overwrite").parquet(f"{self.log}/batch_id={batch_id}")
 
     def on_batch(self, batch: DataFrame, batch_id: int) -> None:
-        # one directory a batch: a batch that is tried again overwrites its own rows
-        batch.select(*self.base.columns).write.mode("overwrite").parquet(f"{self.log}/batch_id={batch_id}")
+        self.keep(batch, batch_id)
         if (batch_id + 1) % self.every == 0:
-            self.manager.apply(self.view, self._pending())
-
-    def _pending(self) -> ChangeSet:
-        logged = self.manager.spark.read.parquet(self.log).select(*self.base.columns)
-        return ChangeSet({self.table: self.base}, {self.table: logged}, keys={self.table: ()})
+            self.manager.apply(self.view, self.pending())
 
     def start(self, stream: DataFrame, checkpoint: str, once: bool = True):
         writer = stream.writeStream.foreachBatch(self.on_batch).option("checkpointLocation", checkpoint)
@@ -44,12 +50,12 @@ class RefreshLoop(FreshSampleLoop):
     """Refreshes the whole view every ``every`` batches."""
 
     def on_batch(self, batch: DataFrame, batch_id: int) -> None:
-        batch.select(*self.base.columns).write.mode("overwrite").parquet(f"{self.log}/batch_id={batch_id}")
-        if (batch_id + 1) % self.every == 0:
-            # the log holds all changes since the first version, so the first version is the stale side
-            self.manager.entries[self.view].pending = [self._pending()]
+        self.keep(batch, batch_id)
+        entry = self.manager.entries[self.view]
+        if (batch_id + 1) % self.every == 0 and batch_id > entry.applied:
+            entry.pending = [self.pending()]
             self.manager.refresh(self.view)
-            self.manager.entries[self.view].pending.clear()
+            entry.applied = batch_id
 
 
 def tumbling(events: DataFrame, width: str = "1 hour", late: str = "1 hour") -> DataFrame:

@@ -102,3 +102,25 @@ def period_errors(spark: SparkSession, sf_dir: str, ratios: tuple[float, ...] =
             row = truth.crossJoin(answer).crossJoin(stale.agg(q.value().alias("refresh_only"))).select(F.lit(m).alias("m"), F.lit(t).alias("tick"), relative_error(F.col("refresh_only"), F.col("truth")).alias("e1"), relative_error(F.col("with_sample"), F.col("truth")).alias("e2"))
             out = row if out is None else out.unionByName(row)
     return out.groupBy("m").agg(F.max("e1").alias("max_error_refresh_only"), F.max("e2").alias("max_error_with_sample"))
+
+
+def _task_seconds(spark: SparkSession) -> float:
+    """Seconds spent in tasks on all executors since the application began."""
+    executors = spark.sparkContext._jsc.sc().statusStore().executorList(True)
+    return sum(executors.apply(i).totalDuration() for i in range(executors.size())) / 1000
+
+
+def cpu_utilisation(spark: SparkSession, work, cores: int | None = None) -> float:
+    """Share of all executor cores' time that is spent in tasks while ``work`` runs."""
+    before, start = _task_seconds(spark), time.perf_counter()
+    work()
+    wall = time.perf_counter() - start
+    time.sleep(0.2)  # task ends reach the status store a little later
+    return (_task_seconds(spark) - before) / (wall * (cores or spark.sparkContext.defaultParallelism))
+
+
+def utilisation(spark: SparkSession, sf_dir: str, view: str = "l3") -> DataFrame:
+    """CPU use of a refresh alone and with a second loop beside it."""
+    size = max(1, T.load(spark, sf_dir, "events").count() // 5)
+    rows = [(threads, cpu_utilisation(spark, lambda t=threads: refresh_seconds(spark, sf_dir, view, size, threads=t))) for threads in (1, 2)]
+    return spark.createDataFrame(rows, "threads int, cpu_share double")

@@ -45,6 +45,24 @@ def test_sample_loop_equals_batch(spark, tmp_path):
     manager.drop("l3")
 
 
+def test_refresh_loop_with_sample_loop(spark, tmp_path):
+    events, base = split_log(spark, tmp_path)
+    view = log_views.VIEWS["l1"]
+    manager = ViewManager(spark, str(tmp_path / "views"))
+    manager.register(view, ChangeSet({"events": base}, keys={"events": ("event_id",)}), 0.4)
+    loop = loops.RefreshLoop(manager, "l1", "events", base, str(tmp_path / "log"), every=2)
+    loop.start(T.stream(spark, str(tmp_path / "in"), events.schema), str(tmp_path / "check")).awaitTermination()
+    whole = stale_plan(view, ChangeSet({"events": events}, keys={"events": ("event_id",)})).lower()
+    assert manager.current("l1").select(*whole.columns).exceptAll(whole).isEmpty()
+    assert (manager.entries["l1"].epoch, manager.entries["l1"].applied) == (3, 3)
+    more = events.filter("event_id < 30").withColumn("event_id", F.col("event_id") + 5000)
+    sampler = loops.FreshSampleLoop(manager, "l1", "events", base, str(tmp_path / "log"))
+    sampler.on_batch(more, 4)
+    both = stale_plan(view, ChangeSet({"events": events.unionByName(more)}, keys={"events": ("event_id",)})).lower()
+    want = key_hash_filter(both, list(view.keys), 0.4)
+    assert manager.samples("l1")[1].select(*want.columns).exceptAll(want).isEmpty()
+
+
 def test_windows_and_sampled_state(spark, tmp_path):
     events, _ = split_log(spark, tmp_path)
 
