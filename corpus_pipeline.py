@@ -26,7 +26,8 @@ def one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
     """Of each group of linked documents the one with the least id."""
     found = materialise(ngram_join.similar_components(docs))
     kept = found.filter(F.col("doc_id").eqNullSafe(F.col("component_id"))).groupBy("doc_id").agg(F.count(F.lit(1)).alias("rows"))
-    single = docs.join(kept.filter("rows = 1").select(F.col("doc_id").alias("__kept")), F.col("doc_id").eqNullSafe(F.col("__kept")), "left_semi")
+    # the list of ids grows with the corpus, so it is never broadcast, however small it is here
+    single = docs.join(kept.filter("rows = 1").select(F.col("doc_id").alias("__kept")).hint("merge"), F.col("doc_id").eqNullSafe(F.col("__kept")), "left_semi")
     repeated = docs.join(kept.filter("rows > 1").select(F.col("doc_id").alias("__kept")), F.col("doc_id").eqNullSafe(F.col("__kept")), "left_semi").dropDuplicates(["doc_id"])
     return single.unionByName(repeated)
 
