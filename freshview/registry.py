@@ -401,7 +401,7 @@ def _a14(spark, d):
 
 
 # --- workloads ----------------------------------------------------------------------------
-_WIDE = f""", w as (select split.*, c_mktsegment, cn.n_name as c_nation, cr.r_name as c_region, sn.n_name as s_nation, p_brand, p_type, p_size, p_retailprice, p_name, strftime(o_orderdate, '%Y-%m') as o_month, cast(year(o_orderdate) as int) as o_year, cast(year(l_shipdate) as int) as l_year
+_WIDE = f""", w as (select split.*, c_mktsegment, cn.n_name as c_nation, cr.r_name as c_region, sn.n_name as s_nation, p_brand, p_type, p_size, p_retailprice, p_name, strftime(o_orderdate, '%Y-%m') as o_month, cast(year(o_orderdate) as int) as o_year, cast(year(l_shipdate) as int) as l_year, sum(cast(l_quantity as decimal(12,2))) over (partition by l_orderkey) as order_qty
  from split join customer on o_custkey = c_custkey join nation cn on c_nationkey = cn.n_nationkey join region cr on cn.n_regionkey = cr.r_regionkey join supplier on l_suppkey = s_suppkey join nation sn on s_nationkey = sn.n_nationkey join part on l_partkey = p_partkey)"""
 
 
@@ -419,7 +419,8 @@ def _join_sql(q: AggQuery, sample: str) -> str:
 
 for _name, _q in join_view.queries():
     if _name == "j18":
-        _add("w1_j18")(lambda s, d: _rounded(join_view.run(s, d, names=("j18",)).select("group_key", "truth", "stale", "direct", "correction"), 5))
+        # whole orders are sampled, so that the quantity of an order is that of all its lines
+        _add("w1_j18", _join_sql(_q, O.sampled("l_orderkey")))(lambda s, d: _rounded(join_view.run(s, d, names=("j18",)).select("group_key", "truth", "stale", "direct", "correction"), 5))
         continue
     _add(f"w1_{_name}", _join_sql(_q, O.sampled("l_orderkey || '|' || l_seq")))(lambda s, d, n=_name: _rounded(join_view.run(s, d, names=(n,)).select("group_key", "truth", "stale", "direct", "correction"), 5))
 _add("w1_accuracy")(lambda s, d: join_view.accuracy(s, d, names=("j4", "j10", "j21")))
@@ -439,7 +440,12 @@ for _name, (_text, _by) in _LOG.items():
         f"with e as (select *, cast(ts as date) as day, strftime(ts, '%Y-%m-%d %H') as hour_text, json_extract_string(props, '$.k') as k from events) select {_by}, count(*) as n, round(cast(sum(cast(value as decimal(18,4))) as double), 4) as total from e where {O.sampled(_text)} group by {_by}",
     )(lambda s, d, n=_name: _rounded(log_views.build(s, d, n).fresh_s.select(*log_views.VIEWS[n].keys, F.col("n").cast("bigint").alias("n"), "total"), 4))
 _add("w5_l4_errors")(lambda s, d: log_views.run(s, d, "l4", n=3))
-_add("w5_l6_sessions")(lambda s, d: log_views.build(s, d, "l6").fresh_s.drop("__cnt"))
+_add(
+    "w5_l6_sessions",
+    f"""with e as (select *, coalesce(ts - lag(ts) over w > interval 12 hour, true) as opens from events window w as (partition by user_id order by ts, event_id)),
+ n as (select *, sum(cast(opens as int)) over (partition by user_id order by ts, event_id rows unbounded preceding) as nth from e), b as (select *, cast(min(ts) over (partition by user_id, nth) as date) as session_day from n)
+ select user_id, session_day, count(*) as n, round(cast(sum(cast(value as decimal(18,4))) as double), 4) as total from b where {O.sampled("user_id || '|' || cast(session_day as varchar)")} group by 1, 2""",
+)(lambda s, d: _rounded(log_views.build(s, d, "l6").fresh_s.select("user_id", "session_day", F.col("n").cast("bigint").alias("n"), "total"), 4))
 _add("w5_l8_active_days", "select user_id, count(distinct cast(ts as date)) as days, count(*) as n from events group by 1")(lambda s, d: log_views.active_days(T.load(s, d, "events")).select("user_id", "days", F.col("n").cast("bigint").alias("n")))
 for _name, _f in complex_views.QUERIES.items():
     _add(f"w2_{_name}", complex_views.SQL.get(_name))(_f)
