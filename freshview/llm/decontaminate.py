@@ -10,8 +10,9 @@ Matches are located by walking to sampled suffix positions; overlapping ones mer
 into removal spans.
 
 A phrase (window) is ``WINDOW`` consecutive words of a benchmark item, or all words
-of a shorter item. The benchmark goes to the tasks in blocks of bounded size; more
-blocks mean more passes inside the task over the same cut words, not larger blocks.
+of a shorter item. The benchmark goes to the tasks in blocks of bounded size, several
+to a broadcast of bounded size; a benchmark beyond that takes further passes, which hand
+on word flags and items by row, without a shuffle.
 
 Defined cases: null or wordless texts have no words and no hits; items without words
 are never found; each input row gives one output row, also when ids or texts repeat;
@@ -38,6 +39,8 @@ WORD_TEXT = re.compile(r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+")
 WINDOW = 10
 #: Indexed words of a shard (a longer document is a shard of its own), and benchmark words of a block.
 SHARD_WORDS, BLOCK_WORDS = 1 << 19, 1 << 20
+#: Benchmark words that are broadcast together; a larger benchmark takes more passes over the documents.
+PASS_WORDS = 1 << 22
 #: Every so many-th suffix position is kept.
 SAMPLE = 8
 
@@ -174,17 +177,20 @@ def words_of(text: str | None) -> list[bytes]:
     return WORD_BYTES.findall((text or "").encode("utf-8", "surrogatepass").lower())
 
 
-def item_blocks(benchmark: DataFrame, item_id: str, text: str, window: int, block_words: int) -> list[Phrases]:
-    """The benchmark, row by row to the driver, in blocks of bounded size."""
-    out, items, words = [], [], 0
+def item_blocks(benchmark: DataFrame, item_id: str, text: str, window: int, block_words: int, pass_words: int) -> Iterator[list[Phrases]]:
+    """The benchmark, row by row to the driver, as groups of blocks: one group goes out at a time."""
+    group, items, words, held = [], [], 0, 0
     for row in benchmark.select(benchmark[item_id].cast("string"), benchmark[text].cast("string")).toLocalIterator():
         n = len(words_of(row[1]))
         if items and words + n > block_words:
-            out.append(Phrases(items, window))
-            items, words = [], 0
+            group.append(Phrases(items, window))
+            held, items, words = held + words, [], 0
+            if held >= pass_words:
+                yield group
+                group, held = [], 0
         items.append((row[0], row[1]))
         words += n
-    return [*out, *([Phrases(items, window)] if items else [])]
+    yield [*group, *([Phrases(items, window)] if items else [])]
 
 
 def _runs(symbols: np.ndarray, doc: np.ndarray, shortest: int) -> tuple[np.ndarray, np.ndarray]:
@@ -259,48 +265,72 @@ def without(text: str | None, spans: list[tuple[int, int]]) -> str | None:
     return "".join([*out, text[at:]])
 
 
-def _scanned(batches, blocks: list[Phrases]) -> Iterator[tuple]:
-    """Slices of the batches with texts, word flags and items."""
+def _shards(batches, blocks: list[Phrases], first: bool) -> Iterator[tuple]:
+    """Slices of the batches (kept columns, text, and after the first pass the state) with texts, word flags and items."""
     for batch in batches:
-        texts = batch.column(batch.num_columns - 1).to_pylist()
+        at = batch.num_columns - (1 if first else 3)
+        texts = batch.column(at).to_pylist()
         begin, words, total = 0, [], 0
         for i, text in enumerate(texts):
             words.append(words_of(text))
             total += len(words[-1])
             if total >= SHARD_WORDS or i == len(texts) - 1:
                 hits, items = shard_hits(words, blocks)
-                yield batch.slice(begin, i + 1 - begin), texts[begin : i + 1], hits, items
+                part = batch.slice(begin, i + 1 - begin)
+                if not first:
+                    before = [np.unpackbits(np.frombuffer(x, np.uint8))[: len(h)].astype(bool) for x, h in zip(part.column(at + 1).to_pylist(), hits)]
+                    hits = [h | b for h, b in zip(hits, before)]
+                    items = [sorted({*x, *y}) for x, y in zip(items, part.column(at + 2).to_pylist())]
+                yield part.select(range(at + 1)), texts[begin : i + 1], hits, items
                 begin, words, total = i + 1, [], 0
 
 
-def find_contamination(df: DataFrame, benchmark: DataFrame, doc_id: str = "doc_id", text: str = "text", item_id: str = "item_id", item_text: str = "text", window: int = WINDOW, block_words: int = BLOCK_WORDS) -> DataFrame:
+def _in_passes(src: DataFrame, groups: Iterator[list[Phrases]], finish, schema) -> DataFrame:
+    """One pass over ``src`` (text last) a group of blocks; the last ends in ``finish``. Passes hand on flags and items by row."""
+    state = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in src.schema) + ", __hit binary, __items array<string>"
+    frame, first, group = src, True, next(groups)
+    while group is not None:
+        following = next(groups, None)
+        held = src.sparkSession.sparkContext.broadcast(group)
+
+        def run(batches, held=held, first=first, last=following is None):
+            for part, texts, hits, items in _shards(batches, held.value, first):
+                if last:
+                    yield finish(part, texts, hits, items)
+                else:
+                    more = [pa.array([np.packbits(h).tobytes() for h in hits], pa.binary()), pa.array(items, pa.list_(pa.string()))]
+                    yield pa.RecordBatch.from_arrays([*part.columns, *more], names=[*part.schema.names, "__hit", "__items"])
+
+        frame = bounded_batches(frame).mapInArrow(run, schema if following is None else state)
+        first, group = False, following
+    return frame
+
+
+def find_contamination(df: DataFrame, benchmark: DataFrame, doc_id: str = "doc_id", text: str = "text", item_id: str = "item_id", item_text: str = "text", window: int = WINDOW, block_words: int = BLOCK_WORDS, pass_words: int = PASS_WORDS) -> DataFrame:
     """Per row: doc_id, n_words, n_hit, items array<string>, spans array<struct<start,end>> (code points)."""
-    blocks = df.sparkSession.sparkContext.broadcast(item_blocks(benchmark, item_id, item_text, window, block_words))
     src = df.select(df[doc_id].alias("doc_id"), df[text].cast("string").alias("text"))
     span = pa.struct([("start", pa.int32()), ("end", pa.int32())])
 
-    def run(batches):
-        for part, texts, hits, items in _scanned(batches, blocks.value):
-            spans = [[{"start": a, "end": b} for a, b in removal_spans(t, h)] for t, h in zip(texts, hits)]
-            yield pa.RecordBatch.from_arrays(
-                [part.column(0), pa.array([len(h) for h in hits], pa.int64()), pa.array([int(h.sum()) for h in hits], pa.int64()), pa.array(items, pa.list_(pa.string())), pa.array(spans, pa.list_(span))],
-                names=["doc_id", "n_words", "n_hit", "items", "spans"],
-            )
+    def finish(part, texts, hits, items):
+        spans = [[{"start": a, "end": b} for a, b in removal_spans(t, h)] for t, h in zip(texts, hits)]
+        return pa.RecordBatch.from_arrays(
+            [part.column(0), pa.array([len(h) for h in hits], pa.int64()), pa.array([int(h.sum()) for h in hits], pa.int64()), pa.array(items, pa.list_(pa.string())), pa.array(spans, pa.list_(span))],
+            names=["doc_id", "n_words", "n_hit", "items", "spans"],
+        )
 
-    return bounded_batches(src).mapInArrow(run, f"doc_id {src.schema['doc_id'].dataType.simpleString()}, n_words long, n_hit long, items array<string>, spans array<struct<start:int,end:int>>")
+    schema = f"doc_id {src.schema['doc_id'].dataType.simpleString()}, n_words long, n_hit long, items array<string>, spans array<struct<start:int,end:int>>"
+    return _in_passes(src, item_blocks(benchmark, item_id, item_text, window, block_words, pass_words), finish, schema)
 
 
-def remove_contamination(df: DataFrame, benchmark: DataFrame, text: str = "text", item_id: str = "item_id", item_text: str = "text", window: int = WINDOW, block_words: int = BLOCK_WORDS) -> DataFrame:
+def remove_contamination(df: DataFrame, benchmark: DataFrame, text: str = "text", item_id: str = "item_id", item_text: str = "text", window: int = WINDOW, block_words: int = BLOCK_WORDS, pass_words: int = PASS_WORDS) -> DataFrame:
     """The same rows and columns with every removal span cut out of the text."""
-    blocks = df.sparkSession.sparkContext.broadcast(item_blocks(benchmark, item_id, item_text, window, block_words))
     src = df.select(*[c for c in df.columns if c != text], text)
 
-    def run(batches):
-        for part, texts, hits, _ in _scanned(batches, blocks.value):
-            clean = [without(t, removal_spans(t, h)) for t, h in zip(texts, hits)]
-            yield pa.RecordBatch.from_arrays([*part.columns[:-1], pa.array(clean, pa.string())], schema=part.schema)
+    def finish(part, texts, hits, _):
+        clean = [without(t, removal_spans(t, h)) for t, h in zip(texts, hits)]
+        return pa.RecordBatch.from_arrays([*part.columns[:-1], pa.array(clean, pa.string())], schema=part.schema)
 
-    return bounded_batches(src).mapInArrow(run, src.schema).select(*df.columns)
+    return _in_passes(src, item_blocks(benchmark, item_id, item_text, window, block_words, pass_words), finish, src.schema).select(*df.columns)
 
 
 def op5_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:

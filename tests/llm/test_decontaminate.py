@@ -36,8 +36,8 @@ def test_against_brute_force(spark):
     docs = spark.createDataFrame(rows, "doc_id long, text string, items string")
     bench = spark.createDataFrame(ITEMS, "item_id long, text string")
     items = [x for x in ITEMS if x[0] is not None]
-    for block_words in (D.BLOCK_WORDS, 5):
-        got = {r.doc_id: r for r in D.find_contamination(docs, bench, block_words=block_words).collect()}
+    for block_words, pass_words in ((D.BLOCK_WORDS, D.PASS_WORDS), (5, D.PASS_WORDS), (5, 1)):
+        got = {r.doc_id: r for r in D.find_contamination(docs, bench, block_words=block_words, pass_words=pass_words).collect()}
         assert len(got) == len(rows)
         for i, t, _ in rows:
             n, hit, found = D.brute_force(t, ITEMS)
@@ -48,6 +48,8 @@ def test_against_brute_force(spark):
                 assert len(inside) == hit
     clean = {r.doc_id: r for r in D.remove_contamination(docs, bench).collect()}
     assert clean[4].text == "a  b " and clean[0].text is None and clean[4]["items"] == "x"
+    again = {r.doc_id: r.text for r in D.remove_contamination(docs, bench, block_words=5, pass_words=1).collect()}
+    assert again == {i: r.text for i, r in clean.items()}
     assert D.find_contamination(docs.limit(0), bench).count() == 0
     assert D.find_contamination(docs, bench.limit(0)).agg({"n_hit": "sum"}).first()[0] == 0
 
