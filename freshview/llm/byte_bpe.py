@@ -37,7 +37,7 @@ WHITE_SPACE = [*range(0x9, 0xE), 0x20, 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B
 #: What follows the apostrophe of a contraction.
 CONTRACTIONS = ("s", "t", "re", "ve", "m", "ll", "d")
 #: Entries of a worker's cache of pieces, and the longest piece kept, in code points.
-CACHE_PIECES, CACHE_CHARS = 200_000, 64
+CACHE_PIECES, CACHE_CHARS = 300_000, 64
 #: Characters that are cut and encoded together.
 BLOCK_CHARS = 1 << 19
 
