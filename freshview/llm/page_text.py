@@ -1,16 +1,20 @@
 """Main text of web pages with site template removal.
 
 First pass: each page is parsed, and a hash of every block element's subtree (tags and
-text) is emitted; Spark counts the pages of a host that hold it. Subtrees on at least
-``MIN_PAGES`` pages and ``MIN_SHARE`` of the host's pages are its template; at that
-share a host has at most ``1 / MIN_SHARE`` times as many as one page has elements, so
-the list by host is small. Second pass: the list is joined by host (Spark broadcasts it
-only if its written size is below the session's threshold, else it joins by shuffle),
-the page is parsed again, template subtrees are deleted, then elements that are
-boilerplate by tag, role, class or state, and the text of the main element is read.
-
-Inside the main element only containers are deleted as template, never paragraphs or
-headings: articles may quote each other or be copies.
+text) is emitted, beside a hash of the page's main text; Spark counts the distinct main
+texts of a host whose pages hold the subtree, so copies and repeats of a page count
+once. Subtrees with at least ``MIN_PAGES`` main texts and ``MIN_SHARE`` of the host's
+are its template; at that share a host has at most ``1 / MIN_SHARE`` times as many as
+its pages of one main text have elements, so the list by host is small. Second pass: the
+list is joined by host (Spark broadcasts it only if its written size is below the
+session's threshold, else it joins by shuffle), the page is parsed again, elements that
+are boilerplate by tag, role, class or state are deleted, and the text of the main
+element is read without template subtrees.
+
+Nothing inside a chosen article or main element is template, since articles may quote
+each other or be near copies; an element that is only named as content often wraps the
+whole page, so there only containers are template, never paragraphs or headings. Where
+no text would be left, the template subtrees stay.
 
 Defined cases: null or empty html gives empty text; a page without article or main
 element gives what is left of its body; unclosed, crossed or stray tags, comments
@@ -191,30 +195,32 @@ def _is_boilerplate(node: Node, inside_main: bool) -> bool:
     return False
 
 
-def prune(root: Node, template: set[int]) -> int:
-    """Delete template subtrees and boilerplate in place; how many template subtrees went."""
+def prune(root: Node, template: set[int]) -> tuple[dict[int, str], int]:
+    """Delete boilerplate in place; tags of the template subtrees that are left, by id() of the node, and how many went."""
     hashes = subtree_hashes(root) if template else {}
+    marked: dict[int, str] = {}
     removed = 0
-    stack = [(root, False)]
+    stack = [(root, False, False)]
     while stack:
-        node, inside = stack.pop()
+        node, inside, within = stack.pop()
         kept = []
         for c in node.children:
             if isinstance(c, Node):
                 main = inside or c.tag in ("article", "main")
-                if hashes.get(id(c)) in template and (c.tag not in PROTECTED or not inside and c.tag not in ("article", "main", "body", "html")) and not _has_main(c):
-                    removed += 1
-                    continue
+                found = hashes.get(id(c)) in template and (c.tag not in PROTECTED or not inside and c.tag not in ("article", "main", "body", "html")) and not _has_main(c)
                 if _is_boilerplate(c, inside):
+                    removed += found and not within
                     continue
-                stack.append((c, main))
+                if found:
+                    marked[id(c)] = c.tag
+                stack.append((c, main, within or found))
             kept.append(c)
         node.children = kept
-    return removed
+    return marked, removed
 
 
-def text_of(root: Node) -> str:
-    """White space collapsed in each block, blocks joined by a space."""
+def text_of(root: Node, without=frozenset()) -> str:
+    """White space collapsed in each block, blocks joined by a space; nodes whose id() is in ``without`` are left out."""
     parts: list[str] = []
     stack: list = [root]
     while stack:
@@ -222,6 +228,8 @@ def text_of(root: Node) -> str:
         if isinstance(x, str):
             parts.append(x)
             continue
+        if id(x) in without:
+            continue
         if x.tag in BLOCKS:
             parts.append("\n")
             stack.append("\n")
@@ -229,8 +237,8 @@ def text_of(root: Node) -> str:
     return " ".join(html.unescape("".join(parts)).split())
 
 
-def main_element(root: Node) -> Node:
-    """The article with most text; else main; else an element named as content; else everything."""
+def main_element(root: Node, marked=frozenset()) -> tuple[Node, str]:
+    """The article with most text beside marked nodes; else main; else an element named as content; else everything. And its kind."""
     found: dict[str, list[Node]] = {"article": [], "main": [], "named": []}
     stack = [(root, frozenset())]
     while stack:
@@ -248,10 +256,24 @@ def main_element(root: Node) -> Node:
                 found[kind].append(c)
             stack.append((c, inside | {kind} if kind else inside))
     for kind in ("article", "main", "named"):
-        best = max(found[kind], key=lambda n: len(text_of(n)), default=None)
+        best = max(found[kind], key=lambda n: (len(text_of(n, marked)) if marked else 0, len(text_of(n))), default=None)
         if best is not None and text_of(best):
-            return best
-    return root
+            return best, kind
+    return root, "page"
+
+
+def _count_marked(root: Node, main: Node, marked, without) -> int:
+    """Outermost marked nodes outside the main element and outermost nodes of ``without`` inside it."""
+    count, stack = 0, [(root, marked)]
+    while stack:
+        node, those = stack.pop()
+        if node is main:
+            those = without
+        elif id(node) in those:
+            count += 1
+            continue
+        stack.extend((c, those) for c in node.children if isinstance(c, Node))
+    return count
 
 
 def extract(page: str | None, template: set[int] = frozenset()) -> tuple[str, int]:
@@ -259,25 +281,42 @@ def extract(page: str | None, template: set[int] = frozenset()) -> tuple[str, in
     if not page:
         return "", 0
     root = parse(page)
-    removed = prune(root, template)
-    return text_of(main_element(root)), removed
+    marked, removed = prune(root, template)
+    main, kind = main_element(root, marked)
+    without = {} if kind in ("article", "main") else {k: tag for k, tag in marked.items() if kind == "page" or tag not in PROTECTED}
+    text = text_of(main, without)
+    if without and not text:
+        without = {}
+        text = text_of(main)
+    return text, removed + (_count_marked(root, main, marked, without) if marked else 0)
 
 
 def with_host(pages: DataFrame, url: str = "url") -> DataFrame:
     return pages.withColumn("host", F.coalesce(F.regexp_extract(F.lower(F.col(url)), r"^[a-z][a-z0-9+.-]*://(?:[^/?#@]*@)?([^/:?#]+)", 1), F.lit("")))
 
 
+def hashes_and_content(page: str | None) -> tuple[list[int], int]:
+    """Distinct subtree hashes of a page, and a hash of its main text."""
+    if not page:
+        return [], 0
+    root = parse(page)
+    found = sorted(set(subtree_hashes(root).values()))
+    prune(root, frozenset())
+    content = xxhash.xxh64_intdigest(text_of(main_element(root)[0]))
+    return found, content - (1 << 64) if content >> 63 else content
+
+
 def site_templates(pages: DataFrame, min_pages: int = MIN_PAGES, min_share: float = MIN_SHARE) -> DataFrame:
-    """(host, template array<long>) of pages with columns host and html."""
+    """(host, template array<long>) of pages with columns host and html; page counts are of distinct main texts."""
 
     def run(batches):
         for batch in batches:
-            found = [sorted(set(subtree_hashes(parse(x)).values())) if x else [] for x in batch.column(1).to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(found, pa.list_(pa.int64()))], names=["host", "hashes"])
+            found = [hashes_and_content(x) for x in batch.column(1).to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([h for h, _ in found], pa.list_(pa.int64())), pa.array([c for _, c in found], pa.int64())], names=["host", "hashes", "content"])
 
-    hashed = pages.select("host", "html").mapInArrow(run, "host string, hashes array<long>")
-    # one row of hash null a page counts the host's pages
-    rows = hashed.select("host", F.explode(F.concat(F.array(F.lit(None).cast("long")), "hashes")).alias("hash"))
+    hashed = pages.select("host", "html").mapInArrow(run, "host string, hashes array<long>, content long")
+    # one row of hash null a page counts the host's main texts
+    rows = hashed.select("host", "content", F.explode(F.concat(F.array(F.lit(None).cast("long")), "hashes")).alias("hash")).distinct()
     counts = rows.groupBy("host", "hash").agg(F.count(F.lit(1)).alias("pages")).filter(F.col("hash").isNull() | (F.col("pages") >= min_pages))
     frequent = counts.groupBy("host").agg(F.max(F.when(F.col("hash").isNull(), F.col("pages"))).alias("all"), F.collect_list(F.when(F.col("hash").isNotNull(), F.struct("hash", "pages"))).alias("found"))
     template = F.transform(F.filter("found", lambda x: x["pages"] >= min_share * F.col("all")), lambda x: x["hash"])

@@ -30,6 +30,32 @@ def test_templates_by_host(spark):
     assert P.extract_pages(df).count() == len(rows) and P.extract_pages(df.limit(0)).count() == 0
 
 
+def test_copies_are_no_template(spark):
+    inner = "<h1>Same title</h1><p>Same words</p><ul><li>one<li>two</ul><table><tr><td>cell</table><div>box</div><section>part</section><figure><figcaption>cap</figcaption></figure>"
+    text = "Same title Same words one two cell box part cap"
+    bar = "<div class=x>Bar of the site</div>"
+    for k, (left, right) in enumerate([("<article>", "</article>"), ("<main>", "</main>"), ("<div id=content>", "</div>"), ("<div class=z>", "</div>")]):
+        own = lambda i: f"<html><body>{bar}{left}<h1>Title {i}</h1><p>Own {i}</p>{right}</body></html>"  # noqa: E731, B023
+        rows = [(i, f"http://h{k}.org/{i}", f"<html><body>{bar}{left}{inner}{right}</body></html>") for i in range(6)]
+        rows += [rows[0]] * 3 + [(100 + i, f"http://h{k}.org/{i}", own(i)) for i in range(8)]
+        got = P.extract_pages(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()
+        assert len(got) == len(rows)
+        for r in got:
+            assert r.text == (text if r.page_id < 100 else f"Title {r.page_id - 100} Own {r.page_id - 100}") and r.n_template == 1
+
+
+def test_near_copies_and_emptied_pages():
+    # a list that many articles share stays; a page of nothing but template keeps its text
+    page = "<div>Bar</div><article><p>Text {}</p><ul><li>one</ul><div>box</div></article>"
+    template = frozenset(P.subtree_hashes(P.parse(page.format(0))).values())
+    assert P.extract(page.format(1), template) == ("Text 1 one box", 1)
+    only = "<div id=content><div>Alpha</div><ul><li>Beta</ul></div>"
+    assert P.extract(only, frozenset(P.subtree_hashes(P.parse(only)).values()))[0] == "Alpha Beta"
+    named = "<div id=content><div>Bar</div><p>Quote</p><p>Own</p></div>"
+    template = frozenset(P.subtree_hashes(P.parse("<div>Bar</div><p>Quote</p>")).values())
+    assert P.extract(named, template) == ("Quote Own", 1)
+
+
 def test_given_pages(spark):
     import html
     import re
