@@ -1,8 +1,9 @@
 """Corpus pipeline over documents: language, near copies, benchmark passages, secrets, tokens.
 
 Each stage takes what its predecessor kept. A text that a stage changes gets a new
-``n_chars``. ``doc_id`` identifies a document: of rows that repeat an id, the stage on
-near copies keeps one. Rows with null id are kept or left by the same rules.
+``n_chars``. A row's id and text identify a document, so different texts under one id, or
+under none, are documents of their own; of rows that repeat an id and its text, the stage
+on near copies keeps one.
 """
 
 from __future__ import annotations
@@ -23,13 +24,19 @@ def known_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of linked documents the one with the least id."""
-    found = materialise(ngram_join.similar_components(docs))
-    kept = found.filter(F.col("doc_id").eqNullSafe(F.col("component_id"))).groupBy("doc_id").agg(F.count(F.lit(1)).alias("rows"))
-    # the list of ids grows with the corpus, so it is never broadcast, however small it is here
-    single = docs.join(kept.filter("rows = 1").select(F.col("doc_id").alias("__kept")).hint("merge"), F.col("doc_id").eqNullSafe(F.col("__kept")), "left_semi")
-    repeated = docs.join(kept.filter("rows > 1").select(F.col("doc_id").alias("__kept")), F.col("doc_id").eqNullSafe(F.col("__kept")), "left_semi").dropDuplicates(["doc_id"])
-    return single.unionByName(repeated)
+    """Of each group of linked documents the one with the least id, ties by a digest of the text; null ids come last."""
+    marked = docs.withColumn("__digest", F.md5("text"))
+    key = F.struct(F.col("doc_id").isNull().alias("unnamed"), "doc_id", F.col("__digest").alias("digest"))
+    found = materialise(ngram_join.similar_components(marked.select("text", key.alias("__key")), doc_id="__key"))
+    # without an id, wordless texts are not known to repeat each other: each is its own group
+    apart = F.col("doc_id.unnamed") & (F.col("n_shingles") == 0)
+    kept = found.filter(F.col("doc_id") == F.col("component_id")).groupBy("doc_id").agg(F.count(F.when(~apart, F.lit(1))).alias("rows"))
+    kept = kept.select(F.col("doc_id.doc_id").alias("__kept"), F.col("doc_id.digest").alias("__kept_digest"), "rows")
+    same = F.col("doc_id").eqNullSafe(F.col("__kept")) & F.col("__digest").eqNullSafe(F.col("__kept_digest"))
+    # the list grows with the corpus, so it is never broadcast, however small it is here
+    single = marked.join(kept.filter("rows <= 1").hint("merge"), same, "left_semi")
+    repeated = marked.join(kept.filter("rows > 1"), same, "left_semi").dropDuplicates(["doc_id", "__digest"])
+    return single.unionByName(repeated).drop("__digest")
 
 
 def without_benchmarks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

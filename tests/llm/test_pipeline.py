@@ -48,6 +48,18 @@ def test_stages_against_brute_force(spark):
     assert language.UNKNOWN == "und"
 
 
+def test_near_copies_by_row(spark):
+    text = lambda k, n=40: " ".join(f"w{k}x{i}" for i in range(n))
+    near = text(0, 39) + " other"
+    # null ids: three texts, one of them twice, and a near copy of a named one; id 5: two texts, one twice; id 7: own text and a near copy of id 1
+    rows = [(None, text(1)), (None, text(2)), (None, text(3)), (None, text(3)), (None, near), (5, text(5)), (5, text(6)), (5, text(6)), (1, text(0)), (7, near), (7, text(7)), (8, "..."), (None, None), (None, None), (9, None), (9, None)]
+    docs = spark.createDataFrame([(i, t, k) for k, (i, t) in enumerate(rows)], "doc_id long, text string, n int").repartition(3)
+    out = corpus_pipeline.one_of_each_group(spark, docs, "")
+    assert out.columns == docs.columns
+    want = [(None, text(1)), (None, text(2)), (None, text(3)), (5, text(5)), (5, text(6)), (1, text(0)), (7, text(7)), (8, "..."), (None, None), (None, None), (9, None)]
+    assert sorted(((r.doc_id, r.text) for r in out.collect()), key=str) == sorted(want, key=str)
+
+
 def flags(text, items):
     words = decontaminate.words_of(text)
     windows = {}
