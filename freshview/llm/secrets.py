@@ -6,8 +6,11 @@ fourth kind, ``entropy``, looks at candidate strings and slides a window over
 each: the sum of ``c * log2(c)`` over the character counts in the window is
 updated by the one character that enters and the one that leaves, so no window is
 counted anew. The threshold depends on the candidate's character class, and an
-allow-list takes known harmless strings out. Entropy spans inside a base span are
-left out, since they add nothing.
+allow-list takes known harmless strings out: only whole candidates whose segments are
+all dictionary-like. The letters and digits beside a separator are a candidate of
+their own, by their own class, so a prefix does not raise their threshold. Entropy
+spans inside a base span, or inside that of their whole candidate, are left out, since
+they add nothing.
 
 Positions without Python: ``split`` by a pattern gives what lies between the
 matches, ``regexp_extract_all`` the matches; running sums of both lengths are the
@@ -39,11 +42,18 @@ WINDOW = 20
 CANDIDATE = r"[A-Za-z0-9+/_=-]{20,}"
 #: Bits a character over the best window that make a candidate a secret, by class.
 THRESHOLDS = {"hex": 3.0, "letters_digits": 3.75, "symbols": 3.9}
+#: The letters and digits of a candidate between separators, or between one and an end.
+PART = r"(?<=[+/_=-])[A-Za-z0-9]{20,}+|(?<![A-Za-z0-9])[A-Za-z0-9]{20,}+(?=[+/_=-])"
+#: A word, words in camel case, or a short number; an allowed word or sequence as a whole segment. Repeats
+#: of groups are bounded and atomic, as long candidates would else take the matcher's stack or time.
+_SEGMENT = r"[A-Z]?[a-z]+(?:[A-Z][a-z]+){0,8}[0-9]{0,2}|[A-Z]+[0-9]{0,2}|[0-9]{1,4}"
+_HARMLESS = r"(?i:example|sample|dummy|placeholder|changeme|abcdefghij[k-z]*+|0123456789(?:abcdef)?)"
 ALLOW = (
-    r"(?i)example|sample|dummy|placeholder|changeme|abcdefghij|0123456789",
+    rf"^(?=(?:.*[-_=+/])?{_HARMLESS}(?:[-_=+/]|$))(?>(?:{_HARMLESS}|{_SEGMENT})(?:[-_=+/]++|$)|[-_=+/]++){{1,60}}$",
+    rf"^{_HARMLESS}{{2,20}}$",
     r"^[A-Za-z]+$",
     r"^[0-9]+$",
-    r"^[-_=+/]",
+    rf"^[-_=+/]++(?>(?:{_SEGMENT})(?:[-_=+/]++|$)){{0,60}}$",
 )
 
 SPAN = "array<struct<start:int,ord:int,kind:string,end:int>>"
@@ -102,20 +112,20 @@ def window_entropy(string: Column, window: int = WINDOW) -> Column:
     return F.when(F.length(string) >= window, _let(F.split(string, "(?<=.)(?=.)"), over)).otherwise(F.lit(0.0))
 
 
-def _is_secret(candidate: Column) -> Column:
+def _is_secret(candidate: Column, thresholds: dict[str, float], allow: tuple[str, ...]) -> Column:
     threshold = (
-        F.when(candidate.rlike("^[0-9a-fA-F]+$"), F.lit(THRESHOLDS["hex"]))
-        .when(candidate.rlike("[+/_=-]"), F.lit(THRESHOLDS["symbols"]))
-        .otherwise(F.lit(THRESHOLDS["letters_digits"]))
+        F.when(candidate.rlike("^[0-9a-fA-F]+$"), F.lit(thresholds["hex"]))
+        .when(candidate.rlike("[+/_=-]"), F.lit(thresholds["symbols"]))
+        .otherwise(F.lit(thresholds["letters_digits"]))
     )
     allowed = F.lit(False)
-    for pattern in ALLOW:
+    for pattern in allow:
         allowed = allowed | candidate.rlike(pattern)
     return F.when(allowed, F.lit(False)).otherwise(window_entropy(candidate) >= threshold)
 
 
-def _entropy_flags(text: Column) -> Column:
-    return F.transform(F.regexp_extract_all(text, F.lit(CANDIDATE), F.lit(0)), _is_secret)
+def _entropy_spans(text: Column, pattern: str, thresholds: dict[str, float], allow: tuple[str, ...]) -> Column:
+    return _spans(text, pattern, "entropy", lambda t: F.transform(F.regexp_extract_all(t, F.lit(pattern), F.lit(0)), lambda c: _is_secret(c, thresholds, allow)))
 
 
 def _assign_flags(text: Column) -> Column:
@@ -126,15 +136,16 @@ def _plain(spans: Column) -> Column:
     return F.transform(spans, lambda s: F.struct(s["kind"].alias("kind"), s["start"].alias("start"), s["end"].alias("end")))
 
 
-def scan_secrets(df: DataFrame, text: str = "text", out: str = "secret_spans") -> DataFrame:
+def scan_secrets(df: DataFrame, text: str = "text", out: str = "secret_spans", thresholds: dict[str, float] = THRESHOLDS, allow: tuple[str, ...] = ALLOW) -> DataFrame:
     """All columns of ``df`` plus ``out``: array<struct<kind, start, end>>, by start, then kind as listed."""
     body = F.coalesce(df[text].cast("string"), F.lit(""))
     base = F.array_sort(F.concat(_spans(body, PATTERNS["assign"], "assign", _assign_flags), _spans(body, PATTERNS["access"], "access"), _spans(body, PATTERNS["hex"], "hex")))
-    entropy = _spans(body, CANDIDATE, "entropy", _entropy_flags)
-    found = df.select("*", base.alias("__base_spans"), entropy.alias("__entropy_spans"))
-    b, e = F.col("__base_spans"), F.col("__entropy_spans")
-    fresh = F.filter(e, lambda x: ~F.exists(b, lambda y: (y["start"] <= x["start"]) & (x["end"] <= y["end"])))
-    spans = F.when(F.size(e) == 0, b).otherwise(F.array_sort(F.concat(b, fresh)))
+    entropy, parts = _entropy_spans(body, CANDIDATE, thresholds, allow), _entropy_spans(body, PART, thresholds, allow)
+    found = df.select("*", base.alias("__base_spans"), entropy.alias("__entropy_spans"), parts.alias("__part_spans"))
+    b, e, p = F.col("__base_spans"), F.col("__entropy_spans"), F.col("__part_spans")
+    outside = lambda x, spans: ~F.exists(spans, lambda y: (y["start"] <= x["start"]) & (x["end"] <= y["end"]))
+    fresh = F.concat(F.filter(e, lambda x: outside(x, b)), F.filter(p, lambda x: outside(x, b) & outside(x, e)))
+    spans = F.when(F.size(e) + F.size(p) == 0, b).otherwise(F.array_sort(F.concat(b, fresh)))
     return found.select(*[found[c] for c in df.columns], _plain(spans).alias(out))
 
 

@@ -66,3 +66,19 @@ def test_redaction(spark):
 
 def test_empty_table(spark):
     assert S.digest(S.scan_secrets(spark.createDataFrame([], "doc_id long, text string"))).count() == 0
+
+
+def test_prefixes_do_not_hide_secrets(spark):
+    key, harmless = "q9Zx7Lm2Pv8Rt4Ws6Yk1Nb3", ["/usr/local/share/icons/theme2", "--no-example-values-given", "your_sample_key_placeholder", "/srv/MyProject/SomeClass/v2/index", "abcdefghijklmnopqrstuvwxyz0123456789"]
+    found = [c + key for c in "+/-_="] + [f"sample/KEY={key}", f"EXAMPLE_{key}", f"my{key}sample", f"--path=/usr/{key}"]
+    low = "ab3cd4ef5gh6ij7kl8ab"  # 3.75 to 3.9 bits: only by its own class
+    assert S.THRESHOLDS["letters_digits"] <= entropy(low) < 4.2
+    rows = list(enumerate(found + ["x=" + low, *harmless]))
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r.doc_id: [(s.kind, r.text[s.start : s.end]) for s in r.secret_spans] for r in S.scan_secrets(df).collect()}
+    for i, t in rows:
+        assert any(k == "entropy" and (key in x or low in x) for k, x in got[i]) == (t not in harmless), (t, got[i])
+    strict = S.scan_secrets(df, thresholds={k: 9.0 for k in S.THRESHOLDS}).filter("size(secret_spans) > 0")
+    assert strict.count() == 0 and S.scan_secrets(df, allow=(".",)).filter("size(secret_spans) > 0").count() == 0
+    long = [(i, c * 20000) for i, c in enumerate(("-a", "aA", "/sample", "-a1", "example"))]
+    assert S.scan_secrets(spark.createDataFrame(long, "doc_id long, text string")).filter("size(secret_spans) > 0").count() == 0
