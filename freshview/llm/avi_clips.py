@@ -29,7 +29,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from .common import bounded_batches, table
+from .common import slices, table
 
 ROW, ROWS, RATE = 64, 64, 25
 SHOT_WINDOW, SHOT_DEVIATIONS, SHOT_FLOOR, BINS = 8, 3.0, 0.25, 16
@@ -413,7 +413,7 @@ def media_features(df: DataFrame, doc_id: str = "doc_id", text: str = "text") ->
     src = df.select(df[doc_id].alias("doc_id"), df[text].cast("string").alias("text"))
 
     def run(batches):
-        for batch in batches:
+        for batch in slices(batches):
             texts = _texts(batch.column(1))
             for a, b in _blocks(texts):
                 files = store([payload_of(t) for t in texts[a:b]])
@@ -428,7 +428,7 @@ def media_features(df: DataFrame, doc_id: str = "doc_id", text: str = "text") ->
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), *(pa.array(c, k) for c, k in zip(zip(*rows), kinds))], names=["doc_id", *names])
 
     kind = src.schema["doc_id"].dataType.simpleString()
-    return bounded_batches(src).mapInArrow(run, f"doc_id {kind}, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string")
+    return src.mapInArrow(run, f"doc_id {kind}, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string")
 
 
 def store_media(df: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
@@ -436,12 +436,12 @@ def store_media(df: DataFrame, doc_id: str = "doc_id", text: str = "text") -> Da
     src = df.select(df[doc_id].alias("doc_id"), df[text].cast("string").alias("text"))
 
     def run(batches):
-        for batch in batches:
+        for batch in slices(batches):
             texts = _texts(batch.column(1))
             for a, b in _blocks(texts):
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), pa.array(store([payload_of(t) for t in texts[a:b]]), pa.binary())], names=["doc_id", "media"])
 
-    return bounded_batches(src).mapInArrow(run, f"doc_id {src.schema['doc_id'].dataType.simpleString()}, media binary")
+    return src.mapInArrow(run, f"doc_id {src.schema['doc_id'].dataType.simpleString()}, media binary")
 
 
 def clips(df: DataFrame, doc_id: str = "doc_id", media: str = "media") -> DataFrame:
@@ -449,7 +449,7 @@ def clips(df: DataFrame, doc_id: str = "doc_id", media: str = "media") -> DataFr
     src = df.select(df[doc_id].alias("doc_id"), df[media].alias("media")).filter("media is not null")
 
     def run(batches):
-        for batch in batches:
+        for batch in slices(batches):
             for i, f in enumerate(batch.column(1).to_pylist()):
                 frames, rate = read_avi(f)
                 edges = [*shots(decode_frames(frames)), len(frames)]
@@ -459,7 +459,7 @@ def clips(df: DataFrame, doc_id: str = "doc_id", media: str = "media") -> DataFr
                 columns = list(zip(*rows)) or [()] * 5
                 yield pa.RecordBatch.from_arrays([owner, *(pa.array(c, k) for c, k in zip(columns, kinds))], names=["doc_id", "clip", "first_frame", "n_frames", "start_s", "end_s"])
 
-    return bounded_batches(src).mapInArrow(run, f"doc_id {src.schema['doc_id'].dataType.simpleString()}, clip int, first_frame int, n_frames int, start_s double, end_s double")
+    return src.mapInArrow(run, f"doc_id {src.schema['doc_id'].dataType.simpleString()}, clip int, first_frame int, n_frames int, start_s double, end_s double")
 
 
 def op6_avi_clips(spark: SparkSession, sf_dir: str) -> DataFrame:

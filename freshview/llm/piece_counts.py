@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
 from .byte_bpe import load_ranks, vocabulary
-from .common import bounded_batches, table
+from .common import slices, table
 
 WORD = re.compile(rb"[^\x20\x09-\x0D]+")
 CACHE_WORDS, CACHE_BYTES = 400_000, 64
@@ -129,7 +129,7 @@ def count_tokens(df: DataFrame, doc_id: str = "doc_id", text: str = "text", path
 
     def run(batches):
         tool = _tool(path)
-        for batch in batches:
+        for batch in slices(batches):
             rows = []
             for text in batch.column(1).cast(pa.binary()).to_pylist():
                 words = WORD.findall(text or b"")
@@ -138,7 +138,7 @@ def count_tokens(df: DataFrame, doc_id: str = "doc_id", text: str = "text", path
             columns = list(zip(*rows)) or [()] * 3
             yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, pa.int64()) for c in columns)], names=["doc_id", "n_words", "n_tokens", "longest"])
 
-    return bounded_batches(src).mapInArrow(run, f"doc_id {src.schema['doc_id'].dataType.simpleString()}, n_words long, n_tokens long, longest long")
+    return src.mapInArrow(run, f"doc_id {src.schema['doc_id'].dataType.simpleString()}, n_words long, n_tokens long, longest long")
 
 
 def op3_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
