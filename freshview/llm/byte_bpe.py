@@ -1,14 +1,18 @@
 """Byte-level BPE encoding and decoding with vectorised pre-tokenisation.
 
 Text is cut without a regular expression. Every code point maps to a class by one
-table lookup over an array. The cutting automaton is definite: what it does at a
-code point depends on the classes just read, so composing the transition functions
-of two neighbours is already constant and the associative scan over them ends after
-one doubling step. That step is a lookup in ``CUT`` by (previous class, class); two
-corrections, white space before a word and contractions, look one to three code
-points ahead. The slices go through a cache of merged pieces; cache entries index
-into one pool of ids, and a document's ids are gathered from the pool by array
-arithmetic. Ids keep their byte offsets (the running sum of token lengths).
+table lookup over an array; a class acts as a transition function on the states of a
+small automaton, whose states also follow a contraction letter by letter. Functions
+compose associatively, and the closure of the classes under composition is a small
+monoid, so a composed function is one number and composing two arrays of functions is
+one lookup. An associative scan (pairs, the pairs' scan, the rest) gives the function of
+every prefix, hence the state before every code point; that state and the class say
+whether a piece starts here, or, where white space or half a contraction is only known
+by what follows, whether one started one code point before. The first class of a text is
+a constant function, so texts lie one after another in an array. The slices go through a
+cache of merged pieces; cache entries index into one pool of ids, and a document's ids
+are gathered from the pool by array arithmetic. Ids keep their byte offsets (the running
+sum of token lengths).
 
 Defined cases: null and empty texts have no ids; each input row gives one output
 row, repeated rows too; a text of any length is cut in one pass, and a single piece
@@ -29,29 +33,82 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from .common import bounded_batches, table
+from .common import slices, table
 
-LETTER, NUMBER, OTHER, WHITE, SPACE, END = range(6)
+# Classes: contraction letters that end one alone, or begin or end one of two; the rest by category.
+ENDS_ONE, L, V_OR_R, E, LETTER, NUMBER, OTHER, QUOTE, WHITE, SPACE = range(10)
+#: Classes of the first code point of a text are raised by this; the class after all texts is END.
+FIRST = 10
+END = 2 * FIRST
+# States: what the piece is so far. A quote may begin a contraction, and l, v or r may go on with it.
+(NOTHING, IN_LETTERS, IN_NUMBERS, IN_OTHER, AT_QUOTE, QUOTE_L, QUOTE_V_OR_R, CONTRACTED, ONE_SPACE, ONE_WHITE, ENDS_IN_SPACE, ENDS_IN_WHITE) = range(12)
+STATES = 12
 #: The code points of Unicode's White_Space property.
 WHITE_SPACE = [*range(0x9, 0xE), 0x20, 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000]
-#: What follows the apostrophe of a contraction.
-CONTRACTIONS = ("s", "t", "re", "ve", "m", "ll", "d")
+#: What follows the apostrophe of a contraction is s, t, m, d, ll, ve or re.
+CONTRACTION_CLASSES = {"s": ENDS_ONE, "t": ENDS_ONE, "m": ENDS_ONE, "d": ENDS_ONE, "l": L, "v": V_OR_R, "r": V_OR_R, "e": E}
 #: Entries of a worker's cache of pieces, and the longest piece kept, in code points.
 CACHE_PIECES, CACHE_CHARS = 300_000, 64
 #: Characters that are cut and encoded together.
 BLOCK_CHARS = 1 << 19
 
 
-def _cut_table() -> np.ndarray:
-    """By 8 * previous class + class: whether a piece starts here."""
-    cut = np.ones(64, bool)
-    for previous in range(6):
-        for now in range(6):
-            same = previous == now and now in (LETTER, NUMBER, OTHER)
-            attached = previous == SPACE and now in (LETTER, NUMBER, OTHER)
-            inside_white = previous in (WHITE, SPACE) and now in (WHITE, SPACE)
-            cut[8 * previous + now] = not (same or attached or inside_white)
-    return cut
+def step(state: int, kind: int) -> tuple[int, bool, bool]:
+    """What a class does in a state: the next state, and whether a piece starts here, or at the code point before."""
+    if kind == END:
+        return NOTHING, False, state in (QUOTE_L, QUOTE_V_OR_R)
+    if kind >= FIRST:
+        return step(NOTHING, kind - FIRST)[0], True, state in (QUOTE_L, QUOTE_V_OR_R)
+    letter = kind <= LETTER
+    fresh = IN_LETTERS if letter else {NUMBER: IN_NUMBERS, OTHER: IN_OTHER, QUOTE: AT_QUOTE, WHITE: ONE_WHITE, SPACE: ONE_SPACE}[kind]
+    if state in (QUOTE_L, QUOTE_V_OR_R):
+        if kind == (L if state == QUOTE_L else E):
+            return CONTRACTED, False, False
+        # no contraction: the letter after the quote began a piece, and goes on from there
+        state, here, _ = step(IN_LETTERS, kind)
+        return state, here, True
+    if state in (NOTHING, CONTRACTED):
+        return fresh, True, False
+    if state == AT_QUOTE:
+        if kind == ENDS_ONE:
+            return CONTRACTED, False, False
+        if kind in (L, V_OR_R):
+            return (QUOTE_L if kind == L else QUOTE_V_OR_R), False, False
+        state = IN_OTHER
+    if state in (ONE_SPACE, ONE_WHITE, ENDS_IN_SPACE, ENDS_IN_WHITE):
+        if kind in (WHITE, SPACE):
+            return (ENDS_IN_SPACE if kind == SPACE else ENDS_IN_WHITE), False, False
+        # of a run of white space the last one stands apart, and a space is taken along by what follows
+        long = state in (ENDS_IN_SPACE, ENDS_IN_WHITE)
+        if state in (ONE_SPACE, ENDS_IN_SPACE):
+            return (IN_OTHER if kind == QUOTE else fresh), False, long
+        return fresh, True, long
+    inside = {IN_LETTERS: letter, IN_NUMBERS: kind == NUMBER, IN_OTHER: kind in (OTHER, QUOTE)}[state]
+    return (state, False, False) if inside else (fresh, True, False)
+
+
+def _transition_monoid() -> dict[str, np.ndarray]:
+    """All functions that sequences of classes act by: ids of the classes', the table of compositions, and each one's state from the start."""
+    letters = [tuple(step(s, k)[0] for s in range(STATES)) for k in range(END + 1)]
+    ids: dict[tuple, int] = {}
+    for f in letters:
+        ids.setdefault(f, len(ids))
+    members = list(ids)
+    for f in members:
+        for g in letters:
+            both = tuple(g[s] for s in f)
+            if both not in ids:
+                ids[both] = len(ids)
+                members.append(both)
+    table = np.array([[ids[tuple(g[s] for s in f)] for g in members] for f in members], np.uint16)
+    out = [step(s, k) for s in range(STATES) for k in range(END + 1)]
+    return {
+        "function": np.array([ids[f] for f in letters], np.uint16),
+        "compose": table.ravel(),
+        "state": np.array([f[NOTHING] for f in members], np.uint8),
+        "here": np.array([x[1] for x in out]),
+        "earlier": np.array([x[2] for x in out]),
+    }
 
 
 _tables: dict[str, np.ndarray] = {}
@@ -64,39 +121,42 @@ def classes() -> np.ndarray:
         out = np.fromiter((kinds.get(unicodedata.category(chr(i))[0], OTHER) for i in range(sys.maxunicode + 1)), np.uint8, sys.maxunicode + 1)
         out[WHITE_SPACE] = WHITE
         out[0x20] = SPACE
-        _tables["class"], _tables["cut"] = out, _cut_table()
+        out[0x27] = QUOTE
+        for letter, kind in CONTRACTION_CLASSES.items():
+            out[ord(letter)] = kind
+        _tables.update(_transition_monoid())
+        _tables["class"] = out
     return _tables["class"]
 
 
+def scan(functions: np.ndarray) -> np.ndarray:
+    """The composition of every prefix of an array of function ids: neighbours first, then the scan of the pairs."""
+    n = len(functions)
+    if n < 2:
+        return functions
+    compose, members = _tables["compose"], len(_tables["state"])
+    even, odd = functions[: n // 2 * 2 : 2], functions[1::2]
+    pairs = scan(compose.take(even.astype(np.int32) * members + odd))
+    out = np.empty_like(functions)
+    out[0], out[1::2] = functions[0], pairs
+    rest = functions[2::2]
+    out[2::2] = compose.take(pairs[: len(rest)].astype(np.int32) * members + rest)
+    return out
+
+
 def cuts(points: np.ndarray, first: np.ndarray) -> np.ndarray:
     """Start positions of the pieces of concatenated texts; ``first`` holds the texts' starts (non-empty texts)."""
-    cls = classes()[points]
-    n = len(cls)
-    before = np.empty(n, np.uint8)
-    before[0], before[1:] = END, cls[:-1]
-    before[first] = END
-    after = np.empty(n, np.uint8)
-    after[-1], after[:-1] = END, cls[1:]
-    after[first[1:] - 1] = END
-    start = _tables["cut"][before * 8 + cls]
-    white = cls >= WHITE
-    start |= white & (before >= WHITE) & (before != END) & (after < WHITE)
-    marks = np.flatnonzero((points == 0x27) & start & (after == LETTER))
-    if len(marks):
-        ends = np.searchsorted(first, marks, "right")
-        limit = np.append(first[1:], n)[ends - 1]
-        one, two = points[marks + 1], points[np.minimum(marks + 2, n - 1)]
-        size = np.zeros(len(marks), np.int64)
-        for tail in reversed(CONTRACTIONS):
-            hit = one == ord(tail[0])
-            if len(tail) == 2:
-                hit &= (two == ord(tail[1])) & (marks + 2 < limit)
-            size[hit] = len(tail)
-        marks, size, limit = marks[size > 0], size[size > 0], limit[size > 0]
-        start[marks + 1] = False
-        stop = marks + 1 + size
-        start[stop[stop < limit]] = True
-    return np.flatnonzero(start)
+    kinds = np.empty(len(points) + 1, np.uint8)
+    classes().take(points, out=kinds[:-1])
+    kinds[first] += FIRST
+    kinds[-1] = END
+    place = np.zeros(len(kinds), np.int16)
+    place[1:] = _tables["state"].take(scan(_tables["function"].take(kinds[:-1])))
+    place *= END + 1
+    place += kinds
+    start = _tables["here"].take(place)
+    start[:-1] |= _tables["earlier"].take(place[1:])
+    return np.flatnonzero(start[:-1])
 
 
 def load_ranks(path: str) -> dict[bytes, int]:
@@ -250,7 +310,7 @@ def encode_documents(df: DataFrame, doc_id: str = "doc_id", text: str = "text",
 
     def run(batches):
         tool = codec(path)
-        for batch in batches:
+        for batch in slices(batches):
             texts = [t or "" for t in batch.column(1).to_pylist()]
             for a, b in blocks(texts):
                 ids, bounds = tool.encode(texts[a:b])
@@ -260,7 +320,7 @@ def encode_documents(df: DataFrame, doc_id: str = "doc_id", text: str = "text",
                     names=["doc_id", "ids", "offsets"],
                 )
 
-    return bounded_batches(src).mapInArrow(run, f"doc_id {src.schema['doc_id'].dataType.simpleString()}, ids array<int>, offsets array<long>")
+    return src.mapInArrow(run, f"doc_id {src.schema['doc_id'].dataType.simpleString()}, ids array<int>, offsets array<long>")
 
 
 def decode_documents(df: DataFrame, doc_id: str = "doc_id", ids: str = "ids", path: str | None = None) -> DataFrame:
@@ -270,11 +330,11 @@ def decode_documents(df: DataFrame, doc_id: str = "doc_id", ids: str = "ids", pa
 
     def run(batches):
         tool = codec(path)
-        for batch in batches:
+        for batch in slices(batches):
             decoded = pa.array([tool.decode(x or ()) for x in batch.column(1).to_pylist()], pa.binary())
             yield pa.RecordBatch.from_arrays([batch.column(0), decoded], names=["doc_id", "decoded"])
 
-    return bounded_batches(src).mapInArrow(run, f"doc_id {src.schema['doc_id'].dataType.simpleString()}, decoded binary")
+    return src.mapInArrow(run, f"doc_id {src.schema['doc_id'].dataType.simpleString()}, decoded binary")
 
 
 def encode_digests(df: DataFrame, doc_id: str = "doc_id", text: str = "text", path: str | None = None) -> DataFrame:
@@ -284,7 +344,7 @@ def encode_digests(df: DataFrame, doc_id: str = "doc_id", text: str = "text", pa
 
     def run(batches):
         tool = codec(path)
-        for batch in batches:
+        for batch in slices(batches):
             texts = [t or "" for t in batch.column(1).to_pylist()]
             for a, b in blocks(texts):
                 ids, bounds = tool.encode(texts[a:b])
@@ -301,7 +361,7 @@ def encode_digests(df: DataFrame, doc_id: str = "doc_id", text: str = "text", pa
                     names=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"],
                 )
 
-    return bounded_batches(src).mapInArrow(run, f"doc_id {src.schema['doc_id'].dataType.simpleString()}, n_tokens long, ids_sha256 string, decoded_sha256 string")
+    return src.mapInArrow(run, f"doc_id {src.schema['doc_id'].dataType.simpleString()}, n_tokens long, ids_sha256 string, decoded_sha256 string")
 
 
 def op7_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
