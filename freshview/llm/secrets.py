@@ -3,9 +3,9 @@
 ``scan_secrets`` adds to each row an array of spans (code points, end exclusive).
 Three pattern rules (``assign``, ``access``, ``hex``) give the base spans. The
 fourth kind, ``entropy``, looks at candidate strings and slides a window over
-each: the sum of ``c * log2(c)`` over the character counts in the window is
-updated by the one character that enters and the one that leaves, so no window is
-counted anew. The threshold depends on the candidate's character class, and an
+each: the fold's state holds the count of every distinct character in the window and
+the sum of ``c * log2(c)`` over them, and both are updated by the one character that
+enters and the one that leaves, so no window is counted anew. The threshold depends on the candidate's character class, and an
 allow-list takes known harmless strings out: only whole candidates whose segments are
 all dictionary-like. The letters and digits beside a separator are a candidate of
 their own, by their own class, so a prefix does not raise their threshold. Entropy
@@ -90,26 +90,33 @@ def _let(value: Column, use) -> Column:
 
 
 def window_entropy(string: Column, window: int = WINDOW) -> Column:
-    """Largest Shannon entropy (bits a character) over all windows of a string, by incremental counts."""
+    """Largest Shannon entropy (bits a character) over all windows of a string, by incremental counts.
 
-    def over(chars: Column) -> Column:
-        def count(first: Column, length: Column, char: Column) -> Column:
-            return F.size(F.filter(F.slice(chars, first, length), lambda x: x == char)).cast("double")
+    Characters are numbered by their first place in the string; the state of the fold
+    holds the window's count of each number and the sum over them.
+    """
+    full = F.log2(F.lit(float(window)))
 
+    def over(codes: Column, distinct: Column) -> Column:
         def step(state: Column, i: Column) -> Column:
-            enters = F.element_at(chars, i)
-            first = F.greatest(i - window, F.lit(1))
-            had = count(first, i - first, enters)
-            grown = state["sum"] + _bits(had + 1) - _bits(had)
-            held = count(first, F.lit(window + 1), F.element_at(chars, first))
-            total = F.when(i > window, grown + _bits(held - 1) - _bits(held)).otherwise(grown)
-            best = F.when(i >= window, F.greatest(state["best"], F.log2(F.lit(float(window))) - total / window)).otherwise(state["best"])
-            return F.struct(total.alias("sum"), best.alias("best"))
-
-        start = F.struct(F.lit(0.0).alias("sum"), F.lit(0.0).alias("best"))
-        return F.aggregate(F.sequence(F.lit(1), F.size(chars)), start, step, lambda s: s["best"])
-
-    return F.when(F.length(string) >= window, _let(F.split(string, "(?<=.)(?=.)"), over)).otherwise(F.lit(0.0))
+            enters, leaves = F.element_at(codes, i), F.when(i > window, F.element_at(codes, F.greatest(i - window, F.lit(1))))
+            had, held = F.element_at(state["counts"], enters), F.element_at(state["counts"], leaves)
+            # the same character in and out leaves counts and sum as they are
+            moves = leaves.isNull() | (leaves != enters)
+            gained = F.when(moves, _bits(had + 1) - _bits(had)).otherwise(F.lit(0.0))
+            lost = F.when(moves & leaves.isNotNull(), _bits(held) - _bits(held - 1)).otherwise(F.lit(0.0))
+            total = state["sum"] + gained - lost
+            updated = F.transform(state["counts"], lambda c, k: c + (k + 1 == enters).cast("int") - F.coalesce((k + 1 == leaves).cast("int"), F.lit(0)))
+            best = F.when(i >= window, F.greatest(state["best"], full - total / window)).otherwise(state["best"])
+            return F.struct(F.when(moves, updated).otherwise(state["counts"]).alias("counts"), total.alias("sum"), best.alias("best"))
+
+        start = F.struct(F.array_repeat(F.lit(0), F.size(distinct)).alias("counts"), F.lit(0.0).alias("sum"), F.lit(0.0).alias("best"))
+        return F.aggregate(F.sequence(F.lit(1), F.size(codes)), start, step, lambda s: s["best"])
+
+    def numbered(chars: Column) -> Column:
+        return _let(F.array_distinct(chars), lambda d: _let(F.transform(chars, lambda c: F.array_position(d, c).cast("int")), lambda codes: over(codes, d)))
+
+    return F.when(F.length(string) >= window, _let(F.split(string, "(?<=.)(?=.)"), numbered)).otherwise(F.lit(0.0))
 
 
 def _is_secret(candidate: Column, thresholds: dict[str, float], allow: tuple[str, ...]) -> Column:
