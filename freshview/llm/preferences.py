@@ -8,8 +8,10 @@ not count).
 
 ``neighbour_pairs`` makes pairs out of plain conversations: each is chosen against the
 next conversation (by id) that opens with the same turn. A hot opening never meets in
-one task: ids are cut into blocks, neighbours are found inside a block, and only the
-first and last conversation of each (opening, block) meet across blocks. The last of an
+one task: ids of any type that has an order are cut into blocks by their range (sampled
+bounds, so blocks are of near equal size; written once, so they stay as they are),
+neighbours are found inside a block, and only the first and last conversation of each
+(opening, block) meet across blocks. The last of an
 opening, and any with an opening of its own, is compared with a copy of itself whose
 final assistant turn is replaced by its previous assistant turn (empty text if none):
 a stale reply as the rejected one.
@@ -26,10 +28,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import materialise, table
 
-#: Ids in a row that are paired inside one task.
-BLOCK_IDS = 256
 # The markup of a rendered turn.
 OPEN, MIDDLE, CLOSE = "<|im_start|>", "\n", "<|im_end|>\n"
 TRAINED_ROLE = "assistant"
@@ -112,18 +112,19 @@ def stale_reply(turns: Column) -> Column:
     return F.when(F.size(spoken) == 0, F.slice(turns, 1, F.greatest(F.size(turns) - 1, F.lit(0)))).otherwise(swapped)
 
 
-def neighbours(conversations: DataFrame, block_ids: int = BLOCK_IDS) -> DataFrame:
-    """(conv_id, next_id): the next conversation by id with the same opening turn, null for the last."""
+def neighbours(conversations: DataFrame, blocks: int | None = None) -> DataFrame:
+    """(conv_id, next_id): the next conversation by id with the same opening turn, null for the last.
+
+    ``blocks``: ranges of ids; the session's shuffle partitions if not given.
+    """
     opening = F.element_at("turns", 1)
-    keyed = conversations.select("conv_id", F.xxhash64(F.coalesce(opening["role"], F.lit("\0")), F.coalesce(opening["text"], F.lit("\0"))).alias("opening"), F.floor(F.col("conv_id") / block_ids).alias("block"))
+    keyed = conversations.select("conv_id", F.xxhash64(F.coalesce(opening["role"], F.lit("\0")), F.coalesce(opening["text"], F.lit("\0"))).alias("opening"))
+    ranged = keyed.repartitionByRange(blocks, "conv_id") if blocks else keyed.repartitionByRange("conv_id")
+    keyed = materialise(ranged.withColumn("block", F.spark_partition_id()))
     inside = keyed.withColumn("next_id", F.lead("conv_id").over(Window.partitionBy("opening", "block").orderBy("conv_id")))
-    # one row an (opening, block), and one an (opening, group of blocks): the ends that meet across
+    # one row an (opening, block): an opening meets in one task with as many rows as there are blocks
     ends = keyed.groupBy("opening", "block").agg(F.min("conv_id").alias("first"), F.max("conv_id").alias("last"))
-    ends = ends.withColumn("far", F.floor(F.col("block") / block_ids))
-    near = ends.withColumn("after", F.lead("first").over(Window.partitionBy("opening", "far").orderBy("block")))
-    groups = ends.groupBy("opening", "far").agg(F.min("first").alias("first"), F.max("last").alias("last_far"))
-    beyond = groups.withColumn("after_far", F.lead("first").over(Window.partitionBy("opening").orderBy("far"))).select("last_far", "after_far")
-    across = near.join(beyond, near["last"] == beyond["last_far"], "left").select(F.col("last"), F.coalesce("after", "after_far").alias("after"))
+    across = ends.withColumn("after", F.lead("first").over(Window.partitionBy("opening").orderBy("block"))).select("last", "after")
     linked = inside.join(across, inside["conv_id"] == across["last"], "left")
     return linked.select("conv_id", F.coalesce("next_id", "after").alias("next_id"))
 

@@ -66,7 +66,7 @@ def test_against_brute_force(spark):
     rows += [(None, 0, "user", "hot"), (5000, None, "user", "a"), (5000, 1, "assistant", "b"), (5000, 1, "assistant", "b")]
     df = spark.createDataFrame([(*r, "x", 0) for r in rows], "conv_id long, turn long, role string, text string, chosen string, block int")
     assert got(P.neighbour_pairs(df)) == brute(rows)
-    small = P.neighbours(P.gather_turns(df).filter("conv_id is not null"), block_ids=4).collect()
+    small = P.neighbours(P.gather_turns(df).filter("conv_id is not null"), blocks=7).collect()
     assert {r.conv_id: r.next_id for r in small} == {i: v[0] for i, v in brute(rows).items() if i is not None}
     assert P.neighbour_pairs(df.limit(0)).count() == 0
 
@@ -83,3 +83,9 @@ def test_given_pairs(spark):
 def test_given_table(spark):
     rows = [tuple(r) for r in table(spark, "/root/testdata/sf0.01", "conversations").select("conv_id", "turn", "role", "text").collect()]
     assert got(P.op9_preference_pairs(spark, "/root/testdata/sf0.01")) == brute(rows)
+
+
+def test_text_ids(spark):
+    rows = [(f"conv-{i:04d}", 0, "user", "hot" if i % 3 else f"own {i}") for i in range(200)] + [(f"conv-{i:04d}", 1, "assistant", f"reply {i}") for i in range(200)]
+    df = spark.createDataFrame(rows, "conv_id string, turn long, role string, text string")
+    assert got(P.neighbour_pairs(df)) == brute(rows)
