@@ -7,9 +7,14 @@ once. Subtrees with at least ``MIN_PAGES`` main texts and ``MIN_SHARE`` of the h
 are its template; at that share a host has at most ``1 / MIN_SHARE`` times as many as
 its pages of one main text have elements, so the list by host is small. Second pass: the
 list is joined by host (Spark broadcasts it only if its written size is below the
-session's threshold, else it joins by shuffle), the page is parsed again, elements that
-are boilerplate by tag, role, class or state are deleted, and the text of the main
-element is read without template subtrees.
+session's threshold, else it joins by shuffle, the pages of a hot host in many parts),
+the page is parsed again, elements that are boilerplate by tag, role, class or state are
+deleted, and the text of the main element is read without template subtrees.
+
+Inside an element that is, or is named as, content, a class or id word that articles use
+too (``share-price``, ``alert-box``) does not make boilerplate by itself: all words of
+the element must be such words or neutral ones, or two of them must be, or most of its
+text must be links.
 
 Nothing inside a chosen article or main element is template, since articles may quote
 each other or be near copies; an element that is only named as content often wraps the
@@ -32,7 +37,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bounded_batches, materialise, table
+from .common import hot_keys, materialise, salted_join, slices, table
 
 MIN_PAGES, MIN_SHARE = 5, 0.2
 
@@ -54,6 +59,15 @@ BOILERPLATE_WORDS = _words(
     "popup modal overlay newsletter subscribe subscription signup login sidebar aside widget widgets menu nav navbar navigation breadcrumb breadcrumbs header masthead topbar footer "
     "comment comments commentlist respond discussion disqus replies reply share sharing social related recommended recommendations toolbar pagination pager search skip hidden paywall disclaimer"
 )
+#: Of these words one is not enough inside the content: articles use them too.
+AMBIGUOUS_WORDS = BOILERPLATE_WORDS & _words(
+    "alert aside banner disclaimer discussion footer header hidden login masthead menu nav notice notices notification overlay pager pagination popup promo promotion recommendations recommended "
+    "related replies reply respond search share sharing signup skip social subscription toolbar topbar widget widgets"
+)
+#: What may stand beside an ambiguous word in the name of boilerplate.
+NEUTRAL_WORDS = _words("article bar block bottom btn button buttons container entry fixed global group icon icons inner item items left link links list main outer page post posts right row section site sticky top wrap wrapper")
+#: Share of an element's text inside links at which an ambiguous word is enough.
+LINK_SHARE = 0.5
 MAIN_WORDS = _words("content article post entry story main body text")
 PROTECTED = _words("p h1 h2 h3 h4 h5 h6 blockquote pre dd dt td th tr tbody figcaption article main body html")
 
@@ -62,6 +76,10 @@ ATTRIBUTE = re.compile(r"""([^\s=/"'>]+)(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'
 CAMEL = re.compile(r"[A-Z]?[a-z]+|[A-Z]+|\d+")
 
 
+#: The end tag of an element by name; only ASCII letters are alike in both cases.
+END_TAG = {tag: re.compile(f"</{tag}", re.I | re.A) for tag in RAW | {"title", "textarea"}}
+
+
 class Node:
     __slots__ = ("attrs", "children", "tag")
 
@@ -74,7 +92,6 @@ def parse(text: str) -> Node:
     root = Node("html")
     stack = [root]
     at = 0
-    low = None
     position = 0
     while m := TOKEN.search(text, position):
         position = m.end()
@@ -94,13 +111,11 @@ def parse(text: str) -> Node:
         if tag in RAW or tag in ("title", "textarea"):
             if m[3].endswith("/") and tag in ("svg", "math"):
                 continue
-            low = low if low is not None else text.lower()
-            end = low.find(f"</{tag}", position)
-            if end < 0:
-                end = len(text) if tag in ("script", "style") else position
+            ending = END_TAG[tag].search(text, position)
+            end = ending.start() if ending else len(text) if tag in ("script", "style") else position
             position = at = end
             stop = text.find(">", end)
-            if low.startswith(f"</{tag}", end) and stop >= 0:
+            if ending and stop >= 0:
                 position = at = stop + 1
             continue
         if tag in ENDS_P:
@@ -175,7 +190,31 @@ def _has_main(node: Node) -> bool:
     return False
 
 
-def _is_boilerplate(node: Node, inside_main: bool) -> bool:
+def _link_share(node: Node) -> float:
+    """Share of an element's characters, white space aside, that are inside links."""
+    total = linked = 0
+    stack = [(node, False)]
+    while stack:
+        n, link = stack.pop()
+        for c in n.children:
+            if isinstance(c, Node):
+                stack.append((c, link or c.tag == "a"))
+            else:
+                size = sum(map(len, c.split()))
+                total += size
+                linked += size * link
+    return linked / total if total else 1.0
+
+
+def _named_boilerplate(node: Node, attrs: dict[str, str], inside_content: bool) -> bool:
+    words = _class_words(attrs)
+    found = words & BOILERPLATE_WORDS
+    if not inside_content or found - AMBIGUOUS_WORDS:
+        return bool(found)
+    return bool(found) and (len(found) > 1 or words <= BOILERPLATE_WORDS | NEUTRAL_WORDS or _link_share(node) >= LINK_SHARE)
+
+
+def _is_boilerplate(node: Node, inside_main: bool, inside_content: bool = False) -> bool:
     if node.tag in BOILERPLATE_TAGS:
         return True
     if node.tag == "header":
@@ -187,33 +226,36 @@ def _is_boilerplate(node: Node, inside_main: bool) -> bool:
         return True
     if attrs.get("role", "").lower() in BOILERPLATE_ROLES:
         return not _has_main(node)
-    words = _class_words(attrs)
-    if words & BOILERPLATE_WORDS:
+    if _named_boilerplate(node, attrs, inside_content):
         if node.tag == "article":
-            return bool(words & {"comment", "comments", "reply", "ad", "advert", "promo", "related", "sponsored"})
+            return bool(_class_words(attrs) & {"comment", "comments", "reply", "ad", "advert", "promo", "related", "sponsored"})
         return not _has_main(node)
     return False
 
 
+def _is_named_content(node: Node) -> bool:
+    return bool(node.attrs) and node.tag in ("div", "section", "td") and bool(_class_words(attributes(node.attrs)) & MAIN_WORDS)
+
+
 def prune(root: Node, template: set[int]) -> tuple[dict[int, str], int]:
     """Delete boilerplate in place; tags of the template subtrees that are left, by id() of the node, and how many went."""
     hashes = subtree_hashes(root) if template else {}
     marked: dict[int, str] = {}
     removed = 0
-    stack = [(root, False, False)]
+    stack = [(root, False, False, False)]
     while stack:
-        node, inside, within = stack.pop()
+        node, inside, content, within = stack.pop()
         kept = []
         for c in node.children:
             if isinstance(c, Node):
                 main = inside or c.tag in ("article", "main")
                 found = hashes.get(id(c)) in template and (c.tag not in PROTECTED or not inside and c.tag not in ("article", "main", "body", "html")) and not _has_main(c)
-                if _is_boilerplate(c, inside):
+                if _is_boilerplate(c, inside, content):
                     removed += found and not within
                     continue
                 if found:
                     marked[id(c)] = c.tag
-                stack.append((c, main, within or found))
+                stack.append((c, main, main or content or _is_named_content(c), within or found))
             kept.append(c)
         node.children = kept
     return marked, removed
@@ -310,28 +352,28 @@ def site_templates(pages: DataFrame, min_pages: int = MIN_PAGES, min_share: floa
     """(host, template array<long>) of pages with columns host and html; page counts are of distinct main texts."""
 
     def run(batches):
-        for batch in batches:
+        for batch in slices(batches):
             found = [hashes_and_content(x) for x in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([h for h, _ in found], pa.list_(pa.int64())), pa.array([c for _, c in found], pa.int64())], names=["host", "hashes", "content"])
 
     hashed = pages.select("host", "html").mapInArrow(run, "host string, hashes array<long>, content long")
     # one row of hash null a page counts the host's main texts
     rows = hashed.select("host", "content", F.explode(F.concat(F.array(F.lit(None).cast("long")), "hashes")).alias("hash")).distinct()
-    counts = rows.groupBy("host", "hash").agg(F.count(F.lit(1)).alias("pages")).filter(F.col("hash").isNull() | (F.col("pages") >= min_pages))
-    frequent = counts.groupBy("host").agg(F.max(F.when(F.col("hash").isNull(), F.col("pages"))).alias("all"), F.collect_list(F.when(F.col("hash").isNotNull(), F.struct("hash", "pages"))).alias("found"))
-    template = F.transform(F.filter("found", lambda x: x["pages"] >= min_share * F.col("all")), lambda x: x["hash"])
-    return frequent.select("host", template.alias("template")).filter(F.size("template") > 0)
+    counts = materialise(rows.groupBy("host", "hash").agg(F.count(F.lit(1)).alias("pages")).filter(F.col("hash").isNull() | (F.col("pages") >= min_pages)))
+    whole = counts.filter("hash is null").select("host", F.col("pages").alias("all"))
+    frequent = counts.filter("hash is not null")
+    template = salted_join(frequent, whole, "host", ["hash"], hot_keys(frequent, "host")).filter(F.col("pages") >= min_share * F.col("all"))
+    return template.groupBy("host").agg(F.collect_list("hash").alias("template"))
 
 
 def extract_pages(pages: DataFrame, min_pages: int = MIN_PAGES, min_share: float = MIN_SHARE) -> DataFrame:
     """Per row of pages (page_id, url, html): page_id, url, text, n_chars, n_template."""
-    bounded_batches(pages)
     src = with_host(pages.select("page_id", "url", F.col("html").cast("string").alias("html")))
     templates = materialise(site_templates(src, min_pages, min_share))
-    joined = src.join(templates, "host", "left").select("page_id", "url", "html", "template")
+    joined = salted_join(src, templates, "host", ["page_id", "url"], hot_keys(src, "host"), "left").select("page_id", "url", "html", "template")
 
     def run(batches):
-        for batch in batches:
+        for batch in slices(batches):
             got = [extract(h, frozenset(t or ())) for h, t in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist())]
             yield pa.RecordBatch.from_arrays(
                 [batch.column(0), batch.column(1), pa.array([t for t, _ in got], pa.string()), pa.array([len(t) for t, _ in got], pa.int64()), pa.array([n for _, n in got], pa.int32())],

@@ -18,6 +18,56 @@ def test_one_page():
     assert P.extract("<div>" * 20000 + "deep" + "</div>" * 20000)[0] == "deep"
 
 
+def test_letters_that_change_length():
+    # a capital letter that is two letters in lower case, before elements whose end is searched for
+    for n in (3, 12, 40):
+        page = f"<p>{'İ' * n} start</p><script>var a = '</p>';</SCRIPT><p>after the script</p><title>no</TITLE ><p>end</p>"
+        assert P.extract(page)[0] == f"{'İ' * n} start after the script end"
+    assert P.extract("<p>a</p><script>b</ſcript>b</Script><p>c")[0] == "a c"
+
+
+def test_ambiguous_names_inside_the_article():
+    kept = ["class='share-price'", "class='alert-box'", "id='search-results'", "class='noticeBoard'", "class='social-history'"]
+    gone = ["class='share'", "class='cookie-text'", "class='site-notice'", "class='related-widget wide'", "class='advert-box'", "id=comments", "class='share-buttons'", "class='newsletter-box'"]
+    for left, right in (("<article>", "</article>"), ("<main>", "</main>"), ("<div id=content>", "</div>")):
+        for attr in kept + gone:
+            page = f"<body>{left}<p>Own text</p><div {attr}>Held words <a href=x>one</a></div><p>Last</p>{right}</body>"
+            assert P.extract(page)[0] == ("Own text Held words one Last" if attr in kept else "Own text Last"), (left, attr)
+        linked = f"<body>{left}<p>Own text</p><div class='related-stories'><a href=x>Some story</a> <a href=y>Other story</a></div>{right}</body>"
+        assert P.extract(linked)[0] == "Own text"
+    # beside the content one word is enough
+    assert P.extract("<body><div class='share-price'>Box</div><p>Own text</p></body>")[0] == "Own text"
+
+
+def brute_templates(pages):
+    """Per host the subtree hashes found with enough distinct main texts, counted with plain sets."""
+    found, texts = {}, {}
+    for host, page in pages:
+        hashes, content = P.hashes_and_content(page)
+        texts.setdefault(host, set()).add(content)
+        for h in hashes:
+            found.setdefault((host, h), set()).add(content)
+    out = {}
+    for (host, h), c in found.items():
+        if len(c) >= P.MIN_PAGES and len(c) >= P.MIN_SHARE * len(texts[host]):
+            out.setdefault(host, set()).add(h)
+    return out
+
+
+def test_templates_against_brute_force(spark, monkeypatch):
+    import random
+
+    rng = random.Random(3)
+    blocks = [f"<div>Block {k}</div>" for k in range(12)]
+    pages = [(rng.choice(["hot"] * 6 + ["a", "b", ""]), f"<body>{''.join(rng.sample(blocks, 3))}<article><p>Text {rng.randrange(60)}</p></article></body>") for _ in range(300)]
+    df = spark.createDataFrame(pages + [("a", None)], "host string, html string")
+    want = brute_templates(pages + [("a", None)])
+    assert want and {r.host: set(r.template) for r in P.site_templates(df).collect()} == want
+    # with every host treated as hot
+    monkeypatch.setattr(P, "hot_keys", lambda rows, key: [(h, 3) for h in ("hot", "a", "b", "")])
+    assert {r.host: set(r.template) for r in P.site_templates(df).collect()} == want
+
+
 def test_templates_by_host(spark):
     body = "<html><body><div class=x><p>Same bar {h}</p></div><div class=y><h1>Title {i}</h1><p>Own text {i}</p><p>Shared words</p></div><div>Tail of {h}</div></body></html>"
     rows = [(i, f"http://h{i % 2}.org/{i}", body.format(h=i % 2, i=i), "t", 0) for i in range(20)]
