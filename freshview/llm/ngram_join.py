@@ -16,13 +16,20 @@ the two sizes discard pairs early:
 What remains is compared in full, on the whole sets.
 
 The order needs no exact counts, any order of shingles that all tasks share is right.
-It is the count of a hash bucket over the whole corpus (a fixed-size table), so that
-passages which many documents share come last.
+It is the count of a hash bucket over the whole corpus, on a scale of logarithms (one byte
+a bucket), so that passages which many documents share come last. The table has about as
+many buckets as the corpus has rows, between two bounds.
 
-No column emits all its pairs. A first pass pairs each class only with the leader of
-its column; the components of those links are contracted, and the second pass pairs
-only classes of different components, so a large group of near copies costs a pair or
-two a member, and no link between components is lost.
+A first pass pairs each class only with the leader of its column; the components of
+those links are contracted, and the second pass compares only classes of different
+components, so a large group of near copies costs a pair or two a member, and no link
+between components is lost. What the second pass compares inside a column is the product
+of its components beside the largest with all its classes; the bounds are part of that
+join, so few of these are emitted. Columns, and classes with many partners, that hold a
+large share of the rows are dealt over several tasks.
+
+A set is known by 64 bits of one hash. A second hash shows where two sets share these;
+both then get new ids from both hashes, so sets are told apart by 128 bits.
 
 Defined cases: null, empty and wordless texts have an empty set (n_shingles 0), link
 with nothing and are their own component; rows may repeat, each gives one row; a row
@@ -36,11 +43,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import bounded_batches, materialise, table
+from .common import discard, hot_keys, materialise, salted_join, slices, table
 
 WORDS, PERCENT = 5, 80
-#: Buckets of the corpus-wide order, and bits of the filter that spares sets without a candidate; both of fixed size.
-ORDER_BITS, FILTER_BITS = 18, 24
+#: Bits of the least and the largest table of the corpus-wide order, of its blocks, and of the filter that spares sets without a candidate.
+ORDER_BITS, BLOCK_BITS, FILTER_BITS = (18, 24), 14, 24
 CHUNK = 1 << 20
 #: White space bytes of the contract.
 WHITE = [0x20, *range(0x09, 0x0E)]
@@ -141,11 +148,18 @@ def shingle_sets(column: pa.Array, words: int = WORDS) -> list[np.ndarray]:
     return out
 
 
-def set_id(s: np.ndarray) -> int:
-    """64-bit identity of a whole set (signed)."""
+def _set_hash(s: np.ndarray, seed: int) -> int:
     with np.errstate(over="ignore"):
-        total = _mix(s + np.uint64(0x2545F4914F6CDD1D)).sum(dtype=np.uint64) + np.uint64(len(s)) * np.uint64(0x9E3779B97F4A7C15)
-    return int(_mix(np.array([total]))[0].astype(np.int64))
+        total = _mix(s + np.uint64(seed)).sum(dtype=np.uint64) + np.uint64(len(s)) * np.uint64(0x9E3779B97F4A7C15)
+    return int(_mix(np.array([total]))[0])
+
+
+def set_id(s: np.ndarray, again: frozenset = frozenset(), bits: int = 64) -> tuple[int, int]:
+    """Identity of a whole set, and a second hash (both signed). ``again``: ids that several sets had; they get others."""
+    one, two = _set_hash(s, 0x2545F4914F6CDD1D) >> (64 - bits), _set_hash(s, 0x6C62272E07BB0142)
+    if one in again:
+        one = int(_mix(np.array([one ^ two], np.uint64))[0])
+    return one - (one >> 63 << 64), two - (two >> 63 << 64)
 
 
 def _summed_blocks(rows: DataFrame, dtype: str) -> list[tuple[int, bytes]]:
@@ -162,27 +176,33 @@ def _summed_blocks(rows: DataFrame, dtype: str) -> list[tuple[int, bytes]]:
     return [(r["block"], bytes(r["data"])) for r in whole.collect()]
 
 
-def corpus_order(texts: DataFrame, words: int, bits: int = ORDER_BITS) -> np.ndarray:
-    """Shingles by hash bucket over the whole corpus, as counts."""
-    width = 1 << (bits - 6)
+def order_bits(rows: int) -> int:
+    """Bits of the order's table for a corpus of so many rows."""
+    return min(max(int(rows).bit_length(), ORDER_BITS[0]), ORDER_BITS[1])
+
+
+def corpus_order(texts: DataFrame, words: int, bits: int | None = None) -> np.ndarray:
+    """How many shingles of the whole corpus fall into each hash bucket, as 8 times the logarithm to base 2."""
+    bits = bits or order_bits(texts.count())
+    width = 1 << BLOCK_BITS
 
     def count(batches):
         import pyspark
 
         total = np.zeros(1 << bits, np.uint32)
-        for batch in batches:
+        for batch in slices(batches):
             for s in shingle_sets(batch.column(0), words):
                 np.add.at(total, (s >> np.uint64(64 - bits)).astype(np.int64), np.uint32(1))
-        lane = pyspark.TaskContext.get().partitionId() % 256
-        some = [b for b in range(64) if total[b * width : (b + 1) * width].any()]
+        lane = pyspark.TaskContext.get().partitionId() % 1024
+        some = [b for b in range(len(total) // width) if total[b * width : (b + 1) * width].any()]
         yield pa.RecordBatch.from_arrays(
-            [pa.array(some, pa.int32()), pa.array([lane] * len(some), pa.int32()), pa.array([total[b * width : (b + 1) * width].astype("u4").tobytes() for b in some], pa.binary())],
+            [pa.array(some, pa.int32()), pa.array([lane] * len(some), pa.int32()), pa.array([total[b * width : (b + 1) * width].astype("u8").tobytes() for b in some], pa.binary())],
             names=["block", "lane", "data"],
         )
 
-    out = np.zeros(1 << bits, np.uint32)
-    for block, data in _summed_blocks(texts.mapInArrow(count, "block int, lane int, data binary"), "u4"):
-        out[block * width : (block + 1) * width] = np.frombuffer(data, "u4")
+    out = np.zeros(1 << bits, np.uint8)
+    for block, data in _summed_blocks(texts.mapInArrow(count, "block int, lane int, data binary"), "u8"):
+        out[block * width : (block + 1) * width] = np.minimum(8 * np.log2(np.frombuffer(data, "u8") + 1.0), 255)
     return out
 
 
@@ -191,14 +211,14 @@ def _least(n: np.ndarray | int, percent: int):
     return -(-n * percent // 100)
 
 
-def _sets_with_prefix(docs: DataFrame, order: np.ndarray, words: int, percent: int) -> DataFrame:
-    """Per row: doc_id, n, sid (identity of the set), prefix (its rarest shingles, in order), and its last one's place in the order."""
+def _sets_with_prefix(docs: DataFrame, order: np.ndarray, words: int, percent: int, again: frozenset, id_bits: int) -> DataFrame:
+    """Per row: doc_id, n, sid (identity of the set), check (its second hash), prefix (its rarest shingles, in order), and its last one's place in the order."""
     held = docs.sparkSession.sparkContext.broadcast(order)
     bits = int(len(order)).bit_length() - 1
 
     def run(batches):
         counts = held.value
-        for batch in batches:
+        for batch in slices(batches):
             sets = shingle_sets(batch.column(1), words)
             prefixes, ends = [], []
             for s in sets:
@@ -207,13 +227,27 @@ def _sets_with_prefix(docs: DataFrame, order: np.ndarray, words: int, percent: i
                 prefixes.append(s[rank].view(np.int64))
                 last = s[rank[-1:]]
                 ends.append((int(counts[(last >> np.uint64(64 - bits)).astype(np.int64)][0]), int((last ^ np.uint64(1 << 63)).view(np.int64)[0])) if keep else (0, 0))
+            ids = [set_id(s, again, id_bits) for s in sets]
             yield pa.RecordBatch.from_arrays(
-                [batch.column(0), pa.array([len(s) for s in sets], pa.int32()), pa.array([set_id(s) for s in sets], pa.int64()), pa.array(prefixes, pa.list_(pa.int64())), pa.array([e[0] for e in ends], pa.int64()), pa.array([e[1] for e in ends], pa.int64())],
-                names=["doc_id", "n", "sid", "prefix", "end_count", "end_hash"],
+                [batch.column(0), pa.array([len(s) for s in sets], pa.int32()), pa.array([i for i, _ in ids], pa.int64()), pa.array([c for _, c in ids], pa.int64()), pa.array(prefixes, pa.list_(pa.int64())), pa.array([e[0] for e in ends], pa.int64()), pa.array([e[1] for e in ends], pa.int64())],
+                names=["doc_id", "n", "sid", "check", "prefix", "end_count", "end_hash"],
             )
 
     kind = docs.schema["doc_id"].dataType.simpleString()
-    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, n int, sid long, prefix array<long>, end_count long, end_hash long")
+    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, n int, sid long, check long, prefix array<long>, end_count long, end_hash long")
+
+
+def _identified(docs: DataFrame, words: int, percent: int, id_bits: int) -> tuple[DataFrame, frozenset]:
+    """The rows with their sets' ids, written, and the ids that were not unique at first (none, or a few at 10**10 sets)."""
+    order, again = corpus_order(docs.select("text"), words), frozenset()
+    while True:
+        rows = materialise(_sets_with_prefix(docs, order, words, percent, again, id_bits))
+        shared = rows.filter("n > 0").groupBy("sid").agg(F.min("check").alias("low"), F.max("check").alias("high")).filter("low <> high")
+        twice = [r["sid"] for r in shared.select("sid").collect()]
+        if not twice:
+            return rows.drop("check"), again
+        again |= frozenset(i & (2**64 - 1) for i in twice)
+        discard(rows)
 
 
 def _possible(percent: int):
@@ -281,17 +315,17 @@ def _wanted_filter(ids: DataFrame, bits: int = FILTER_BITS) -> np.ndarray:
     return out
 
 
-def _full_sets(docs: DataFrame, pairs: DataFrame, words: int) -> DataFrame:
+def _full_sets(docs: DataFrame, pairs: DataFrame, words: int, again: frozenset, id_bits: int) -> DataFrame:
     """(sid, hashes) of the sets that occur in pairs, cut again from the texts."""
     ids = pairs.select(F.explode(F.array("a", "b")).alias("id"))
     held = docs.sparkSession.sparkContext.broadcast(_wanted_filter(ids))
 
     def run(batches):
         wanted, seen = held.value, set()
-        for batch in batches:
+        for batch in slices(batches):
             ids, data = [], []
             for s in shingle_sets(batch.column(0), words):
-                sid = set_id(s)
+                sid = set_id(s, again, id_bits)[0]
                 slot = (sid & (2**64 - 1)) >> (64 - FILTER_BITS)
                 if len(s) and wanted[slot >> 3] >> (slot & 7) & 1 and sid not in seen:
                     seen.add(sid)
@@ -305,10 +339,12 @@ def _full_sets(docs: DataFrame, pairs: DataFrame, words: int) -> DataFrame:
 
 def _links(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """Pairs whose whole sets are similar enough."""
-    both = pairs.join(sets.select(F.col("sid").alias("a"), F.col("hashes").alias("set_a")), "a").join(sets.select(F.col("sid").alias("b"), F.col("hashes").alias("set_b")), "b")
+    side = lambda x: sets.select(F.col("sid").alias(x), F.col("hashes").alias(f"set_{x}"))
+    left = salted_join(pairs, side("a"), "a", ["b"], hot_keys(pairs, "a"))
+    both = salted_join(left, side("b"), "b", ["a"], hot_keys(pairs, "b"))
 
     def run(batches):
-        for batch in batches:
+        for batch in slices(batches):
             keep = []
             for x, y in zip(batch.column(2), batch.column(3)):
                 s, t = np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)
@@ -339,16 +375,15 @@ def connected_components(edges: DataFrame) -> DataFrame:
         large = both.join(least, "u").filter("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u <> v").distinct()
         low = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(low, "u").select(F.explode(F.array(F.struct(F.col("v").alias("u"), F.col("m").alias("v")), F.struct("u", F.col("m").alias("v")))).alias("e")).select("e.*").filter("u <> v").distinct()
-        now = materialise(small)
+        older, now = now, materialise(small)
+        discard(older)
     return now.select(F.col("u").alias("node"), F.col("v").alias("component")).unionByName(now.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct())
 
 
-def similar_components(df: DataFrame, doc_id: str = "doc_id", text: str = "text", words: int = WORDS, percent: int = PERCENT) -> DataFrame:
-    """Per row: doc_id, n_shingles, component_id (least doc_id reachable by links)."""
+def similar_components(df: DataFrame, doc_id: str = "doc_id", text: str = "text", words: int = WORDS, percent: int = PERCENT, id_bits: int = 64) -> DataFrame:
+    """Per row: doc_id, n_shingles, component_id (least doc_id reachable by links). ``id_bits``: fewer only to try sets that share an id."""
     docs = df.select(df[doc_id].alias("doc_id"), df[text].cast("string").alias("text"))
-    bounded_batches(docs)
-    order = corpus_order(docs.select("text"), words)
-    rows = materialise(_sets_with_prefix(docs, order, words, percent))
+    rows, again = _identified(docs, words, percent, id_bits)
     full = rows.filter("n > 0")
     classes = full.groupBy("sid", "n").agg(F.first("prefix").alias("prefix"))
     postings = classes.select("sid", "n", F.posexplode("prefix").alias("pos", "h"))
@@ -360,7 +395,7 @@ def similar_components(df: DataFrame, doc_id: str = "doc_id", text: str = "text"
     first = met.filter(F.col("sid") != F.col("lead.sid"))
     first = first.select(F.col("sid").alias("a"), F.col("lead.sid").alias("b"), F.col("n").alias("n_a"), F.col("lead.n").alias("n_b"), F.col("pos").alias("pos_a"), F.col("lead.pos").alias("pos_b"))
     pairs = materialise(_summed(first, percent))
-    near = materialise(_links(pairs, _full_sets(docs, pairs, words), percent))
+    near = materialise(_links(pairs, _full_sets(docs, pairs, words, again, id_bits), percent))
     groups = connected_components(near)
 
     # Pairs across the components found so far: each column pairs the classes outside its
@@ -372,9 +407,9 @@ def similar_components(df: DataFrame, doc_id: str = "doc_id", text: str = "text"
     placed = materialise(placed.join(largest, "h"))
     outside = placed.filter("comp <> top")
     side = lambda df, x: df.select("h", *[F.col(c).alias(f"{c}_{x}") for c in df.columns if c not in ("h", "sid", "top")], F.col("sid").alias(x), *([F.col("top")] if x == "b" else []))
-    across = side(outside, "a").join(side(placed, "b"), "h").filter("comp_a <> comp_b and (comp_b = top or comp_a < comp_b)").filter(_sizes_fit(percent)).filter(_unshared_allows(percent))
+    across = salted_join(side(outside, "a"), side(placed, "b"), "h", ["a"], hot_keys(outside, "h")).filter("comp_a <> comp_b and (comp_b = top or comp_a < comp_b)").filter(_sizes_fit(percent)).filter(_unshared_allows(percent))
     pairs = materialise(_summed(across, percent))
-    far = _links(pairs, _full_sets(docs, pairs, words), percent)
+    far = _links(pairs, _full_sets(docs, pairs, words, again, id_bits), percent)
     edges = groups.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(far)
     groups = connected_components(edges)
 

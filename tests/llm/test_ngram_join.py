@@ -59,8 +59,10 @@ def corpus():
 def test_against_brute_force(spark):
     rows = corpus()
     df = spark.createDataFrame([(d, t, "x", 1) for d, t in rows], "doc_id long, text string, sid string, n int").repartition(5)
-    got = sorted(tuple(r) for r in N.similar_components(df).collect())
-    assert got == brute(rows)
+    want = brute(rows)
+    assert sorted(tuple(r) for r in N.similar_components(df).collect()) == want
+    # ids of so few bits that most sets share one at first
+    assert sorted(tuple(r) for r in N.similar_components(df, id_bits=5).collect()) == want
 
 
 def test_components(spark):
@@ -74,3 +76,19 @@ def test_empty_and_repeated(spark):
     got = sorted((tuple(r) for r in N.similar_components(df).collect()), key=str)
     assert got == sorted([(1, 2, 1), (1, 2, 1), (None, 2, 1), (2, 0, 2)], key=str)
     assert N.similar_components(df.limit(0)).count() == 0
+
+
+def test_salted_join(spark):
+    from freshview.llm.common import hot_keys, salted_join
+
+    many = spark.createDataFrame([(k % 7 if k < 100 else 50, k) for k in range(900)] + [(None, 1000), (77, 1001)], "k long, v long")
+    one = spark.createDataFrame([(k, f"n{k}") for k in (0, 1, 2, 50, 50)], "k long, name string")
+    hot = hot_keys(many, "k", share=0.01)
+    assert {k for k, _ in hot} == {*range(7), 50} and sum(n for _, n in hot) < 120
+    for how in ("inner", "left"):
+        want = sorted(map(str, many.join(one, "k", how).collect()))
+        assert sorted(map(str, salted_join(many, one, "k", ["v"], hot, how).select("k", "v", "name").collect())) == want
+
+
+def test_order_grows():
+    assert [N.order_bits(n) for n in (0, 1000, 1 << 18, 1 << 20, 1 << 40)] == [18, 18, 19, 21, 24]
