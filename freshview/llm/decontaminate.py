@@ -31,7 +31,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bounded_batches, table
+from .common import slices, table
 
 #: Fixed values of the contract: A-Z is lowered, then these are the words, as UTF-8 bytes and as text.
 WORD_BYTES = re.compile(rb"[0-9a-z\x80-\xff]+")
@@ -40,7 +40,7 @@ WINDOW = 10
 #: Indexed words of a shard (a longer document is a shard of its own), and benchmark words of a block.
 SHARD_WORDS, BLOCK_WORDS = 1 << 19, 1 << 20
 #: Benchmark words that are broadcast together; a larger benchmark takes more passes over the documents.
-PASS_WORDS = 1 << 22
+PASS_WORDS = 1 << 21
 #: Every so many-th suffix position is kept.
 SAMPLE = 8
 
@@ -125,12 +125,12 @@ class FMIndex:
         self.kept_counts = np.concatenate(([0], np.cumsum(np.bitwise_count(self.kept).astype(np.int64))))[:-1]
         self.positions = order[kept]
 
-    def search(self, phrases: np.ndarray, lengths: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Row ranges [low, high) of all phrases (rows padded on the right), searched backwards together."""
-        low, high = np.zeros(len(phrases), np.int64), np.full(len(phrases), self.n, np.int64)
+    def search(self, words: np.ndarray, starts: np.ndarray, lengths: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Row ranges [low, high) of all phrases, given by place and length in an array of symbols, searched backwards together."""
+        low, high = np.zeros(len(starts), np.int64), np.full(len(starts), self.n, np.int64)
         for back in range(1, int(lengths.max(initial=0)) + 1):
             alive = np.flatnonzero((lengths >= back) & (high > low))
-            symbol = phrases[alive, lengths[alive] - back]
+            symbol = words[starts[alive] + lengths[alive] - back].astype(np.int64)
             low[alive] = self.before[symbol] + self.matrix.rank(symbol, low[alive])
             high[alive] = self.before[symbol] + self.matrix.rank(symbol, high[alive])
         return low, np.maximum(low, high)
@@ -153,23 +153,36 @@ class FMIndex:
 
 
 class Phrases:
-    """A block of benchmark items: vocabulary, distinct windows, and the items of each window."""
+    """A block of benchmark items: vocabulary, distinct windows, and the items of each window.
+
+    Windows are places in one array of the items' words, and owners one array cut by
+    window, so a block takes a few bytes a word beside its vocabulary.
+    """
 
     def __init__(self, items: list[tuple], window: int) -> None:
         self.vocabulary: dict[bytes, int] = {}
         self.items = [str(i) if i is not None else None for i, _ in items]
-        found: dict[tuple, list[int]] = {}
-        for k, (_, text) in enumerate(items):
-            words = [self.vocabulary.setdefault(w, len(self.vocabulary) + 1) for w in words_of(text)]
-            for at in range(max(1, len(words) - window + 1) if words else 0):
-                owners = found.setdefault(tuple(words[at : at + window]), [])
-                if not owners or owners[-1] != k:
-                    owners.append(k)
-        self.lengths = np.array([len(w) for w in found], np.int64)
-        self.windows = np.zeros((len(found), window), np.int64)
-        for row, w in enumerate(found):
-            self.windows[row, : len(w)] = w
-        self.owners = list(found.values())
+        coded = [np.array([self.vocabulary.setdefault(w, len(self.vocabulary) + 1) for w in words_of(text)], np.int32) for _, text in items]
+        self.words = np.concatenate([*coded, np.zeros(0, np.int32)])
+        sizes = np.array([len(c) for c in coded], np.int64)
+        begin = np.cumsum(sizes) - sizes
+        length = np.minimum(sizes, window)
+        count = np.where(sizes > 0, sizes - length + 1, 0)
+        item = np.repeat(np.arange(len(items)), count)
+        start = begin[item] + np.arange(len(item)) - np.repeat(np.cumsum(count) - count, count)
+        starts, lengths, owners, owned = [], [], [], 0
+        for n in np.unique(length[item]).tolist():
+            mine = np.flatnonzero(length[item] == n)
+            rows = np.ascontiguousarray(np.lib.stride_tricks.sliding_window_view(self.words, n)[start[mine]])
+            _, first, which = np.unique(rows.view(np.dtype((np.void, 4 * n))).ravel(), return_index=True, return_inverse=True)
+            starts.append(start[mine][first])
+            lengths.append(np.full(len(first), n, np.int64))
+            owners.append(np.unique(np.stack((which + owned, item[mine]), 1), axis=0))
+            owned += len(first)
+        self.starts, self.lengths = (np.concatenate([*x, np.zeros(0, np.int64)]) for x in (starts, lengths))
+        pairs = np.concatenate([*owners, np.zeros((0, 2), np.int64)])
+        self.owners = pairs[:, 1].astype(np.int32)
+        self.owner_at = np.searchsorted(pairs[:, 0], np.arange(owned + 1))
         self.shortest = int(self.lengths.min(initial=window))
 
 
@@ -226,7 +239,7 @@ def shard_hits(words: list[list[bytes]], blocks: list[Phrases]) -> tuple[list[np
         if not len(text):
             continue
         index = FMIndex(text, len(block.vocabulary) + 1)
-        low, high = index.search(block.windows, block.lengths)
+        low, high = index.search(block.words, block.starts, block.lengths)
         count = high - low
         which = np.repeat(np.arange(len(count)), count)
         rows = np.repeat(low - (np.cumsum(count) - count), count) + np.arange(int(count.sum()))
@@ -234,7 +247,7 @@ def shard_hits(words: list[list[bytes]], blocks: list[Phrases]) -> tuple[list[np
         np.add.at(cover, at, 1)
         np.add.at(cover, at + block.lengths[which], -1)
         for d, w in set(zip(doc[at].tolist(), which.tolist())):
-            items[d].update(i for k in block.owners[w] if (i := block.items[k]) is not None)
+            items[d].update(i for k in block.owners[block.owner_at[w] : block.owner_at[w + 1]] if (i := block.items[k]) is not None)
     hit = np.cumsum(cover[:-1]) > 0
     return [hit[begin[i] : begin[i + 1]] for i in range(len(words))], [sorted(s) for s in items]
 
@@ -267,7 +280,7 @@ def without(text: str | None, spans: list[tuple[int, int]]) -> str | None:
 
 def _shards(batches, blocks: list[Phrases], first: bool) -> Iterator[tuple]:
     """Slices of the batches (kept columns, text, and after the first pass the state) with texts, word flags and items."""
-    for batch in batches:
+    for batch in slices(batches):
         at = batch.num_columns - (1 if first else 3)
         texts = batch.column(at).to_pylist()
         begin, words, total = 0, [], 0
@@ -301,7 +314,7 @@ def _in_passes(src: DataFrame, groups: Iterator[list[Phrases]], finish, schema)
                     more = [pa.array([np.packbits(h).tobytes() for h in hits], pa.binary()), pa.array(items, pa.list_(pa.string()))]
                     yield pa.RecordBatch.from_arrays([*part.columns, *more], names=[*part.schema.names, "__hit", "__items"])
 
-        frame = bounded_batches(frame).mapInArrow(run, schema if following is None else state)
+        frame = frame.mapInArrow(run, schema if following is None else state)
         first, group = False, following
     return frame
 

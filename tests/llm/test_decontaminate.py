@@ -14,7 +14,7 @@ def test_index_against_scan():
         phrases = np.zeros((60, 6), np.int64)
         for i, m in enumerate(lengths):
             phrases[i, :m] = rng.integers(1, k, m)
-        low, high = index.search(phrases, lengths)
+        low, high = index.search(phrases.ravel(), np.arange(60) * 6, lengths)
         for i, m in enumerate(lengths):
             want = [p for p in range(n - m + 1) if (text[p : p + m] == phrases[i, :m]).all()]
             assert sorted(index.locate(np.arange(low[i], high[i])).tolist()) == want
