@@ -1,7 +1,8 @@
 """Language identification of mixed-language text: word scores and a Viterbi path.
 
 Training counts letter trigrams inside words, by language, on a bounded sample of
-labelled rows (``TRAIN_ROWS``, whole texts), in Spark; the driver receives one hashed
+labelled rows (``TRAIN_ROWS``, whole texts, the same bound for every language, so a
+language with few rows is learned from all of them), in Spark; the driver receives one hashed
 table of fixed size a language. Prediction is array arithmetic over a batch: code
 points are lowered by a table, trigrams hashed, their log probabilities summed word
 by word. The script of a word (by code point ranges) narrows its candidates to the
@@ -14,7 +15,8 @@ The language of a text is the one with most letters; the score is its share of t
 letters. Ties go to the language first in code point order.
 
 Defined cases: null text or text without a letter is ``und`` with score 0; so is
-every text when nothing was learned. Rows with null lang are not learned from.
+every text when nothing was learned. Rows with null lang, or without an id that would
+say whether they are held out, are not learned from.
 Repeated rows give repeated results. Only the text is read in a prediction.
 """
 
@@ -28,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bounded_batches, table
+from .common import slices, table
 
 #: Bound of the training sample, in rows over all languages; and of the model, in hashed trigrams.
 TRAIN_ROWS, BUCKETS = 20_000, 1 << 16
@@ -207,15 +209,17 @@ def spans_of(model: Model, n: int, words: dict[str, np.ndarray], label: np.ndarr
 
 
 def train(labelled: DataFrame, text: str = "text", lang: str = "lang", key: str = "doc_id", rows: int = TRAIN_ROWS) -> Model:
-    """Learn from at most ``rows`` labelled rows (about; chosen by a hash of the key), whole texts."""
-    src = labelled.filter(labelled[lang].isNotNull() & labelled[text].isNotNull()).select(labelled[lang].alias("lang"), labelled[text].alias("text"), F.xxhash64(labelled[key]).alias("h"))
-    total = src.select("lang").count()
-    if total > rows:
-        src = src.filter(F.pmod(F.col("h"), F.lit(1 << 30)) < int((1 << 30) * rows / total))
+    """Learn from about ``rows`` labelled rows at most, shared evenly by the languages, chosen by a hash of key and text; whole texts."""
+    src = labelled.filter(labelled[lang].isNotNull() & labelled[text].isNotNull()).select(labelled[lang].alias("lang"), labelled[text].alias("text"), F.xxhash64(labelled[key], labelled[text]).alias("h"))
+    counts = src.groupBy("lang").agg(F.count(F.lit(1)).alias("total"))
+    share = counts.agg(F.count(F.lit(1)).alias("langs"))
+    # one row a language; the optimiser decides whether it is small enough to broadcast
+    rates = counts.join(F.broadcast(share)).select("lang", (F.lit(float(1 << 30) * rows) / F.col("langs") / F.col("total")).alias("rate"))
+    src = src.join(rates, "lang").filter(F.pmod(F.col("h"), F.lit(1 << 30)) < F.col("rate"))
 
     def run(batches):
         sums: dict[str, np.ndarray] = {}
-        for batch in batches:
+        for batch in slices(batches):
             langs, texts = batch.column(0).to_pylist(), batch.column(1).to_pylist()
             for code in set(langs):
                 mine = [t for t, c in zip(texts, langs) if c == code]
@@ -230,7 +234,7 @@ def train(labelled: DataFrame, text: str = "text", lang: str = "lang", key: str
             yield pa.RecordBatch.from_arrays([pa.array([code] * len(at), pa.string()), pa.array(at, pa.int32()), pa.array(row[at], pa.int64())], names=["lang", "slot", "n"])
 
     # a language has at most BUCKETS + len(SCRIPTS) rows here
-    got = bounded_batches(src.select("lang", "text")).mapInArrow(run, "lang string, slot int, n long").groupBy("lang", "slot").agg(F.sum("n").alias("n")).toPandas()
+    got = src.select("lang", "text").mapInArrow(run, "lang string, slot int, n long").groupBy("lang", "slot").agg(F.sum("n").alias("n")).toPandas()
     langs = sorted(got["lang"].unique())
     full = np.zeros((BUCKETS + len(SCRIPTS), len(langs)))
     full[got["slot"].to_numpy(int), np.searchsorted(langs, got["lang"].to_numpy(str)) if langs else []] = got["n"]
@@ -263,7 +267,7 @@ def identify(df: DataFrame, model: Model, text: str = "text", spans: bool = Fals
 
     def run(batches):
         tool = held.value
-        for batch in batches:
+        for batch in slices(batches):
             texts = [t or "" for t in batch.column(batch.num_columns - 1).to_pylist()]
             for a, b in _blocks(texts):
                 langs, score, words, label = label_texts(tool, texts[a:b])
@@ -273,7 +277,7 @@ def identify(df: DataFrame, model: Model, text: str = "text", spans: bool = Fals
                     more.append(pa.array(spans_of(tool, b - a, words, label), pa.list_(span)))
                 yield pa.RecordBatch.from_arrays([*part.columns, *more], names=[*part.schema.names, "lang_pred", "score", *["lang_spans"] * spans])
 
-    return bounded_batches(src).mapInArrow(run, schema)
+    return src.mapInArrow(run, schema)
 
 
 def held_out(doc_id: str = "doc_id"):
@@ -282,7 +286,7 @@ def held_out(doc_id: str = "doc_id"):
 
 
 def train_on_documents(docs: DataFrame) -> Model:
-    return train(docs.filter(~held_out()))
+    return train(docs.filter(F.col("doc_id").isNotNull() & ~held_out()))
 
 
 def op8_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
