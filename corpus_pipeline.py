@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from freshview.llm import byte_bpe, decontaminate, language, ngram_join, secrets
-from freshview.llm.common import materialise, table
+from freshview.llm.common import discard, materialise, table
 
 
 def known_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -72,5 +72,6 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     for name, stage in STAGES[:-1]:
-        docs = materialise(stage(spark, docs, sf_dir))
+        older, docs = docs, materialise(stage(spark, docs, sf_dir))
+        discard(older)
     return STAGES[-1][1](spark, docs, sf_dir)
