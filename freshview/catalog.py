@@ -1,7 +1,8 @@
 """View catalogue: versions on shared storage, epochs, refresh modes, outlier thresholds.
 
-Each version is a directory that is written once; a small pointer table names the
-current one, so readers see the old version until the new one is complete.
+Each version is a directory that is written once. What is current is said by the newest
+complete file of a numbered series of pointers, so readers see the old version until the
+new one is complete, and a new manager goes on where another stopped (``load``).
 """
 
 from __future__ import annotations
@@ -12,7 +13,7 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .functions.hashing import SALT, band_filter
+from .functions.hashing import SALT, Banded
 from .operators.cleaning import stale_sample
 from .operators.maintenance import refresh, refresh_sample, stale_plan
 from .operators.outliers import threshold_sigma, threshold_topk
@@ -29,6 +30,8 @@ class Entry:
     epoch: int = 0
     version: int = 0
     sample_version: int = 0
+    #: Number of the newest pointer.
+    pointer: int = 0
     #: Last logged batch that a full refresh has taken in.
     applied: int = -1
     thresholds: dict[str, float] = field(default_factory=dict)
@@ -47,14 +50,34 @@ class ViewManager:
     def register(self, view: View, changes: ChangeSet, m: float, salt: str = SALT) -> None:
         """Materialise the view from the old tables, by hash band, and cut its sample."""
         e = self.entries[view.name] = Entry(view, m, salt)
+        try:
+            before = self._newest(view.name)
+            e.version, e.sample_version, e.pointer = before["version"], before["sample_version"], before["pointer"]
+        except KeyError:
+            pass
         self._publish(e, stale_plan(view, changes).lower())
 
+    def load(self, view: View) -> None:
+        """Take a registered view up again from its newest pointer; the definition itself is not stored."""
+        state = self._newest(view.name)
+        names = ("m", "salt", "epoch", "version", "sample_version", "applied", "thresholds", "pointer")
+        self.entries[view.name] = Entry(view, **{n: state[n] for n in names})
+
+    def _newest(self, name: str) -> dict:
+        """The newest complete pointer."""
+        folder = self.spark._jvm.org.apache.hadoop.fs.Path(f"{self.path}/{name}/pointer")
+        files = folder.getFileSystem(self.spark._jsc.hadoopConfiguration())
+        numbers = sorted((int(f.getPath().getName().split("=")[1]) for f in files.listStatus(folder)), reverse=True) if files.exists(folder) else []
+        for n in numbers:
+            if files.exists(self.spark._jvm.org.apache.hadoop.fs.Path(f"{folder}/n={n}/_SUCCESS")):
+                return json.loads(self.spark.read.text(f"{folder}/n={n}").first()[0]) | {"pointer": n}
+        raise KeyError(f"no complete pointer of {name}")
+
     def _publish(self, e: Entry, df: DataFrame) -> None:
         version = e.version + 1
         write_banded(df, self._dir(e.view.name, "view", version), list(e.view.keys), e.salt)
         e.version, e.epoch = version, e.epoch + 1
         self._publish_sample(e, self._cut(e))
-        self._point(e)
 
     def _publish_sample(self, e: Entry, df: DataFrame) -> None:
         version = e.sample_version + 1
@@ -63,22 +86,26 @@ class ViewManager:
         self._point(e)
 
     def _point(self, e: Entry) -> None:
-        state = json.dumps({"name": e.view.name, "key": list(e.view.keys), "m": e.m, "salt": e.salt, "epoch": e.epoch, "version": e.version, "sample_version": e.sample_version, "applied": e.applied, "thresholds": e.thresholds})
-        self.spark.sql(f"SELECT '{state.replace(chr(39), chr(39) * 2)}' AS state").coalesce(1).write.mode("overwrite").json(f"{self.path}/{e.view.name}/pointer")
+        state = {"name": e.view.name, "key": list(e.view.keys), "m": e.m, "salt": e.salt, "epoch": e.epoch, "version": e.version, "sample_version": e.sample_version, "applied": e.applied, "thresholds": e.thresholds}
+        e.pointer += 1
+        self.spark.createDataFrame([(json.dumps(state),)], "state string").coalesce(1).write.mode("overwrite").text(f"{self.path}/{e.view.name}/pointer/n={e.pointer}")
 
     def _cut(self, e: Entry) -> DataFrame:
         """The stale sample by band: only the bands below m are read."""
-        whole = self.spark.read.parquet(self._dir(e.view.name, "view", e.version))
-        return band_filter(whole, list(e.view.keys), e.m, e.salt).drop("hash_band")
+        return stale_sample(self.stored(e.view.name), e.view.keys, e.m, e.salt)
 
-    def current(self, name: str) -> DataFrame:
+    def stored(self, name: str) -> Banded:
+        """The current view as it is stored, by hash band: plans over it read the bands below m for a sample."""
         e = self.entries[name]
-        return self.spark.read.parquet(self._dir(name, "view", e.version)).drop("hash_band")
+        return Banded(self.spark.read.parquet(self._dir(name, "view", e.version)), tuple(e.view.keys), e.salt)
+
+    def current(self, name: str) -> DataFrame:
+        return self.stored(name).rows()
 
     def samples(self, name: str) -> tuple[DataFrame, DataFrame]:
         """Stale sample of the current epoch, and the latest fresh sample."""
         e = self.entries[name]
-        return stale_sample(self.current(name), e.view.keys, e.m, e.salt), self.spark.read.parquet(self._dir(name, "sample", e.sample_version))
+        return self._cut(e), self.spark.read.parquet(self._dir(name, "sample", e.sample_version))
 
     def apply(self, name: str, changes: ChangeSet, mode: str = "deferred") -> None:
         """Eager: refresh the view now. Deferred: refresh only the sample; ``refresh`` does the rest later.
@@ -87,17 +114,18 @@ class ViewManager:
         """
         e = self.entries[name]
         if mode == "eager":
-            self._publish(e, refresh(e.view, self.current(name), changes))
+            self._publish(e, refresh(e.view, self.stored(name), changes))
             e.pending.clear()
             return
         e.pending = [changes]
-        self._publish_sample(e, refresh_sample(e.view, self.current(name), changes, e.m, e.salt))
+        self._publish_sample(e, refresh_sample(e.view, self.stored(name), changes, e.m, e.salt))
 
-    def refresh(self, name: str, new_salt: str | None = None) -> None:
-        """Full refresh with the pending changes; a new epoch may sample by a new salt."""
+    def refresh(self, name: str, new_salt: str | None = None, applied: int | None = None) -> None:
+        """Full refresh with the pending changes; a new epoch may sample by a new salt. ``applied``: last logged batch among the changes."""
         e = self.entries[name]
-        fresh = refresh(e.view, self.current(name), e.pending[-1]) if e.pending else self.current(name)
+        fresh = refresh(e.view, self.stored(name), e.pending[-1]) if e.pending else self.current(name)
         e.salt = new_salt or e.salt
+        e.applied = e.applied if applied is None else applied
         self._publish(e, fresh)
         e.pending.clear()
 

@@ -9,6 +9,7 @@ one deterministic expression without Python, so Catalyst can push it to the scan
 from __future__ import annotations
 
 import math
+from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -86,16 +87,36 @@ def key_hash_filter(df: DataFrame, key: list[str] | str, m: float, salt: str = S
     return df.filter(in_sample(df, key, m, salt, family))
 
 
-def hash_band(df: DataFrame, key: list[str], salt: str = SALT) -> Column:
-    """First byte of the md5 key hash: the partition column of views and samples."""
-    return F.conv(F.substring(F.md5(F.concat(F.lit(f"{salt}|"), key_text(df, key))), 1, 2), 16, 10).cast("int")
+def hash_band(df: DataFrame, key: list[str], salt: str = SALT, family: str = "md5") -> Column:
+    """First byte of the key hash: the partition column of views and samples."""
+    h = hash32(key_text(df, key), salt, family)
+    return F.conv(F.substring(h, 1, 2), 16, 10).cast("int") if family in ("md5", "sha2_256") else F.shiftrightunsigned(h, 24).cast("int")
 
 
-def band_filter(df: DataFrame, key: list[str], m: float, salt: str = SALT, band: str = "hash_band") -> DataFrame:
+def band_filter(df: DataFrame, key: list[str], m: float, salt: str = SALT, band: str = "hash_band", family: str = "md5") -> DataFrame:
     """The exact filter plus the band bound, which prunes partitions of a banded table."""
     if m >= 1:
         return df
-    return df.filter(F.col(band) <= math.floor(m * BANDS)).filter(in_sample(df, key, m, salt))
+    return df.filter(F.col(band) <= math.floor(m * BANDS)).filter(in_sample(df, key, m, salt, family))
+
+
+@dataclass(frozen=True)
+class Banded:
+    """A stored table whose partition column ``hash_band`` is the first byte of its key hash."""
+
+    df: DataFrame
+    key: tuple[str, ...]
+    salt: str = SALT
+    family: str = "md5"
+
+    def rows(self) -> DataFrame:
+        return self.df.drop("hash_band")
+
+    def sample(self, key: tuple[str, ...], m: float, salt: str, family: str) -> DataFrame:
+        """The key-hash filter; by bands where it is the filter that the table is banded by."""
+        if (tuple(key), salt, family) == (self.key, self.salt, self.family):
+            return band_filter(self.df, list(key), m, salt, family=family).drop("hash_band")
+        return key_hash_filter(self.rows(), list(key), m, salt, family)
 
 
 def refine(df: DataFrame, key: list[str], m_from: float, m_to: float, salt: str = SALT) -> DataFrame:

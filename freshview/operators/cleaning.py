@@ -5,14 +5,16 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.hashing import SALT, key_hash_filter
+from ..functions.hashing import SALT, Banded, in_sample, key_hash_filter
 from ..sources.changes import ChangeSet
 from .maintenance import delta_view, refresh
 from .views import COUNT, View
 
 
-def stale_sample(stale: DataFrame, key: tuple[str, ...], m: float, salt: str = SALT) -> DataFrame:
-    return key_hash_filter(stale, list(key), m, salt)
+def stale_sample(stale: DataFrame | Banded, key: tuple[str, ...], m: float, salt: str = SALT, family: str = "md5") -> DataFrame:
+    if isinstance(stale, Banded):
+        return stale.sample(key, m, salt, family)
+    return key_hash_filter(stale, list(key), m, salt, family)
 
 
 def check_correspondence(stale: DataFrame, fresh: DataFrame, stale_s: DataFrame, fresh_s: DataFrame, key: tuple[str, ...], m: float) -> DataFrame:
@@ -45,9 +47,13 @@ def check_correspondence(stale: DataFrame, fresh: DataFrame, stale_s: DataFrame,
 
 
 def refresh_then_sample(view: View, stale: DataFrame, changes: ChangeSet, m: float, salt: str = SALT) -> DataFrame:
-    """Baseline: right, but the whole view is refreshed (and kept) first."""
-    whole = refresh(view, stale, changes).cache()
-    return key_hash_filter(whole, list(view.keys), m, salt)
+    """Baseline: right, but the whole view is refreshed first.
+
+    The row number is no part of the result: no filter moves below a column that depends on
+    the order of rows, so every row of the fresh view is computed.
+    """
+    whole = refresh(view, stale, changes).withColumn("__row", F.monotonically_increasing_id())
+    return whole.filter(in_sample(whole, list(view.keys), m, salt) & (F.col("__row") >= 0)).drop("__row")
 
 
 def naive_row_sample_refresh(view: View, stale_s: DataFrame, changes: ChangeSet, m: float, salt: str = "r1") -> DataFrame:

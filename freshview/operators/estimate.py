@@ -23,7 +23,11 @@ class UnsupportedEstimate(ValueError):
 
 @dataclass(frozen=True)
 class AggQuery:
-    """``agg`` of SQL ``attr`` where SQL ``cond``; ``over`` is a ratio's denominator, ``p`` a percentile."""
+    """``agg`` of SQL ``attr`` where SQL ``cond``; ``over`` is a ratio's denominator, ``p`` a percentile.
+
+    ``accuracy``: 0 for exact percentiles, which gather a group's values in one place; else
+    the accuracy of the approximate ones (error 1 / accuracy of the ranks), for large groups.
+    """
 
     agg: str
     attr: str = "1"
@@ -31,6 +35,7 @@ class AggQuery:
     group_by: tuple[str, ...] = ()
     over: str = "1"
     p: float = 0.5
+    accuracy: int = 0
 
     def __post_init__(self) -> None:
         if self.agg not in (*LINEAR, *PLUG_IN, "min", "max"):
@@ -47,10 +52,9 @@ class AggQuery:
                 return F.coalesce(F.sum(hit.cast("bigint")).cast("double"), F.lit(0.0))
             case "avg":
                 return F.try_divide(F.sum(F.when(hit, F.expr(self.attr))).cast("double"), F.sum((hit & F.expr(self.attr).isNotNull()).cast("bigint")).cast("double"))
-            case "median":
-                return F.percentile(attr, F.lit(0.5))
-            case "percentile":
-                return F.percentile(attr, F.lit(self.p))
+            case "median" | "percentile":
+                p = 0.5 if self.agg == "median" else self.p
+                return F.percentile_approx(attr, F.lit(p), F.lit(self.accuracy)) if self.accuracy else F.percentile(attr, F.lit(p))
             case "ratio":
                 return F.try_divide(F.sum(F.when(hit, F.expr(self.attr))).cast("double"), F.sum(F.when(hit, F.expr(self.over))).cast("double"))
             case "var":
@@ -99,7 +103,7 @@ def _tagged(stale_s: DataFrame, fresh_s: DataFrame) -> DataFrame:
 def drift_estimate(stale_s: DataFrame, fresh_s: DataFrame, q: AggQuery, m: float) -> DataFrame:
     """Estimated fresh answer less stale answer: one pass over both samples, tagged by side."""
     both = _tagged(stale_s, fresh_s)
-    side = lambda s: AggQuery(q.agg, q.attr, f"({q.cond}) and __side = {s}", (), q.over, q.p).value() * q.scale(m)
+    side = lambda s: AggQuery(q.agg, q.attr, f"({q.cond}) and __side = {s}", (), q.over, q.p, q.accuracy).value() * q.scale(m)
     fresh, stale = side(1), side(-1)
     drift = (F.coalesce(fresh, F.lit(0.0)) - F.coalesce(stale, F.lit(0.0))).alias("drift")
     return both.groupBy(*q.group_by).agg(drift) if q.group_by else both.agg(drift)
@@ -123,6 +127,64 @@ def answers(stale: DataFrame, fresh: DataFrame, stale_s: DataFrame, fresh_s: Dat
     return out
 
 
+def answers_many(stale: DataFrame, fresh: DataFrame, stale_s: DataFrame, fresh_s: DataFrame, queries: list[tuple[str, AggQuery]], m: float, draws: DataFrame | None = None) -> DataFrame:
+    """query_id, group_key, truth, stale, direct and correction of many queries, in one pass over the four frames.
+
+    Each row becomes one row a query that it qualifies for, and all sums are by query and
+    group. ``draws`` is a small table of parameters that the queries name as columns: every
+    query is answered once a row of it, and its columns lead the result. Totals without
+    a qualifying sample row are 0 by the direct estimator; other aggregates are null there.
+    Sums are exact to six decimals.
+    """
+    frames = {"t": fresh, "s": stale, "d": fresh_s, "c": stale_s}
+    shared = [c for c in fresh.columns if all(c in f.columns for f in frames.values())]
+    tagged = None
+    for tag, df in frames.items():
+        part = df.select(*shared, F.lit(tag).alias("__frame"))
+        tagged = part if tagged is None else tagged.unionByName(part)
+    by = [] if draws is None else draws.columns
+    if draws is not None:
+        tagged = tagged.crossJoin(F.broadcast(draws))
+    amount = lambda text: F.expr(text).cast("decimal(30,6)")
+    hits = []
+    for name, q in queries:
+        key = F.concat_ws("|", *[F.col(g).cast("string") for g in q.group_by]) if q.group_by else F.lit("")
+        over = amount(q.over) if q.agg == "ratio" else F.lit(None).cast("decimal(30,6)")
+        row = F.struct(F.lit(name).alias("query_id"), key.alias("group_key"), amount("1" if q.agg == "count" else q.attr).alias("x"), over.alias("y"))
+        hits.append(F.when(F.coalesce(F.expr(q.cond), F.lit(False)), row))
+    rows = tagged.select(*by, "__frame", F.explode(F.array_compact(F.array(*hits))).alias("hit")).select(*by, "__frame", "hit.*")
+    aggs = {name: q.agg for name, q in queries}
+    ranks = {q.p if q.agg == "percentile" else 0.5 for _, q in queries if q.agg in ("median", "percentile")}
+    sums = []
+    for tag in frames:
+        mine = lambda c, tag=tag: F.when(F.col("__frame") == tag, F.col(c))
+        sums += [F.sum(mine("x")).alias(f"x_{tag}"), F.sum(mine("y")).alias(f"y_{tag}"), F.count(mine("x")).alias(f"n_{tag}")]
+        sums += [F.percentile(mine("x").cast("double"), F.lit(p)).alias(f"p{int(p * 1000)}_{tag}") for p in sorted(ranks)]
+    got = rows.groupBy(*by, "query_id", "group_key").agg(*sums)
+
+    def value(tag: str) -> Column:
+        x, y, n = (F.col(f"{c}_{tag}") for c in "xyn")
+        out = F.lit(None).cast("double")
+        for name, q in queries:
+            if aggs[name] == "sum" or aggs[name] == "count":
+                v = F.coalesce(x.cast("double"), F.lit(0.0))
+            elif aggs[name] == "avg":
+                v = F.try_divide(x.cast("double"), n.cast("double"))
+            elif aggs[name] == "ratio":
+                v = F.try_divide(x.cast("double"), y.cast("double"))
+            elif aggs[name] in ("median", "percentile"):
+                v = F.col(f"p{int((q.p if q.agg == 'percentile' else 0.5) * 1000)}_{tag}")
+            else:
+                raise UnsupportedEstimate(q.agg)
+            out = F.when(F.col("query_id") == name, v * (q.scale(m) if tag in "dc" else 1.0)).otherwise(out)
+        return out
+
+    t, s, d, c = (value(tag) for tag in frames)
+    known = F.coalesce(s, d).isNotNull()
+    correction = F.when(known, F.coalesce(s, F.lit(0.0)) + F.coalesce(d, F.lit(0.0)) - F.coalesce(c, F.lit(0.0)))
+    return got.select(*by, "query_id", "group_key", t.alias("truth"), s.alias("stale"), d.alias("direct"), correction.alias("correction"))
+
+
 def paired_moments(stale_s: DataFrame, fresh_s: DataFrame, q: AggQuery, m: float, key: tuple[str, ...]) -> DataFrame:
     """Contributions by key on both sides (0 where a row is missing)."""
     both = _tagged(stale_s, fresh_s)

@@ -6,6 +6,7 @@ from itertools import combinations
 
 from pyspark.sql import DataFrame
 
+from ..functions.hashing import Banded
 from ..plans.nodes import Aggregate, Join, KeyHash, Node, Project, Scan, Select, Union
 from ..plans.pushdown import push
 from ..sources.changes import ChangeSet
@@ -25,12 +26,16 @@ def stale_plan(view: View, changes: ChangeSet) -> Node:
 def join_delta(view: View, changes: ChangeSet) -> list[Node]:
     """Change rows of the select-project-join part: one term for every non-empty set of changed tables.
 
-    Two changed inputs give three terms: old with changes, changes with old, changes with changes.
+    Two changed inputs give three terms: old with changes, changes with old, changes with
+    changes. Of tables whose changes only join with each other, the terms with some of them
+    are empty and left out.
     """
     changed = [t for t in view.tables if t in changes.tables]
     terms = []
     for n in range(1, len(changed) + 1):
         for some in combinations(changed, n):
+            if any(0 < len(g & set(some)) < len(g & set(changed)) for g in changes.together):
+                continue
             frames = {t: changes.delta(t) if t in some else changes.old[t] for t in view.tables}
             terms.append(view.rows(view.leaves(frames, {t: "changes" for t in some}, changes.keys)))
     return terms
@@ -47,7 +52,7 @@ def delta_view(view: View, changes: ChangeSet) -> Node:
     return Aggregate(whole, view.keys, tuple((n, f"sum({n})") for n in [*[n for n, _ in view.sums], COUNT]))
 
 
-def _stale_leaf(view: View, stale: DataFrame) -> Node:
+def _stale_leaf(view: View, stale: DataFrame | Banded) -> Node:
     return Scan(view.name, stale, view.keys, "stale")
 
 
@@ -70,11 +75,15 @@ def change_table_refresh(view: View, stale: DataFrame, changes: ChangeSet) -> No
     return Select(added, f"{COUNT} > 0")
 
 
-def spj_refresh(stale: DataFrame, inserted: DataFrame, deleted_keys: DataFrame, key: tuple[str, ...], name: str = "view") -> Node:
-    """A view without aggregates: deleted keys leave, inserted rows are appended."""
+def spj_refresh(stale: DataFrame | Banded, inserted: DataFrame | Node, deleted_keys: DataFrame | None, key: tuple[str, ...], name: str = "view") -> Node:
+    """A view without aggregates: deleted keys leave, inserted rows (a frame, or a tree of the view's columns) are appended."""
     on = tuple((k, k) for k in key)
-    kept = Join(Scan(name, stale, key, "stale"), Scan("deleted", deleted_keys.select(*key), key, "changes"), on, "left_anti")
-    return Union(kept, Scan("inserted", inserted.select(*stale.columns), key, "changes"), bag=True)
+    kept = Scan(name, stale, key, "stale")
+    if not isinstance(inserted, Node):
+        inserted = Scan("inserted", inserted.select(*kept.columns()), key, "changes")
+    if deleted_keys is not None:
+        kept = Join(kept, Scan("deleted", deleted_keys.select(*key), key, "changes"), on, "left_anti")
+    return Union(kept, inserted, bag=True)
 
 
 def touched_group_refresh(keys: tuple[str, ...], aggs: tuple[tuple[str, str], ...], stale: DataFrame, new_rows: DataFrame, changed_rows: DataFrame, name: str = "view") -> Node:
@@ -95,11 +104,11 @@ def refresh_plan(view: View, stale: DataFrame, changes: ChangeSet, strategy: str
     return recompute(view, changes) if strategy == "recompute" else STRATEGIES[strategy](view, stale, changes)
 
 
-def refresh(view: View, stale: DataFrame, changes: ChangeSet, strategy: str = "signed_union") -> DataFrame:
+def refresh(view: View, stale: DataFrame | Banded, changes: ChangeSet, strategy: str = "signed_union") -> DataFrame:
     return refresh_plan(view, stale, changes, strategy).lower()
 
 
-def refresh_sample(view: View, stale: DataFrame, changes: ChangeSet, m: float, salt: str = "s1", strategy: str = "signed_union", sample_key: tuple[str, ...] | None = None, family: str = "md5") -> DataFrame:
+def refresh_sample(view: View, stale: DataFrame | Banded, changes: ChangeSet, m: float, salt: str = "s1", strategy: str = "signed_union", sample_key: tuple[str, ...] | None = None, family: str = "md5") -> DataFrame:
     """The fresh sample: the refresh plan with the key-hash filter pushed from its root to its leaves."""
     plan = KeyHash(refresh_plan(view, stale, changes, strategy), sample_key or view.keys, m, salt, family)
     return push(plan)[0].lower()

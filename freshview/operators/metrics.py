@@ -55,7 +55,7 @@ def work_report(plan, m: float, key: tuple[str, ...], salt: str = "s1") -> DataF
         nonlocal out
         if isinstance(node, Scan):
             kept = (above.around(node) if isinstance(above, KeyHash) else node).lower()
-            row = node.df.agg(F.count(F.lit(1)).alias("rows")).crossJoin(kept.agg(F.count(F.lit(1)).alias("kept"))).select(F.lit(node.label()).alias("leaf"), "rows", "kept")
+            row = node.lower().agg(F.count(F.lit(1)).alias("rows")).crossJoin(kept.agg(F.count(F.lit(1)).alias("kept"))).select(F.lit(node.label()).alias("leaf"), "rows", "kept")
             out = row if out is None else out.unionByName(row)
         for c in node.children():
             walk(c, node)

@@ -3,6 +3,8 @@
 Building is a top-k with per-partition heaps. An index is a frame of base records; its
 way up the tree follows one rule a node kind. At the view it is a set of keys, whose
 rows are taken whole and count with ratio 1; the sample without them keeps ratio m.
+The cap bounds base records only: on its way up an indexed dimension row meets all its
+facts, so no side is broadcast by hint; the optimiser decides by size.
 """
 
 from __future__ import annotations
@@ -99,19 +101,19 @@ def push_up(node: Node, indexes: dict[str, OutlierSet], complete: bool = True, s
             join = lambda a, b: Join(Scan("l", a), Scan("r", b), node.on, "inner", node.fact, node.condition).lower()
             attributes = (left.attributes if left else frozenset()) | (right.attributes if right else frozenset())
             if left is None:
-                return OutlierSet(attributes, join(node.left.lower(), F.broadcast(right.records)))
+                return OutlierSet(attributes, join(node.left.lower(), right.records))
             if right is None:
-                return OutlierSet(attributes, join(F.broadcast(left.records), node.right.lower()))
+                return OutlierSet(attributes, join(left.records, node.right.lower()))
             if not complete:
                 return OutlierSet(attributes, join(left.records, right.records))
-            one = join(F.broadcast(left.records), node.right.lower())
-            return OutlierSet(attributes, one.unionByName(join(node.left.lower(), F.broadcast(right.records)).select(*one.columns)).distinct())
+            one = join(left.records, node.right.lower())
+            return OutlierSet(attributes, one.unionByName(join(node.left.lower(), right.records).select(*one.columns)).distinct())
         case Aggregate():
             below = up(node.child)
             if below is None:
                 return None
             groups = below.records.select(*node.keys).distinct()
-            whole = node.child.lower().join(F.broadcast(groups), list(node.keys), "left_semi")
+            whole = node.child.lower().join(groups, list(node.keys), "left_semi")
             return OutlierSet(frozenset(n for n, _ in node.aggs), Aggregate(Scan("rows", whole), node.keys, node.aggs).lower())
         case Union():
             left, right = up(node.left), up(node.right)
@@ -134,16 +136,16 @@ def push_up(node: Node, indexes: dict[str, OutlierSet], complete: bool = True, s
 
 def tag_outliers(sample: DataFrame, outliers: DataFrame, key: tuple[str, ...]) -> DataFrame:
     """Sample and outliers with ``is_outlier``; a row in both is an outlier only."""
-    kept = sample.join(F.broadcast(outliers.select(*key)), list(key), "left_anti").select(*sample.columns)
+    kept = sample.join(outliers.select(*key), list(key), "left_anti").select(*sample.columns)
     return kept.withColumn("is_outlier", F.lit(False)).unionByName(outliers.select(*sample.columns).withColumn("is_outlier", F.lit(True)))
 
 
 def _without(df: DataFrame, outliers: DataFrame, key: tuple[str, ...]) -> DataFrame:
-    return df.join(F.broadcast(outliers.select(*key)), list(key), "left_anti").select(*df.columns)
+    return df.join(outliers.select(*key), list(key), "left_anti").select(*df.columns)
 
 
 def _within(df: DataFrame, outliers: DataFrame, key: tuple[str, ...]) -> DataFrame:
-    return df.join(F.broadcast(outliers.select(*key)), list(key), "left_semi").select(*df.columns)
+    return df.join(outliers.select(*key), list(key), "left_semi").select(*df.columns)
 
 
 def merge_strata(parts: DataFrame, kind: str) -> DataFrame:

@@ -57,3 +57,30 @@ select round(truth, {digits}) as truth, round(stale, {digits}) as stale, round(d
 def contributions_sql(q, m: float = 0.1) -> str:
     amount = "1.0" if q.agg == "count" else f"cast({q.attr} as double)"
     return f"case when {q.cond} then {amount} / {m} else 0.0 end"
+
+
+METHODS = ("stale", "direct", "correction")
+#: CTE ``e`` over ``a`` (truth and the methods), and the select that follows it: one row a method and group of ``by``.
+ERRORS = "e as (select *, " + ", ".join(f"abs({m} - truth) / nullif(abs(truth), 0) as err_{m}" for m in METHODS) + " from a)"
+SUMMARY = " union all ".join(
+    f"select {{by}}, '{m}' as method, round(quantile_cont(err_{m}, 0.5), 5) as median, round(quantile_cont(err_{m}, 0.75), 5) as q75, round(max(err_{m}), 5) as worst, round(avg(err_{m}), 5) as mean, count(err_{m}) as n,"
+    f" round(quantile_cont(err_stale, 0.5) / nullif(quantile_cont(err_{m}, 0.5), 0), 5) as gain from e group by {{by}}"
+    for m in METHODS
+)
+FRAMES = {"t": "true", "s": "is_old", "d": "in_sample", "c": "is_old and in_sample"}
+
+
+def sums_by_frame(by: str, values: tuple[str, ...] = ("x", "y")) -> str:
+    """Select list of sums and counts a frame, of rows with the flags ``is_old`` and ``in_sample``."""
+    return f"select {by}, " + ", ".join(f"sum({v}) filter (where {cond}) as {v}_{t}, count({v}) filter (where {cond}) as n{v}_{t}" for t, cond in FRAMES.items() for v in values) + f" from r group by {by}"
+
+
+def estimates(by: str, agg: str = "kind", scale: float = 10.0) -> str:
+    """Select of truth and the three methods from ``sums_by_frame``; ``agg`` is a column with sum, ratio or avg."""
+
+    def value(t: str) -> str:
+        k = scale if t in "dc" else 1.0
+        return f"case {agg} when 'sum' then coalesce(cast(x_{t} as double), 0) * {k} when 'avg' then cast(x_{t} as double) / nullif(nx_{t}, 0) else cast(x_{t} as double) / nullif(cast(y_{t} as double), 0) end"
+
+    return f"""select {by}, t as truth, s as stale, d as direct, case when coalesce(s, d) is not null then coalesce(s, 0) + coalesce(d, 0) - coalesce(c, 0) end as correction
+ from (select {by}, {", ".join(f"{value(t)} as {t}" for t in FRAMES)} from g)"""

@@ -12,7 +12,7 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.hashing import SALT, key_hash_filter
+from ..functions.hashing import SALT, Banded, key_hash_filter
 
 
 @dataclass(frozen=True)
@@ -32,13 +32,15 @@ class Node:
 
 @dataclass(frozen=True)
 class Scan(Node):
+    """A leaf; a banded table is read whole here, and by bands under a filter on its key."""
+
     name: str
-    df: DataFrame = field(compare=False, repr=False)
+    df: DataFrame | Banded = field(compare=False, repr=False)
     key: tuple[str, ...] = ()
     kind: str = "base"
 
     def lower(self) -> DataFrame:
-        return self.df
+        return self.df.rows() if isinstance(self.df, Banded) else self.df
 
     def label(self) -> str:
         return f"scan {self.kind} {self.name}"
@@ -175,6 +177,8 @@ class KeyHash(Node):
     family: str = "md5"
 
     def lower(self) -> DataFrame:
+        if isinstance(self.child, Scan) and isinstance(self.child.df, Banded):
+            return self.child.df.sample(self.key, self.m, self.salt, self.family)
         return key_hash_filter(self.child.lower(), list(self.key), self.m, self.salt, self.family)
 
     def around(self, child: Node, key: tuple[str, ...] | None = None) -> KeyHash:

@@ -13,7 +13,7 @@ from .operators.estimate import AggQuery
 from .plans import keys, pushdown
 from .plans.nodes import Aggregate, Difference, Distinct, Intersect, Join, KeyHash, Project, Scan, Select, Union, Windowed
 from .sources import tables as T
-from .workloads import base, complex_views, cube, demand, join_view, log_views, minibatch, outlier_sweep
+from .workloads import base, complex_views, cube, demand, join_view, log_views, minibatch, outlier_sweep, timing
 
 M, KEY = base.RATIO, ("l_partkey",)
 _queries: dict = {}
@@ -368,19 +368,16 @@ def _o16(spark, d):
     return _rounded(outliers.interval_with_outliers(s.stale, s.stale_s, s.fresh_s, outlier_sweep.outlier_rows(s, 100), AggQuery("sum", "rev"), M, s.view.keys), 1)
 
 
-_add("o17_size_sweep")(lambda s, d: outlier_sweep.size_sweep(s, d, (0, 100)))
-_add("w3_outlier_z_sweep")(lambda s, d: outlier_sweep.z_sweep(s, d, (1, 4)))
+_add("o17_size_sweep")(outlier_sweep.size_sweep)
+_add("w3_outlier_z_sweep")(outlier_sweep.z_sweep)
+_add("w3_outlier_times")(outlier_sweep.size_times)
 
 
 # --- baselines and measures ------------------------------------------------------------
 @_add("b4_refresh_then_sample", O.demand() + " select l_partkey, n, cast(v as double) as v from fresh_s")
 def _b4(spark, d):
     s = _demand(spark, d)
-    return _visible(key_sample(maintenance.refresh(demand.PLAIN, s.stale, s.changes)), "l_partkey", "n", "v")
-
-
-def key_sample(df: DataFrame) -> DataFrame:
-    return H.key_hash_filter(df, list(KEY), M)
+    return _visible(cleaning.refresh_then_sample(demand.PLAIN, s.stale, s.changes, M), "l_partkey", "n", "v")
 
 
 @_add("b5_naive_row_sample", f"""with {O.SPLIT}, stale as (select l_partkey, count(*) as n from split where dh >= '{O.INS}' group by 1), d as (select l_partkey, case when dh < '{O.INS}' then 1 else -1 end as w from split where (dh < '{O.INS}' or dh >= '{O.DEL}') and {O.sampled("l_orderkey || '|' || l_seq", O.M, 'r1')}),
@@ -405,31 +402,56 @@ _WIDE = f""", w as (select split.*, c_mktsegment, cn.n_name as c_nation, cr.r_na
  from split join customer on o_custkey = c_custkey join nation cn on c_nationkey = cn.n_nationkey join region cr on cn.n_regionkey = cr.r_regionkey join supplier on l_suppkey = s_suppkey join nation sn on s_nationkey = sn.n_nationkey join part on l_partkey = p_partkey)"""
 
 
-def _join_sql(q: AggQuery, sample: str) -> str:
-    by = ", ".join(q.group_by)
-    group = " || '|' || ".join(f"cast({g} as varchar)" for g in q.group_by) or "''"
-    scale = 10.0 if q.agg in ("sum", "count") else 1.0
-    cond = q.cond.replace("interval 90 days", "interval 90 day")
-    q = AggQuery(q.agg, q.attr, cond, q.group_by, q.over, q.p)
-    part = lambda where: f"(select {group} as g, {O.plain(q)} as x from w where {where} {('group by ' + by) if by else ''})"
-    ins = f"dh >= '{O.INS}'"
-    return f"""with {O.ORDER_SPLIT}{_WIDE}, t as {part('true')}, s as {part(ins)}, f_s as {part(sample)}, s_s as {part(ins + ' and ' + sample)}
- select g as group_key, round(t.x, 5) as truth, round(s.x, 5) as stale, round(f_s.x * {scale}, 5) as direct, round(case when coalesce(s.x, f_s.x) is not null then coalesce(s.x, 0) + (coalesce(f_s.x, 0) * {scale} - coalesce(s_s.x, 0) * {scale}) end, 5) as correction from t full join s using (g) full join f_s using (g) full join s_s using (g)"""
-
-
-for _name, _q in join_view.queries():
-    if _name == "j18":
-        # whole orders are sampled, so that the quantity of an order is that of all its lines
-        _add("w1_j18", _join_sql(_q, O.sampled("l_orderkey")))(lambda s, d: _rounded(join_view.run(s, d, names=("j18",)).select("group_key", "truth", "stale", "direct", "correction"), 5))
-        continue
-    _add(f"w1_{_name}", _join_sql(_q, O.sampled("l_orderkey || '|' || l_seq")))(lambda s, d, n=_name: _rounded(join_view.run(s, d, names=(n,)).select("group_key", "truth", "stale", "direct", "correction"), 5))
-_add("w1_accuracy")(lambda s, d: join_view.accuracy(s, d, names=("j4", "j10", "j21")))
-_add("w1_break_even_sweep")(lambda s, d: join_view.delta_sweep(s, d, (0.05, 0.5)))
+def _join_rows(names: tuple[str, ...], n: int, old: str = f"dh >= '{O.INS}'", more: str = "") -> str:
+    """CTEs up to ``g``: sums by draw, template and group; ``more`` is a further table (size) that ``old`` may use."""
+    values = ", ".join(str(tuple(d)) for d in join_view.draws(0, n))
+    names_of = ", ".join(c.split()[0] for c in join_view.DRAW.split(", "))
+    columns = {c: c for c in names_of.split(", ")}
+    parts = []
+    for name in names:
+        q = join_view.query(name, columns)
+        key = " || '|' || ".join(f"cast({c} as varchar)" for c in q.group_by) or "''"
+        sample = O.sampled("l_orderkey" if name == "j18" else "l_orderkey || '|' || l_seq")
+        attr = "1" if q.agg == "count" else q.attr
+        over = f"cast({q.over} as decimal(30,6))" if q.agg == "ratio" else "cast(null as decimal(30,6))"
+        kind = "ratio" if q.agg == "ratio" else "sum"
+        parts.append(f"select {'size, ' if more else ''}draw, '{name}' as query_id, '{kind}' as kind, {key} as group_key, {old} as is_old, {sample} as in_sample, cast({attr} as decimal(30,6)) as x, {over} as y from w, draws{', ' + more if more else ''} where {q.cond.replace('interval 90 days', 'interval 90 day')}")
+    by = ("size, " if more else "") + "draw, query_id, kind, group_key"
+    return f"with {O.ORDER_SPLIT}{_WIDE}, draws({names_of}) as (values {values}), r as ({' union all '.join(parts)}), g as ({O.sums_by_frame(by)}), a as ({O.estimates(by)})"
+
+
+for _name in join_view.TEMPLATES:
+    _add(f"w1_{_name}", _join_rows((_name,), 1) + " select group_key, " + ", ".join(f"round({c}, 5) as {c}" for c in ("truth", *O.METHODS)) + " from a")(
+        lambda s, d, n=_name: _rounded(join_view.run(s, d, names=(n,)).select("group_key", "truth", "stale", "direct", "correction"), 5)
+    )
+_add("w1_accuracy", _join_rows(tuple(join_view.TEMPLATES), 20) + f", {O.ERRORS} " + O.SUMMARY.format(by="query_id"))(lambda s, d: _rounded(join_view.accuracy(s, d), 5))
+_SIZES_SQL = ", ".join(f"({x}, '{O.hex8(x)}')" for x in (0.025, 0.05, 0.1, 0.2, 0.3, 0.4, 0.5))
+_add(
+    "w1_break_even_sweep",
+    _join_rows(("j10",), 1, "dh >= bound", f"(values {_SIZES_SQL}) as z(size, bound)") + f", {O.ERRORS} select cast(size as double) as size, " + ", ".join(f"round(quantile_cont(err_{m}, 0.5), 5) as {m}" for m in O.METHODS) + " from e group by size",
+)(lambda s, d: _rounded(join_view.delta_sweep(s, d), 5))
 _add("w4_cube_sample", f"with {O.ORDER_SPLIT} select o_custkey, c_nationkey, n_regionkey, p_brand, count(*) as n, round(cast(sum({O.REV}) as double), 4) as rev from split join customer on o_custkey = c_custkey join nation on c_nationkey = n_nationkey join part on l_partkey = p_partkey where {O.sampled("o_custkey || '|' || c_nationkey || '|' || n_regionkey || '|' || p_brand")} group by 1, 2, 3, 4")(
     lambda s, d: _rounded(cube.build(s, d).fresh_s.select(*cube.DIMENSIONS, F.col("n").cast("bigint").alias("n"), "rev"), 4)
 )
-_add("w4_rollup_errors_sum")(lambda s, d: cube.rollup_errors(cube.build(s, d), "sum", [(), ("n_regionkey",), ("c_nationkey",)]))
-_add("w4_rollup_errors_median")(lambda s, d: cube.rollup_errors(cube.build(s, d), "median", [("n_regionkey",)]))
+
+
+def _rollup_sql(agg: str) -> str:
+    """Errors of all proper roll-ups of the base cube."""
+    dims = cube.DIMENSIONS
+    cells = f"select {', '.join(dims)}, sum({O.REV}) as rev from split join customer on o_custkey = c_custkey join nation on c_nationkey = n_nationkey join part on l_partkey = p_partkey where {{}} group by all"
+    key = O.sampled(" || '|' || ".join(dims))
+    value = "cast(sum(rev) {f} as double)" if agg == "sum" else "quantile_cont(cast(rev as double), 0.5) {f}"
+    picks = ", ".join(f"{value.format(f=f"filter (where frame = '{t}')")} {f'* {10.0}' if agg == 'sum' and t in 'dc' else ''} as {t}" for t in O.FRAMES)
+    sets = ", ".join(f"({', '.join(x)})" for x in cube.rollup_sets())
+    name = "concat_ws(',', " + ", ".join(f"case when grouping({c}) = 0 then '{c}' end" for c in dims) + ")"
+    return f"""with {O.ORDER_SPLIT}, fresh as ({cells.format("true")}), old as ({cells.format(f"dh >= '{O.INS}'")}),
+ r as (select 't' as frame, * from fresh union all select 's', * from old union all select 'd', * from fresh where {key} union all select 'c', * from old where {key}),
+ g as (select {name} as query_id, {picks} from r group by grouping sets ({sets})),
+ a as (select query_id, t as truth, s as stale, d as direct, case when coalesce(s, d) is not null then coalesce(s, 0) + coalesce(d, 0) - coalesce(c, 0) end as correction from g), {O.ERRORS} {O.SUMMARY.format(by="query_id")}"""
+
+
+for _agg in ("sum", "median"):
+    _add(f"w4_rollup_errors_{_agg}", _rollup_sql(_agg))(lambda s, d, a=_agg: _rounded(cube.rollup_errors(cube.build(s, d), a), 5))
 _add("w4_exact_cube", f"with {O.ORDER_SPLIT} select o_custkey, c_nationkey, n_regionkey, p_brand, round(cast(sum({O.REV}) as double), 4) as rev, count(*) as n, cast(grouping_id(o_custkey, c_nationkey, n_regionkey, p_brand) as bigint) as gid from split join customer on o_custkey = c_custkey join nation on c_nationkey = n_nationkey join part on l_partkey = p_partkey group by cube (o_custkey, c_nationkey, n_regionkey, p_brand)")(
     lambda s, d: _rounded(cube.exact_cube(cube.build(s, d)).withColumn("n", F.col("n").cast("bigint")), 4)
 )
@@ -439,7 +461,30 @@ for _name, (_text, _by) in _LOG.items():
         f"w5_{_name}_fresh_sample",
         f"with e as (select *, cast(ts as date) as day, strftime(ts, '%Y-%m-%d %H') as hour_text, json_extract_string(props, '$.k') as k from events) select {_by}, count(*) as n, round(cast(sum(cast(value as decimal(18,4))) as double), 4) as total from e where {O.sampled(_text)} group by {_by}",
     )(lambda s, d, n=_name: _rounded(log_views.build(s, d, n).fresh_s.select(*log_views.VIEWS[n].keys, F.col("n").cast("bigint").alias("n"), "total"), 4))
-_add("w5_l4_errors")(lambda s, d: log_views.run(s, d, "l4", n=3))
+_EVENTS = """bounds as (select epoch_us(min(ts)) as first, epoch_us(max(ts)) as last from events),
+ n0 as (select *, coalesce(ts - lag(ts) over w > interval 12 hour, true) as opens from events window w as (partition by user_id order by ts, event_id)),
+ n1 as (select *, sum(cast(opens as int)) over (partition by user_id order by ts, event_id rows unbounded preceding) as nth from n0),
+ ev as (select n1.*, cast(ts as date) as day, strftime(ts, '%Y-%m-%d %H') as hour_text, json_extract_string(props, '$.k') as k, cast(min(ts) over (partition by user_id, nth) as date) as session_day,
+ epoch_us(ts) < first + round((last - first) * 0.8) as is_old from n1, bounds)"""
+
+
+def _log_accuracy_sql() -> str:
+    """Every view before and after, and its random queries."""
+    ctes, parts = [], []
+    for name, view in log_views.VIEWS.items():
+        second = "cast(sum(cast(event_type = 'error' as int)) as decimal(30,6)) as errors" if name == "l4" else "cast(sum(cast(value as decimal(18,4))) as decimal(30,6)) as total"
+        for tag, where in (("t", "true"), ("s", "is_old")):
+            ctes.append(f"{name}_{tag} as (select {', '.join(view.keys)}, count(*) as n, {second} from ev where {where} group by {', '.join(view.keys)})")
+        key = " || '|' || ".join(f"cast({c} as varchar)" for c in view.keys)
+        for query_id, q in log_views.queries(name):
+            kind, x = ("avg" if q.agg == "avg" else "sum"), ("1" if q.agg == "count" else q.attr)
+            for tag, frame, where in (("t", "t", "true"), ("s", "s", "true"), ("d", "t", O.sampled(key)), ("c", "s", O.sampled(key))):
+                parts.append(f"select '{name}' as view, '{query_id}' as query_id, '{kind}' as kind, '{tag}' as frame, cast({x} as decimal(30,6)) as x from {name}_{frame} where ({q.cond}) and {where}")
+    sums = ", ".join(f"sum(x) filter (where frame = '{t}') as x_{t}, count(x) filter (where frame = '{t}') as nx_{t}, cast(null as double) as y_{t}" for t in O.FRAMES)
+    return f"with {_EVENTS}, {', '.join(ctes)}, r as ({' union all '.join(parts)}), g as (select view, query_id, kind, {sums} from r group by 1, 2, 3), a as ({O.estimates('view, query_id')}), {O.ERRORS} {O.SUMMARY.format(by='view')}"
+
+
+_add("w5_accuracy", _log_accuracy_sql())(lambda s, d: _rounded(log_views.accuracy(s, d), 5))
 _add(
     "w5_l6_sessions",
     f"""with e as (select *, coalesce(ts - lag(ts) over w > interval 12 hour, true) as opens from events window w as (partition by user_id order by ts, event_id)),
@@ -449,7 +494,27 @@ _add(
 _add("w5_l8_active_days", "select user_id, count(distinct cast(ts as date)) as days, count(*) as n from events group by 1")(lambda s, d: log_views.active_days(T.load(s, d, "events")).select("user_id", "days", F.col("n").cast("bigint").alias("n")))
 for _name, _f in complex_views.QUERIES.items():
     _add(f"w2_{_name}", complex_views.SQL.get(_name))(_f)
+_add("w2_accuracy", complex_views.accuracy_sql(O.ERRORS, O.SUMMARY, O.INS))(lambda s, d: _rounded(complex_views.accuracy(s, d), 5))
+_add("w2_times")(complex_views.times)
 _add("w2_verdicts")(complex_views.verdicts)
+
+
+def _scratch(spark, name: str) -> str:
+    """A folder for stored views of a timing run, in the warehouse, which all executors reach."""
+    return f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/freshview_timing/{name}"
+
+
+for _work, _id in (("join_view", "w1"), ("cube", "w4")):
+    _add(f"{_id}_time_by_ratio")(lambda s, d, w=_work: timing.times_by_ratio(s, d, _scratch(s, w), w))
+    _add(f"{_id}_time_by_change")(lambda s, d, w=_work: timing.times_by_change(s, d, _scratch(s, w), w))
+
+
+@_add("w1_total_time")
+def _total(spark, d):
+    rows = timing.total_times(timing.join_view_stored(spark, d, _scratch(spark, "total")), AggQuery("sum", "l_extendedprice", "l_quantity > 10"))
+    return spark.createDataFrame(rows, "method string, maintenance_s double, query_s double")
+
+
 _add("w7_throughput")(minibatch.throughput)
 _add("w7_period_errors")(minibatch.period_errors)
 _add("w7_smallest_batch")(lambda s, d: minibatch.smallest_batch(minibatch.throughput(s, d, views=("l3",)), 100.0))

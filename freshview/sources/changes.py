@@ -48,6 +48,8 @@ class ChangeSet:
         return out.unionByName(self.inserted[table]) if table in self.inserted else out
 
     keys: dict[str, tuple[str, ...]] = field(default_factory=dict)
+    #: Groups of tables whose changes only join with each other's (whole orders with their lines).
+    together: tuple[frozenset[str], ...] = ()
 
     def key_of(self, table: str) -> tuple[str, ...]:
         return self.keys[table]

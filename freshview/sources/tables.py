@@ -69,9 +69,13 @@ def revenue() -> Column:
     return (money("l_extendedprice") * (F.lit(1).cast("decimal(4,2)") - F.col("l_discount").cast("decimal(4,2)"))).cast("decimal(18,4)")
 
 
-def write_banded(df: DataFrame, path: str, key: list[str], salt: str, bands_changed_only: bool = False) -> None:
-    """Write a view or sample partitioned by hash band; with ``bands_changed_only`` other bands stay as they are."""
-    banded = df.withColumn("hash_band", hash_band(df, key, salt)).repartition("hash_band")
+def write_banded(df: DataFrame, path: str, key: list[str], salt: str, bands_changed_only: bool = False, family: str = "md5", parts: int = 1) -> None:
+    """Write a view or sample partitioned by hash band; with ``bands_changed_only`` other bands stay as they are.
+
+    ``parts``: tasks and files a band, for views of which one of 256 bands is too much for a task.
+    """
+    banded = df.withColumn("hash_band", hash_band(df, key, salt, family))
+    banded = banded.repartition("hash_band", *[F.pmod(F.xxhash64(*key), F.lit(parts))][: parts > 1])
     writer = banded.write.mode("overwrite").partitionBy("hash_band")
     if bands_changed_only:
         writer = writer.option("partitionOverwriteMode", "dynamic")

@@ -54,8 +54,8 @@ class RefreshLoop(FreshSampleLoop):
         entry = self.manager.entries[self.view]
         if (batch_id + 1) % self.every == 0 and batch_id > entry.applied:
             entry.pending = [self.pending()]
-            self.manager.refresh(self.view)
-            entry.applied = batch_id
+            # the pointer of the new version names the batch, so a restart neither repeats nor skips it
+            self.manager.refresh(self.view, applied=batch_id)
 
 
 def tumbling(events: DataFrame, width: str = "1 hour", late: str = "1 hour") -> DataFrame:

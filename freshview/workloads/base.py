@@ -56,16 +56,23 @@ def order_changes(spark: SparkSession, sf_dir: str, inserted: float = CHANGED, d
     """Whole orders with all their lines enter or leave: both join inputs change."""
     tables = {"lineitem": T.lines(spark, sf_dir), "orders": T.load(spark, sf_dir, "orders")} | (more or {})
     shares = {"lineitem": (inserted, deleted), "orders": (inserted, deleted)}
-    return ChangeSet.from_split(tables, T.KEYS, shares, by={"lineitem": ("l_orderkey",), "orders": ("o_orderkey",)})
+    out = ChangeSet.from_split(tables, T.KEYS, shares, by={"lineitem": ("l_orderkey",), "orders": ("o_orderkey",)})
+    # inserted lines only meet inserted orders; deleted rows also meet the old ones, in terms that cancel
+    out.together = () if deleted else (frozenset({"lineitem", "orders"}),)
+    return out
 
 
 def event_changes(spark: SparkSession, sf_dir: str, share: float = 0.2, events: DataFrame | None = None) -> ChangeSet:
-    """The last part of the log by time is pending; the cut is one exact percentile of ts."""
+    """The last ``share`` of the log's time span is pending; an event without a time is old.
+
+    The cut is one timestamp from the span's ends, so it reaches the scan as a pushed filter.
+    """
     events = T.load(spark, sf_dir, "events") if events is None else events
-    micros = F.expr("unix_micros(cast(ts as timestamp))")
-    cut = F.broadcast(events.agg(F.percentile(micros, F.lit(1 - share)).alias("cut")))
-    marked = events.crossJoin(cut)
-    return ChangeSet({"events": marked.filter(micros < F.col("cut")).drop("cut")}, {"events": marked.filter(micros >= F.col("cut")).drop("cut")}, keys=T.KEYS)
+    first, last = events.agg(F.min("ts"), F.max("ts")).first()
+    if first is None:
+        return ChangeSet({"events": events}, {"events": events.limit(0)}, keys=T.KEYS)
+    cut = F.lit(first + (last - first) * (1 - share)).cast(events.schema["ts"].dataType)
+    return ChangeSet({"events": events.filter((F.col("ts") < cut) | F.col("ts").isNull())}, {"events": events.filter(F.col("ts") >= cut)}, keys=T.KEYS)
 
 
 def change_share(df: DataFrame, key: tuple[str, ...], low: float, high: float) -> DataFrame:

@@ -2,13 +2,22 @@
 
 from __future__ import annotations
 
+import random
+import re
+import time
+
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
+from ..functions.hashing import key_hash_filter
+from ..operators.estimate import AggQuery, answers_many
+from ..operators.metrics import error_summary, with_errors
+from ..operators.views import View
 from ..oracles import sampled
 from ..plans.nodes import Aggregate, Join, KeyHash, Node, Project, Scan, Select
 from ..plans.pushdown import explain_pushdown, push
 from ..sources import tables as T
-from .base import CHANGED, RATIO, order_changes
+from .base import CHANGED, RATIO, order_changes, state_of
 from .join_view import REV
 
 ORDER_DATE, LATE = "1996-06-15", "l_shipdate > o_orderdate + interval 90 days"
@@ -60,6 +69,85 @@ def views(t: dict[str, Node]) -> dict[str, tuple[Node, tuple[str, ...]]]:
     }
 
 
+_SUMS = (("rev", REV), ("n", "1"))
+_DATED = lambda *items: tuple((c, c) for c in ("l_extendedprice", "l_discount")) + items
+#: Views that the change terms maintain; the others are computed anew (outer and anti joins, distinct counts).
+MAINTAINED = {
+    "v3": View("v3", ("o_orderkey",), _SUMS, lambda t: Select(_buyers(t), f"c_mktsegment = 'BUILDING' and o_orderdate < '{ORDER_DATE}' and l_shipdate > '{ORDER_DATE}'"), ("lineitem", "orders", "customer")),
+    "v4": View("v4", ("o_orderkey", "o_orderpriority"), (("n", "1"),), lambda t: Select(_sales(t), LATE), ("lineitem", "orders")),
+    "v5": View("v5", ("o_custkey", "c_nationkey"), _SUMS, lambda t: Select(Join(_buyers(t), t["supplier"], (("l_suppkey", "s_suppkey"),), "inner", "left"), "s_nationkey = c_nationkey"), ("lineitem", "orders", "customer", "supplier")),
+    "v9": View("v9", ("l_partkey", "o_year"), _SUMS, lambda t: Project(_sales(t), _DATED(("l_partkey", "l_partkey"), ("o_year", "year(o_orderdate)"), ("w_lineitem", "w_lineitem"), ("w_orders", "w_orders"))), ("lineitem", "orders")),
+    "v10": View("v10", ("o_custkey",), _SUMS, lambda t: Select(_sales(t), "l_returnflag = 'R' and o_orderdate >= '1996-01-01' and o_orderdate < '1997-01-01'"), ("lineitem", "orders")),
+    "v15": View("v15", ("l_suppkey", "ship_month"), _SUMS, lambda t: Project(t["lineitem"], _DATED(("l_suppkey", "l_suppkey"), ("ship_month", "date_format(l_shipdate, 'yyyy-MM')"), ("w_lineitem", "w_lineitem"))), ("lineitem",)),
+    "v18": View("v18", ("l_orderkey",), (("qty", "cast(l_quantity as decimal(12,2))"), ("n", "1")), lambda t: t["lineitem"], ("lineitem",)),
+}
+#: What a random query sums or averages.
+MEASURES = {"v3": "rev", "v4": "1", "v5": "rev", "v9": "rev", "v10": "rev", "v13": "n_orders", "v15": "rev", "v18": "qty", "v21": "n", "v22": "n"}
+
+
+def frames(spark: SparkSession, sf_dir: str, name: str, m: float = RATIO, frac: float = CHANGED) -> dict[str, DataFrame]:
+    """stale, fresh, stale_s and fresh_s of a view under whole orders that enter."""
+    static = {t: T.load(spark, sf_dir, t) for t in ("customer", "supplier")}
+    c = order_changes(spark, sf_dir, frac, more=static)
+    if name in MAINTAINED:
+        s = state_of(MAINTAINED[name], c, m)
+        out = {"stale": s.stale, "fresh": s.fresh, "stale_s": s.stale_s, "fresh_s": s.fresh_s}
+        # the condition on the total is no part of what is maintained
+        return {k: df.filter("qty > 200") for k, df in out.items()} if name == "v18" else out
+    nodes = lambda get: {t: Scan(t, get(t) if t in ("lineitem", "orders") else static[t], T.KEYS[t]) for t in ("lineitem", "orders", "customer", "supplier")}
+    (old, key), (new, _) = views(nodes(lambda t: c.old[t]))[name], views(nodes(c.new))[name]
+    stale = old.lower()
+    return {"stale": stale, "fresh": new.lower(), "stale_s": key_hash_filter(stale, list(key), m), "fresh_s": push(KeyHash(new, key, m))[0].lower()}
+
+
+def key_of(name: str) -> tuple[str, ...]:
+    keys = {"v13": ("c_custkey",), "v21": ("l_suppkey",), "v22": ("code",)}
+    return keys.get(name) or MAINTAINED[name].keys
+
+
+def predicates(n: int, seed: int = 0) -> list[tuple[int, str, str]]:
+    """(draw, low, high): ranges of two hex digits; a row's digits come from a hash of its first key column."""
+    rng = random.Random(seed)
+    out = []
+    for k in range(n):
+        low = rng.randrange(0, 160)
+        out.append((k, f"{low:02x}", f"{low + rng.randrange(48, 96):02x}"))
+    return out
+
+
+def run(spark: SparkSession, sf_dir: str, name: str, m: float = RATIO, frac: float = CHANGED, n: int = 34, seed: int = 0) -> DataFrame:
+    """SUM, AVG and COUNT over ``n`` random subsets of one view: truth, stale, direct, correction and errors."""
+    f = frames(spark, sf_dir, name, m, frac)
+    digits = f"substr(md5('q|' || cast({key_of(name)[0]} as string)), 1, 2)"
+    cond = f"{digits} >= low and {digits} < high"
+    draws = spark.createDataFrame(predicates(n, seed), "draw int, low string, high string")
+    queries = [(agg, AggQuery(agg, MEASURES[name], cond)) for agg in ("sum", "avg", "count")]
+    return with_errors(answers_many(f["stale"], f["fresh"], f["stale_s"], f["fresh_s"], queries, m, draws).drop("low", "high"))
+
+
+def accuracy(spark: SparkSession, sf_dir: str, m: float = RATIO, frac: float = CHANGED, n: int = 34, names: tuple[str, ...] = tuple(MEASURES)) -> DataFrame:
+    """Median, 75 % and largest error by view and method, over the random queries."""
+    out = None
+    for name in names:
+        rows = run(spark, sf_dir, name, m, frac, n).withColumn("view", F.lit(name))
+        out = rows if out is None else out.unionByName(rows)
+    return error_summary(out, by=("view",))
+
+
+def times(spark: SparkSession, sf_dir: str, m: float = RATIO, frac: float = CHANGED, names: tuple[str, ...] = tuple(MEASURES)) -> DataFrame:
+    """Seconds to refresh each view and its sample; the stale view and the changes are read as they are stored."""
+    rows = []
+    for name in names:
+        f = frames(spark, sf_dir, name, m, frac)
+        seconds = []
+        for df in (f["fresh"], f["fresh_s"]):
+            start = time.perf_counter()
+            df.write.format("noop").mode("overwrite").save()
+            seconds.append(time.perf_counter() - start)
+        rows.append((name, *seconds))
+    return spark.createDataFrame(rows, "view string, full_s double, sample_s double")
+
+
 def sample(spark: SparkSession, sf_dir: str, name: str, m: float = RATIO, frac: float = CHANGED) -> DataFrame:
     """The fresh sample by the pushed recomputation plan."""
     plan, key = views(scans(spark, sf_dir, frac))[name]
@@ -95,16 +183,44 @@ QUERIES = {f"{name}_sample": _sampler(name) for name in ("v3", "v4", "v5", "v9",
 _SALES = "lineitem join orders on l_orderkey = o_orderkey"
 _REV = f"cast(sum({REV}) as double) as rev, count(*) as n"
 _LATE = LATE.replace("90 days", "90 day")
-SQL = {
-    "v3_sample": f"select o_orderkey, {_REV} from {_SALES} join customer on o_custkey = c_custkey where c_mktsegment = 'BUILDING' and o_orderdate < '{ORDER_DATE}' and l_shipdate > '{ORDER_DATE}' and {sampled('o_orderkey')} group by 1",
-    "v4_sample": f"select o_orderkey, o_orderpriority from orders where o_orderkey in (select l_orderkey from {_SALES} where {_LATE}) and {sampled('o_orderkey')}",
-    "v5_sample": f"select o_custkey, c_nationkey, {_REV} from {_SALES} join customer on o_custkey = c_custkey join supplier on l_suppkey = s_suppkey where s_nationkey = c_nationkey and {sampled("o_custkey || '|' || c_nationkey")} group by 1, 2",
-    "v9_sample": f"select l_partkey, cast(year(o_orderdate) as int) as o_year, {_REV} from {_SALES} where {sampled("l_partkey || '|' || year(o_orderdate)")} group by 1, 2",
-    "v10_sample": f"select o_custkey, {_REV} from {_SALES} where l_returnflag = 'R' and o_orderdate >= '1996-01-01' and o_orderdate < '1997-01-01' and {sampled('o_custkey')} group by 1",
-    "v13_sample": f"select c_custkey, count(o_orderkey) as n_orders from customer left join orders on c_custkey = o_custkey where {sampled('c_custkey')} group by 1",
-    "v13_histogram_sample": f"with c as (select c_custkey, count(o_orderkey) as n_orders from customer left join orders on c_custkey = o_custkey group by 1) select n_orders, count(*) as n from c where {sampled('n_orders')} group by 1",
-    "v15_sample": f"select l_suppkey, strftime(l_shipdate, '%Y-%m') as ship_month, {_REV} from lineitem where {sampled("l_suppkey || '|' || strftime(l_shipdate, '%Y-%m')")} group by 1, 2",
-    "v18_sample": f"select l_orderkey, sum(l_quantity) as qty from lineitem where {sampled('l_orderkey')} group by 1 having sum(l_quantity) > 200",
-    "v21_sample": f"select l_suppkey, count(*) as n from {_SALES} where o_orderstatus = 'F' and {_LATE} and l_orderkey in (select l_orderkey from lineitem group by 1 having count(distinct l_suppkey) > 1) and {sampled('l_suppkey')} group by 1",
-    "v22_sample": f"select substr(c_name, 17, 2) as code, count(*) as n from customer where c_custkey not in (select o_custkey from orders where o_orderdate >= '1999-01-01') and {sampled('substr(c_name, 17, 2)')} group by 1",
-}
+#: DuckDB: each view (``{also}`` takes a further condition on rows, ``{where}`` one where there is none yet), and its key as text.
+VIEW_SQL = {
+    "v3": (f"select o_orderkey, {_REV} from {_SALES} join customer on o_custkey = c_custkey where c_mktsegment = 'BUILDING' and o_orderdate < '{ORDER_DATE}' and l_shipdate > '{ORDER_DATE}' {{also}} group by 1", "o_orderkey"),
+    "v4": (f"select o_orderkey, o_orderpriority from orders where o_orderkey in (select l_orderkey from {_SALES} where {_LATE}) {{also}}", "o_orderkey"),
+    "v5": (f"select o_custkey, c_nationkey, {_REV} from {_SALES} join customer on o_custkey = c_custkey join supplier on l_suppkey = s_suppkey where s_nationkey = c_nationkey {{also}} group by 1, 2", "o_custkey || '|' || c_nationkey"),
+    "v9": (f"select l_partkey, cast(year(o_orderdate) as int) as o_year, {_REV} from {_SALES} {{where}} group by 1, 2", "l_partkey || '|' || year(o_orderdate)"),
+    "v10": (f"select o_custkey, {_REV} from {_SALES} where l_returnflag = 'R' and o_orderdate >= '1996-01-01' and o_orderdate < '1997-01-01' {{also}} group by 1", "o_custkey"),
+    "v13": ("select c_custkey, count(o_orderkey) as n_orders from customer left join orders on c_custkey = o_custkey {where} group by 1", "c_custkey"),
+    "v13_histogram": ("select n_orders, count(*) as n from (select c_custkey, count(o_orderkey) as n_orders from customer left join orders on c_custkey = o_custkey group by 1) {where} group by 1", "n_orders"),
+    "v15": (f"select l_suppkey, strftime(l_shipdate, '%Y-%m') as ship_month, {_REV} from lineitem {{where}} group by 1, 2", "l_suppkey || '|' || strftime(l_shipdate, '%Y-%m')"),
+    "v18": ("select l_orderkey, sum(l_quantity) as qty from lineitem {where} group by 1 having sum(l_quantity) > 200", "l_orderkey"),
+    "v21": (f"select l_suppkey, count(*) as n from {_SALES} where o_orderstatus = 'F' and {_LATE} and l_orderkey in (select l_orderkey from lineitem group by 1 having count(distinct l_suppkey) > 1) {{also}} group by 1", "l_suppkey"),
+    "v22": ("select substr(c_name, 17, 2) as code, count(*) as n from customer where c_custkey not in (select o_custkey from orders where o_orderdate >= '1999-01-01') {also} group by 1", "substr(c_name, 17, 2)"),
+}
+SQL = {f"{name}_sample": sql.format(also=f"and {sampled(key)}", where=f"where {sampled(key)}") for name, (sql, key) in VIEW_SQL.items()}
+
+
+def accuracy_sql(errors: str, summary: str, changed: str, n: int = 34) -> str:
+    """DuckDB: the random queries on every view over the old and the new tables; ``errors`` and ``summary`` are the shared select lists."""
+    rows = ", ".join(f"({k}, '{a}', '{b}')" for k, a, b in predicates(n))
+    old = f"old_orders as (select * from orders where substr(md5('d0|' || o_orderkey), 1, 8) >= '{changed}'), old_lines as (select * from lineitem where substr(md5('d0|' || l_orderkey), 1, 8) >= '{changed}')"
+    parts, ctes = [], []
+    for name, measure in MEASURES.items():
+        sql, _ = VIEW_SQL[name]
+        sql = sql.format(also="", where="")
+        before = re.sub(r"\borders\b", "old_orders", re.sub(r"\blineitem\b", "old_lines", sql))
+        keys = key_of(name)
+        key = " || '|' || ".join(f"cast({k} as varchar)" for k in keys)
+        ctes.append(f"{name}_t as ({sql}), {name}_s as ({before})")
+        x = "cast(1 as decimal(30,6))" if measure == "1" else f"cast({measure} as decimal(30,6))"
+        digits = f"substr(md5('q|' || {keys[0]}), 1, 2)"
+        for tag, table in (("t", "t"), ("s", "s"), ("d", "t"), ("c", "s")):
+            where = f"and {sampled(key)}" if tag in "dc" else ""
+            parts.append(f"select '{name}' as view, draw, '{tag}' as frame, {x} as x from {name}_{table}, draws where {digits} >= low and {digits} < high {where}")
+    return f"""with {old}, draws(draw, low, high) as (values {rows}), {", ".join(ctes)}, r as ({" union all ".join(parts)}),
+ g as (select view, draw, {", ".join(f"sum(x) filter (where frame = '{t}') as x_{t}, count(x) filter (where frame = '{t}') as n_{t}" for t in "tsdc")} from r group by 1, 2),
+ v as (select view, {", ".join(f"coalesce(cast(x_{t} as double), 0) * {10.0 if t in 'dc' else 1.0} as {t}" for t in "tsdc")} from g
+  union all select view, {", ".join(f"n_{t} * {10.0 if t in 'dc' else 1.0} as {t}" for t in "tsdc")} from g
+  union all select view, {", ".join(f"cast(x_{t} as double) / nullif(n_{t}, 0) as {t}" for t in "tsdc")} from g),
+ a as (select view, t as truth, s as stale, d as direct, case when coalesce(s, d) is not null then coalesce(s, 0) + coalesce(d, 0) - coalesce(c, 0) end as correction from v),
+ {errors} {summary.format(by="view")}"""

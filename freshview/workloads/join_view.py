@@ -8,11 +8,11 @@ from __future__ import annotations
 
 import random
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.hashing import SALT, key_hash_filter
-from ..operators.estimate import AggQuery, answers
+from ..operators.estimate import AggQuery, answers_many
 from ..operators.maintenance import spj_refresh
 from ..operators.metrics import error_summary, with_errors
 from ..sources import tables as T
@@ -50,75 +50,101 @@ def frames(spark: SparkSession, sf_dir: str, m: float = RATIO, frac: float = CHA
     orders_of = lambda df: key_hash_filter(df, ["o_orderkey"], m, salt) if sample_on == "prefix" else df
     stale = view_rows(c.old["lineitem"], c.old["orders"])
     inserted = lambda f, g: view_rows(f(c.inserted["lineitem"]), g(c.inserted["orders"]))
-    gone = c.deleted["lineitem"].select(*KEY) if deleted else c.old["lineitem"].select(*KEY).limit(0)
+    gone = c.deleted["lineitem"].select(*KEY) if deleted else None
     same = lambda df: df
     fresh = spj_refresh(stale, inserted(same, same), gone, KEY, "join_view").lower()
     # whole orders enter, so new lines only meet new orders and the other two terms of the delta are empty
-    fresh_s = spj_refresh(view_rows(keep(c.old["lineitem"]), orders_of(c.old["orders"])), inserted(keep, orders_of), keep(gone), KEY, "join_view").lower()
+    fresh_s = spj_refresh(view_rows(keep(c.old["lineitem"]), orders_of(c.old["orders"])), inserted(keep, orders_of), keep(gone) if deleted else None, KEY, "join_view").lower()
     return {"stale": stale, "fresh": fresh, "stale_s": keep(stale), "fresh_s": fresh_s}
 
 
-def queries(seed: int = 0, n: int = 1) -> list[tuple[str, AggQuery]]:
-    """Twelve templates with n random parameter draws each, from a seeded generator on the driver."""
+# Twelve templates: aggregate, attribute, condition, grouping, denominator. Braces name what a draw decides.
+_QUARTER = "o_orderdate >= make_date({year}, 7, 1) and o_orderdate < make_date({year}, 10, 1)"
+_YEAR = "o_orderdate >= make_date({year}, 1, 1) and o_orderdate < make_date({year} + 1, 1, 1)"
+_LATE = "l_shipdate > o_orderdate + interval 90 days"
+_NATION_A, _NATION_B = "'NATION_' || cast({a} as string)", "'NATION_' || cast({b} as string)"
+TEMPLATES = {
+    "j3": ("sum", REV, "c_mktsegment = {segment} and o_orderdate < make_date({year}, 6, 15) and l_shipdate > make_date({year}, 6, 15)", ("o_month",), "1"),
+    "j4": ("count", "1", f"{_QUARTER} and {_LATE}", ("o_orderpriority",), "1"),
+    "j5": ("sum", REV, f"c_region = {{region}} and s_nation = c_nation and {_YEAR}", ("c_nation",), "1"),
+    "j7": ("sum", REV, f"(s_nation = {_NATION_A} and c_nation = {_NATION_B}) or (s_nation = {_NATION_B} and c_nation = {_NATION_A})", ("s_nation", "c_nation", "l_year"), "1"),
+    "j8": ("ratio", f"case when s_nation = {_NATION_A} then {REV} else 0 end", "p_type = {kind}", ("o_year",), REV),
+    "j9": ("sum", f"{REV} - cast(p_retailprice as decimal(12,2)) * cast(l_quantity as decimal(12,2)) * 0.6", "p_name like '%' || {word} || '%'", ("s_nation", "o_year"), "1"),
+    "j10": ("sum", REV, f"l_returnflag = 'R' and {_QUARTER}", ("c_nation",), "1"),
+    "j12": ("count", "1", f"o_orderpriority in ('1-URGENT', '2-HIGH') and {_YEAR}", ("l_linestatus",), "1"),
+    "j14": ("ratio", f"case when p_type like 'PROMO%' then {REV} else 0 end * 100", "l_shipdate >= make_date({year}, 9, 1) and l_shipdate < make_date({year}, 10, 1)", (), REV),
+    "j18": ("sum", "cast(l_quantity as decimal(12,2))", "order_qty > {quantity}", ("o_custkey",), "1"),
+    "j19": ("sum", REV, "(p_brand = 'Brand#12' and p_size between 1 and 15 and l_quantity between {low} and {low} + 20) or (p_brand = 'Brand#23' and p_size between 1 and 30 and l_quantity between {low} + 9 and {low} + 39) or (p_brand = 'Brand#34' and p_size between 1 and 45 and l_quantity between {low} + 19 and {low} + 49)", (), "1"),
+    "j21": ("count", "1", f"o_orderstatus = 'F' and s_nation = {_NATION_A} and {_LATE}", ("l_suppkey",), "1"),
+}
+SEGMENTS = ("AUTOMOBILE", "BUILDING", "FURNITURE", "HOUSEHOLD", "MACHINERY")
+REGIONS = ("AFRICA", "AMERICA", "ASIA", "EUROPE", "MIDDLE EAST")
+KINDS = ("ECONOMY", "LARGE", "MEDIUM", "PROMO", "SMALL", "STANDARD")
+WORDS = ("red", "blue", "large", "small", "cold")
+DRAW = "draw int, year int, segment string, region string, a int, b int, kind string, word string, quantity int, low int"
+
+
+def draws(seed: int = 0, n: int = 1) -> list[tuple]:
+    """``n`` rows of parameters (see DRAW) from a seeded generator on the driver; the first is fixed."""
     rng = random.Random(seed)
+    out: list[tuple] = [(0, 1996, "BUILDING", "ASIA", 3, 7, KINDS[0], WORDS[0], 200, 1)]
+    while len(out) < n:
+        a, b = rng.sample(range(25), 2)
+        out.append((len(out), rng.randrange(1993, 1999), rng.choice(SEGMENTS), rng.choice(REGIONS), a, b, rng.choice(KINDS), rng.choice(WORDS), rng.randrange(120, 240), rng.randrange(1, 11)))
+    return out[:n]
+
+
+def query(name: str, values: dict[str, str]) -> AggQuery:
+    """A template with its parameters replaced by SQL text: literals, or names of columns."""
+    agg, attr, cond, group, over = TEMPLATES[name]
+    return AggQuery(agg, attr.format(**values), cond.format(**values), group, over=over.format(**values))
+
+
+def queries(seed: int = 0, n: int = 1) -> list[tuple[str, AggQuery]]:
+    """The templates with the literals of each draw."""
+    names = [c.split()[0] for c in DRAW.split(", ")]
     out: list[tuple[str, AggQuery]] = []
-    for k in range(n):
-        first = k == 0
-        year = 1996 if first else rng.randrange(1993, 1999)
-        segment = "BUILDING" if first else rng.choice(["AUTOMOBILE", "BUILDING", "FURNITURE", "HOUSEHOLD", "MACHINERY"])
-        region = "ASIA" if first else rng.choice(["AFRICA", "AMERICA", "ASIA", "EUROPE", "MIDDLE EAST"])
-        a, b = (3, 7) if first else rng.sample(range(25), 2)
-        quarter = f"o_orderdate >= '{year}-07-01' and o_orderdate < '{year}-10-01'"
-        whole = f"o_orderdate >= '{year}-01-01' and o_orderdate < '{year + 1}-01-01'"
-        q = {
-            "j3": AggQuery("sum", REV, f"c_mktsegment = '{segment}' and o_orderdate < '{year}-06-15' and l_shipdate > '{year}-06-15'", ("o_month",)),
-            "j4": AggQuery("count", "1", f"{quarter} and l_shipdate > o_orderdate + interval 90 days", ("o_orderpriority",)),
-            "j5": AggQuery("sum", REV, f"c_region = '{region}' and s_nation = c_nation", ("c_nation",)),
-            "j7": AggQuery("sum", REV, f"(s_nation = 'NATION_{a}' and c_nation = 'NATION_{b}') or (s_nation = 'NATION_{b}' and c_nation = 'NATION_{a}')", ("s_nation", "c_nation", "l_year")),
-            "j8": AggQuery("ratio", f"case when s_nation = 'NATION_{a}' then {REV} else 0 end", "true", ("o_year",), over=REV),
-            "j9": AggQuery("sum", f"{REV} - cast(p_retailprice as decimal(12,2)) * cast(l_quantity as decimal(12,2)) * 0.6", "p_name like '%1%'", ("s_nation", "o_year")),
-            "j10": AggQuery("sum", REV, f"l_returnflag = 'R' and {quarter}", ("c_nation",)),
-            "j12": AggQuery("count", "1", f"o_orderpriority in ('1-URGENT', '2-HIGH') and {whole}", ("l_linestatus",)),
-            "j14": AggQuery("ratio", f"case when p_type like 'PROMO%' then {REV} else 0 end * 100", f"l_shipdate >= '{year}-09-01' and l_shipdate < '{year}-10-01'", (), over=REV),
-            "j18": AggQuery("sum", "cast(l_quantity as decimal(12,2))", "order_qty > 200", ("o_month",)),
-            "j19": AggQuery("sum", REV, "(p_brand = 'Brand#12' and p_size between 1 and 15 and l_quantity between 1 and 21) or (p_brand = 'Brand#23' and p_size between 1 and 30 and l_quantity between 10 and 40) or (p_brand = 'Brand#34' and p_size between 1 and 45 and l_quantity between 20 and 50)"),
-            "j21": AggQuery("count", "1", "o_orderstatus = 'F' and l_shipdate > o_orderdate + interval 90 days", ("l_suppkey",)),
-        }
-        out += [(f"{name}_{k}" if n > 1 else name, x) for name, x in q.items()]
+    for row in draws(seed, n):
+        values = {k: f"'{v}'" if isinstance(v, str) else str(v) for k, v in zip(names, row)}
+        out += [(f"{name}_{row[0]}" if n > 1 else name, query(name, values)) for name in TEMPLATES]
     return out
 
 
-def with_helpers(df: DataFrame) -> DataFrame:
-    from pyspark.sql import Window
-
+def with_helpers(df: DataFrame, quantity: bool = False) -> DataFrame:
+    """Months and years, and with ``quantity`` that of the whole order, for which all its lines must be there."""
     qty = F.sum(F.col("l_quantity").cast("decimal(12,2)")).over(Window.partitionBy("l_orderkey"))
-    return df.select("*", F.date_format("o_orderdate", "yyyy-MM").alias("o_month"), F.year("o_orderdate").alias("o_year"), F.year("l_shipdate").alias("l_year"), qty.alias("order_qty"))
+    return df.select("*", F.date_format("o_orderdate", "yyyy-MM").alias("o_month"), F.year("o_orderdate").alias("o_year"), F.year("l_shipdate").alias("l_year"), *[qty.alias("order_qty")][:quantity])
+
 
+def run(spark: SparkSession, sf_dir: str, m: float = RATIO, frac: float = CHANGED, seed: int = 0, names: tuple[str, ...] = (), n: int = 1) -> DataFrame:
+    """truth, stale, direct and correction for every draw, template and group, with errors.
 
-def run(spark: SparkSession, sf_dir: str, m: float = RATIO, frac: float = CHANGED, seed: int = 0, names: tuple[str, ...] = ()) -> DataFrame:
-    """truth, stale, direct and correction for every template and group, with errors."""
+    The draws are a small table, so all templates are answered in one pass over the frames;
+    whole orders are sampled for the template that asks for the quantity of an order.
+    """
+    table = spark.createDataFrame(draws(seed, n), DRAW)
+    columns = {c: c for c in table.columns}
+    wanted = [x for x in TEMPLATES if not names or x in names]
     out = None
-    for name, q in queries(seed):
-        if names and name not in names:
+    for sample_on, some in (("full", [x for x in wanted if x != "j18"]), ("prefix", [x for x in wanted if x == "j18"])):
+        if not some:
             continue
-        f = frames(spark, sf_dir, m, frac, sample_on="prefix" if name == "j18" else "full")
-        f = {k: with_helpers(wide(df, spark, sf_dir)) for k, df in f.items()}
-        a = answers(f["stale"], f["fresh"], f["stale_s"], f["fresh_s"], q, m)
-        group = F.concat_ws("|", *[F.col(g).cast("string") for g in q.group_by]) if q.group_by else F.lit("")
-        rows = a.select(F.lit(name).alias("query_id"), group.alias("group_key"), "truth", "stale", "direct", "correction")
+        f = {k: with_helpers(wide(df, spark, sf_dir), sample_on == "prefix") for k, df in frames(spark, sf_dir, m, frac, sample_on=sample_on).items()}
+        rows = answers_many(f["stale"], f["fresh"], f["stale_s"], f["fresh_s"], [(x, query(x, columns)) for x in some], m, table)
+        rows = rows.select("draw", "query_id", "group_key", "truth", "stale", "direct", "correction")
         out = rows if out is None else out.unionByName(rows)
     return with_errors(out)
 
 
-def accuracy(spark: SparkSession, sf_dir: str, m: float = RATIO, frac: float = CHANGED, names: tuple[str, ...] = ()) -> DataFrame:
-    """Median, 75 % and largest error by template and method."""
-    return error_summary(run(spark, sf_dir, m, frac, names=names), by=("query_id",))
+def accuracy(spark: SparkSession, sf_dir: str, m: float = RATIO, frac: float = CHANGED, names: tuple[str, ...] = (), seed: int = 0, n: int = 20) -> DataFrame:
+    """Median, 75 % and largest error by template and method, over draws and groups."""
+    return error_summary(run(spark, sf_dir, m, frac, seed, names, n), by=("query_id",))
 
 
-def delta_sweep(spark: SparkSession, sf_dir: str, sizes: tuple[float, ...] = (0.025, 0.05, 0.1, 0.2, 0.3, 0.4, 0.5), m: float = RATIO, name: str = "j10") -> DataFrame:
+def delta_sweep(spark: SparkSession, sf_dir: str, sizes: tuple[float, ...] = (0.025, 0.05, 0.1, 0.2, 0.3, 0.4, 0.5), m: float = RATIO, name: str = "j10", n: int = 1) -> DataFrame:
     """Median errors by change size: the correction's grows, the direct estimator's stays."""
     out = None
     for size in sizes:
-        e = run(spark, sf_dir, m, size, names=(name,)).agg(*[F.percentile(f"err_{x}", F.lit(0.5)).alias(x) for x in ("stale", "direct", "correction")]).withColumn("size", F.lit(size))
+        e = run(spark, sf_dir, m, size, names=(name,), n=n).agg(*[F.percentile(f"err_{x}", F.lit(0.5)).alias(x) for x in ("stale", "direct", "correction")]).withColumn("size", F.lit(size))
         out = e if out is None else out.unionByName(e)
     return out

@@ -7,8 +7,8 @@ import random
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..operators.estimate import AggQuery, answers
-from ..operators.metrics import with_errors
+from ..operators.estimate import AggQuery, answers_many
+from ..operators.metrics import error_summary, with_errors
 from ..operators.views import View
 from ..plans.nodes import Node, Project
 from ..sources import tables as T
@@ -75,9 +75,15 @@ def queries(name: str, seed: int = 0, n: int = 20) -> list[tuple[str, AggQuery]]
 
 
 def run(spark: SparkSession, sf_dir: str, name: str, m: float = RATIO, share: float = 0.2, seed: int = 0, n: int = 20) -> DataFrame:
+    """truth, stale, direct and correction of random queries on one view, in one pass."""
     s = build(spark, sf_dir, name, m, share)
+    return with_errors(answers_many(s.stale, s.fresh, s.stale_s, s.fresh_s, queries(name, seed, n), m))
+
+
+def accuracy(spark: SparkSession, sf_dir: str, m: float = RATIO, share: float = 0.2, seed: int = 0, n: int = 20, names: tuple[str, ...] = tuple(VIEWS)) -> DataFrame:
+    """Median, 75 % and largest error by view and method."""
     out = None
-    for query_id, q in queries(name, seed, n):
-        rows = answers(s.stale, s.fresh, s.stale_s, s.fresh_s, q, m).select(F.lit(query_id).alias("query_id"), F.lit("").alias("group_key"), "truth", "stale", "direct", "correction")
+    for name in names:
+        rows = run(spark, sf_dir, name, m, share, seed, n).withColumn("view", F.lit(name))
         out = rows if out is None else out.unionByName(rows)
-    return with_errors(out)
+    return error_summary(out, by=("view",))

@@ -1,22 +1,27 @@
-"""Outlier sets under growing skew: order revenue with a power tail on the price."""
+"""Outlier sets under growing skew: order revenue and four complex views with a power tail on the price."""
 
 from __future__ import annotations
 
+import random
+import time
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions.hashing import hex8, key_text
 from ..operators.estimate import AggQuery, correction_estimate, direct_estimate
 from ..operators.metrics import relative_error
 from ..operators.outliers import OutlierSet, build_outlier_index, correction_with_outliers, direct_with_outliers, push_up
 from ..operators.skew import tailed, unit
 from ..operators.views import View
+from ..plans.nodes import Project
 from ..sources import tables as T
 from ..sources.changes import ChangeSet
-from .base import CHANGED, RATIO, State, state_of
+from .base import CHANGED, RATIO, State, order_changes, state_of
+from .complex_views import MAINTAINED
 
 PRICE = "cast(price_z as decimal(24,2))"
 VIEW = View("order_revenue", ("l_orderkey",), (("rev", PRICE), ("n", "1")), lambda leaf: leaf["lineitem"], ("lineitem",))
-BY_SUPPLIER = View("supplier_revenue", ("l_suppkey",), (("rev", PRICE), ("n", "1")), lambda leaf: leaf["lineitem"], ("lineitem",))
 
 
 def skewed_lines(spark: SparkSession, sf_dir: str, z: float) -> DataFrame:
@@ -52,17 +57,103 @@ def compare(spark: SparkSession, sf_dir: str, z: float, cap: int = 100, m: float
     return out.select(F.lit(float(z)).alias("z"), F.lit(cap).alias("cap"), "*")
 
 
-def z_sweep(spark: SparkSession, sf_dir: str, zs: tuple[float, ...] = (1, 2, 3, 4), cap: int = 100, m: float = RATIO) -> DataFrame:
-    out = None
-    for z in zs:
-        row = compare(spark, sf_dir, z, cap, m)
-        out = row if out is None else out.unionByName(row)
-    return out.select("*", *[relative_error(F.col(c), F.col("truth")).alias(f"err_{c}") for c in ("direct", "direct_out", "correction", "correction_out")])
+def _rows_of(name: str, view: View) -> View:
+    """A complex view over the skewed price."""
+    rows = view.rows
+    if name == "v15":
+        rows = lambda t: Project(t["lineitem"], (("l_suppkey", "l_suppkey"), ("ship_month", "date_format(l_shipdate, 'yyyy-MM')"), ("price_z", "price_z"), ("w_lineitem", "w_lineitem")))
+    return View(name, view.keys, (("rev", PRICE), ("n", "1")), rows, view.tables)
+
+
+#: The views whose sums the index on the price serves.
+VIEWS = {name: _rows_of(name, MAINTAINED[name]) for name in ("v3", "v5", "v10", "v15")}
+METHODS = ("direct", "direct_out", "correction", "correction_out")
 
 
-def size_sweep(spark: SparkSession, sf_dir: str, caps: tuple[int, ...] = (0, 10, 100, 1000), z: float = 4, m: float = RATIO) -> DataFrame:
+def state(spark: SparkSession, sf_dir: str, name: str, z: float, m: float = RATIO, frac: float = CHANGED) -> State:
+    """One of the four views under whole orders that enter, with the skewed price."""
+    c = order_changes(spark, sf_dir, frac, more={t: T.load(spark, sf_dir, t) for t in ("customer", "supplier")})
+    tail = lambda df: df.withColumn("price_z", tailed(F.col("l_extendedprice"), unit(["l_orderkey", "l_seq"]), z))
+    c.old["lineitem"], c.inserted["lineitem"] = tail(c.old["lineitem"]), tail(c.inserted["lineitem"])
+    return state_of(VIEWS[name], c, m)
+
+
+def outlier_keys(s: State, caps: tuple[int, ...]) -> DataFrame:
+    """(key, least): the smallest of the caps whose index holds a line of the view row."""
+    lines = s.changes.new("lineitem").withColumn("w_lineitem", F.lit(1))
+    plan = s.view.plan({t: s.changes.new(t) if t in s.changes.tables else s.changes.old[t] for t in s.view.tables}, s.changes.keys)
     out = None
     for cap in caps:
-        row = compare(spark, sf_dir, z, cap, m)
-        out = row if out is None else out.unionByName(row)
+        index = OutlierSet(frozenset({"price_z"}), build_outlier_index(lines, "price_z", ("l_orderkey", "l_seq"), cap=cap))
+        rows = push_up(plan, {"lineitem": index}).records.select(*s.view.keys, F.lit(cap).alias("least"))
+        out = rows if out is None else out.unionByName(rows)
+    return out.groupBy(*s.view.keys).agg(F.min("least").alias("least"))
+
+
+def errors(s: State, caps: tuple[int, ...] = (100,), salts: int = 20, n: int = 5, seed: int = 0) -> DataFrame:
+    """One row a cap, salt and random query: relative errors of SUM(rev) by each estimator, without and with the set.
+
+    The pairs of stale and fresh rows are made once; salts and random subsets of the keys
+    are small tables, so every repetition is part of one aggregate.
+    """
+    keys = list(s.view.keys)
+    side = lambda df, name: df.select(*keys, F.col("rev").cast("double").alias(name))
+    pairs = side(s.fresh, "f").join(side(s.stale, "s"), keys, "full_outer").na.fill(0.0, ["f", "s"])
+    if some := tuple(c for c in caps if c):
+        pairs = pairs.join(outlier_keys(s, some), keys, "left")
+    else:
+        pairs = pairs.withColumn("least", F.lit(None).cast("int"))
+    text = key_text(pairs, keys)
+    rng = random.Random(seed)
+    ranges = [(0, "00", "zz")] + [(k, f"{(low := rng.randrange(0, 120)):02x}", f"{low + rng.randrange(96, 136):02x}") for k in range(1, n)]
+    spark = pairs.sparkSession
+    tables = [spark.createDataFrame([(c,) for c in caps], "cap int"), spark.createDataFrame([(f"s{k}",) for k in range(1, salts + 1)], "salt string"), spark.createDataFrame(ranges, "draw int, low string, high string")]
+    digits = F.substring(F.md5(F.concat(F.lit("q|"), text)), 1, 2)
+    rows = pairs.withColumns({"__key": text, "__digits": digits})
+    for t in tables:
+        rows = rows.crossJoin(F.broadcast(t))
+    rows = rows.filter((F.col("__digits") >= F.col("low")) & (F.col("__digits") < F.col("high")))
+    sampled = (F.substring(F.md5(F.concat("salt", F.lit("|"), "__key")), 1, 8) < hex8(s.m)).cast("double") / s.m
+    kept = F.col("least") <= F.col("cap")
+    weight = F.when(kept, F.lit(1.0)).otherwise(sampled)
+    f, was = F.col("f"), F.col("s")
+    sums = rows.groupBy("cap", "salt", "draw").agg(
+        F.sum("f").alias("truth"), F.sum("s").alias("stale"), F.sum(f * sampled).alias("direct"), F.sum(f * weight).alias("direct_out"),
+        (F.sum("s") + F.sum((f - was) * sampled)).alias("correction"), (F.sum("s") + F.sum((f - was) * weight)).alias("correction_out"),
+    )
+    return sums.select("cap", "salt", "draw", *[relative_error(F.col(x), F.col("truth")).alias(f"err_{x}") for x in METHODS])
+
+
+def _quantiles(df: DataFrame, *by: str) -> DataFrame:
+    q75 = [F.percentile(f"err_{x}", F.lit(0.75)).alias(f"q75_{x}") for x in METHODS]
+    return df.groupBy(*by).agg(*q75).select("*", F.try_divide(F.col("q75_direct"), F.col("q75_direct_out")).alias("gain_direct"), F.try_divide(F.col("q75_correction"), F.col("q75_correction_out")).alias("gain_correction"))
+
+
+def z_sweep(spark: SparkSession, sf_dir: str, zs: tuple[float, ...] = (1, 2, 3, 4), cap: int = 100, m: float = RATIO, names: tuple[str, ...] = tuple(VIEWS), salts: int = 20) -> DataFrame:
+    """75 % quantile of the errors over salts and random queries, by view and skew."""
+    out = None
+    for name in names:
+        for z in zs:
+            rows = _quantiles(errors(state(spark, sf_dir, name, z, m), (cap,), salts), "cap").drop("cap")
+            rows = rows.select(F.lit(name).alias("view"), F.lit(float(z)).alias("z"), "*").coalesce(1)
+            out = rows if out is None else out.unionByName(rows)
     return out
+
+
+def size_sweep(spark: SparkSession, sf_dir: str, caps: tuple[int, ...] = (0, 10, 100, 1000), z: float = 4, m: float = RATIO, name: str = "v3", salts: int = 20) -> DataFrame:
+    """The same by size of the index."""
+    return _quantiles(errors(state(spark, sf_dir, name, z, m), caps, salts), "cap")
+
+
+def size_times(spark: SparkSession, sf_dir: str, caps: tuple[int, ...] = (0, 10, 100, 1000), z: float = 4, m: float = RATIO, name: str = "v3") -> DataFrame:
+    """Seconds to refresh the sample, and to build and push up an index, by its size; beside the full refresh."""
+    s = state(spark, sf_dir, name, z, m)
+
+    def seconds(df: DataFrame) -> float:
+        start = time.perf_counter()
+        df.write.format("noop").mode("overwrite").save()
+        return time.perf_counter() - start
+
+    full, part = seconds(s.fresh), seconds(s.fresh_s)
+    rows = [(cap, full, part, seconds(outlier_keys(s, (cap,))) if cap else 0.0) for cap in caps]
+    return spark.createDataFrame(rows, "cap int, full_s double, sample_s double, index_s double")

@@ -1,11 +1,12 @@
 from freshview.catalog import ViewManager, answer
-from freshview.functions.hashing import key_hash_filter
+from freshview.functions.hashing import Banded, key_hash_filter
+from freshview.operators import cleaning
 from freshview.operators.estimate import AggQuery
-from freshview.operators.maintenance import stale_plan
+from freshview.operators.maintenance import refresh_sample, stale_plan
 from freshview.sources import tables as T
 from freshview.sources.changes import ChangeSet
 from freshview.streaming import loops
-from freshview.workloads import demand, log_views
+from freshview.workloads import demand, log_views, timing
 from pyspark.sql import functions as F
 
 D = "/root/testdata/sf0.001"
@@ -89,3 +90,70 @@ def test_eager_and_thresholds(spark, tmp_path):
     fresh = stale_plan(demand.PLAIN, ChangeSet({"lineitem": c.new("lineitem")}, keys=c.keys)).lower()
     assert manager.current("demand_plain").select(*fresh.columns).exceptAll(fresh).isEmpty()
     assert manager.retune_outliers("demand_plain", c.old["lineitem"], "l_extendedprice", k=10) > 0
+
+
+def _partition_filters(df):
+    plan = df._jdf.queryExecution().executedPlan().toString()
+    return [line for line in plan.split("\n") if "FileScan" in line and "/view/v=" in line]
+
+
+def test_samples_read_bands_only(spark, tmp_path):
+    """Every scan of the stored view under a sample is bound by hash band; a restarted manager goes on."""
+    d = "/root/testdata/sf0.001"
+    s = demand.build(spark, d)
+    manager = ViewManager(spark, str(tmp_path / "views"))
+    manager.register(demand.PLAIN, s.changes, 0.1)
+    stale_s, _ = manager.samples("demand_plain")
+    fresh_s = refresh_sample(demand.PLAIN, manager.stored("demand_plain"), s.changes, 0.1)
+    for df in (stale_s, fresh_s):
+        scans = _partition_filters(df)
+        assert scans and all("hash_band" in x.split("PartitionFilters: ")[1].split("]")[0] and "<= 25" in x for x in scans), scans
+    assert fresh_s.exceptAll(s.fresh_s.select(*fresh_s.columns)).isEmpty() and s.fresh_s.select(*fresh_s.columns).exceptAll(fresh_s).isEmpty()
+    manager.apply("demand_plain", s.changes)
+    again = ViewManager(spark, str(tmp_path / "views"))
+    again.load(demand.PLAIN)
+    old, new = manager.entries["demand_plain"], again.entries["demand_plain"]
+    assert (old.version, old.sample_version, old.epoch, old.pointer, old.m, old.salt) == (new.version, new.sample_version, new.epoch, new.pointer, new.m, new.salt)
+    new.pending = [s.changes]
+    again.refresh("demand_plain")
+    fresh = s.fresh.select("l_partkey", "n", "v")
+    assert again.current("demand_plain").select("l_partkey", "n", "v").exceptAll(fresh).isEmpty()
+    # a pointer that was not finished is not read
+    (tmp_path / "views" / "demand_plain" / "pointer" / "n=99").mkdir()
+    manager.load(demand.PLAIN)
+    assert manager.entries["demand_plain"].version == again.entries["demand_plain"].version
+
+
+def test_refresh_then_sample_refreshes_all(spark):
+    s = demand.build(spark, "/root/testdata/sf0.001")
+    plan = cleaning.refresh_then_sample(demand.PLAIN, s.stale, s.changes, 0.1)._jdf.queryExecution().optimizedPlan().toString()
+    filters = [line for line in plan.split("\n") if "s1|" in line]
+    assert len(filters) == 1 and "__row" in filters[0]
+
+
+def test_other_families_band_alike(spark, tmp_path):
+    from freshview.sources.tables import write_banded
+
+    df = spark.range(5000).withColumnRenamed("id", "k")
+    for family in ("md5", "xxhash64"):
+        write_banded(df, str(tmp_path / family), ["k"], "s1", family=family, parts=2)
+        stored = Banded(spark.read.parquet(str(tmp_path / family)), ("k",), "s1", family)
+        for m in (0.01, 0.1, 0.5):
+            want = {r.k for r in key_hash_filter(df, ["k"], m, "s1", family).collect()}
+            assert {r.k for r in stored.sample(("k",), m, "s1", family).collect()} == want
+            assert {r.k for r in stored.sample(("k",), m, "s2", family).collect()} == {r.k for r in key_hash_filter(df, ["k"], m, "s2", family).collect()}
+
+
+def test_stored_workloads(spark, tmp_path):
+    """The timed refreshes publish the same rows as a plain recomputation."""
+    d = "/root/testdata/sf0.001"
+    for make in (timing.join_view_stored, timing.cube_stored, lambda s, x, f: timing.log_stored(s, x, f, "l3")):
+        stored = make(spark, d, str(tmp_path))
+        full, part = stored.full(), stored.sample(0.25)
+        want = Banded(full, stored.stale.key, "s1", timing.FAMILY).df
+        want = key_hash_filter(want, list(stored.stale.key), 0.25, "s1", timing.FAMILY)
+        assert 0 < part.count() < full.count()
+        assert part.select(*want.columns).exceptAll(want).isEmpty() and want.exceptAll(part.select(*want.columns)).isEmpty()
+        assert timing.m_sweep(stored, (0.1,))[0][2] > 0
+    lines = spark.read.parquet(f"{d}/lineitem.parquet").count()
+    assert timing.join_view_stored(spark, d, str(tmp_path), copies=2).full().count() == 2 * lines
