@@ -5,6 +5,7 @@ from __future__ import annotations
 import tempfile
 import uuid
 from collections.abc import Iterable, Iterator
+from contextlib import contextmanager
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -32,6 +33,24 @@ def _path(spark: SparkSession, path: str):
     return hadoop, hadoop.getFileSystem(spark._jsc.hadoopConfiguration())
 
 
+#: Rows and bytes of an Arrow batch on its way to a Python worker, and of a slice of one: what a worker turns into objects at once.
+BATCH_ROWS, BATCH_BYTES = 2000, 16 << 20
+
+
+@contextmanager
+def batch_bounds(spark: SparkSession):
+    """The session's Arrow batches are no larger than ours while a job of ours runs; then its settings are back."""
+    settings = {"spark.sql.execution.arrow.maxRecordsPerBatch": str(BATCH_ROWS), "spark.sql.execution.arrow.maxBytesPerBatch": str(BATCH_BYTES)}
+    before = {k: spark.conf.get(k) for k in settings}
+    try:
+        for k, v in settings.items():
+            spark.conf.set(k, v)
+        yield
+    finally:
+        for k, v in before.items():
+            spark.conf.set(k, v)
+
+
 def materialise(df: DataFrame, partition_by: tuple[str, ...] = ()) -> DataFrame:
     """Cut the lineage by writing a table into the shared folder and reading it back.
 
@@ -39,7 +58,8 @@ def materialise(df: DataFrame, partition_by: tuple[str, ...] = ()) -> DataFrame:
     """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/table-{uuid.uuid4().hex}"
-    df.write.parquet(path, partitionBy=list(partition_by) or None)
+    with batch_bounds(spark):
+        df.write.parquet(path, partitionBy=list(partition_by) or None)
     folder, files = _path(spark, path)
     files.deleteOnExit(folder)
     out = spark.read.schema(df.schema).parquet(path)
@@ -54,10 +74,6 @@ def discard(df: DataFrame) -> None:
         files.delete(folder, True)
 
 
-#: Rows and bytes of a slice of an Arrow batch: what a Python worker turns into objects at once.
-BATCH_ROWS, BATCH_BYTES = 2000, 16 << 20
-
-
 def slices(batches: Iterable[pa.RecordBatch], rows: int = BATCH_ROWS, size: int = BATCH_BYTES) -> Iterator[pa.RecordBatch]:
     """The batches in slices of at most ``rows`` rows and about ``size`` bytes (one row at least), without a copy."""
     for batch in batches:

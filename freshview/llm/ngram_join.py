@@ -43,7 +43,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import discard, hot_keys, materialise, salted_join, slices, table
+from .common import batch_bounds, discard, hot_keys, materialise, salted_join, slices, table
 
 WORDS, PERCENT = 5, 80
 #: Bits of the least and the largest table of the corpus-wide order, of its blocks, and of the filter that spares sets without a candidate.
@@ -173,7 +173,8 @@ def _summed_blocks(rows: DataFrame, dtype: str) -> list[tuple[int, bytes]]:
 
     half = rows.groupBy("block", "lane").applyInPandas(combine, "block int, lane int, data binary")
     whole = half.groupBy("block").applyInPandas(combine, "block int, lane int, data binary")
-    return [(r["block"], bytes(r["data"])) for r in whole.collect()]
+    with batch_bounds(rows.sparkSession):
+        return [(r["block"], bytes(r["data"])) for r in whole.collect()]
 
 
 def order_bits(rows: int) -> int:
