@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import slices, table
+from .common import batch_bounds, slices, table
 
 #: Bound of the training sample, in rows over all languages; and of the model, in hashed trigrams.
 TRAIN_ROWS, BUCKETS = 20_000, 1 << 16
@@ -211,10 +211,10 @@ def spans_of(model: Model, n: int, words: dict[str, np.ndarray], label: np.ndarr
 def train(labelled: DataFrame, text: str = "text", lang: str = "lang", key: str = "doc_id", rows: int = TRAIN_ROWS) -> Model:
     """Learn from about ``rows`` labelled rows at most, shared evenly by the languages, chosen by a hash of key and text; whole texts."""
     src = labelled.filter(labelled[lang].isNotNull() & labelled[text].isNotNull()).select(labelled[lang].alias("lang"), labelled[text].alias("text"), F.xxhash64(labelled[key], labelled[text]).alias("h"))
-    counts = src.groupBy("lang").agg(F.count(F.lit(1)).alias("total"))
-    share = counts.agg(F.count(F.lit(1)).alias("langs"))
-    # one row a language; the optimiser decides whether it is small enough to broadcast
-    rates = counts.join(F.broadcast(share)).select("lang", (F.lit(float(1 << 30) * rows) / F.col("langs") / F.col("total")).alias("rate"))
+    counts = src.groupBy("lang").count().collect()
+    # one row a language, of each of which the model holds a whole table: the texts stay where they are
+    rates = [(r["lang"], float(1 << 30) * rows / len(counts) / r["count"]) for r in counts]
+    rates = F.broadcast(src.sparkSession.createDataFrame(rates, "lang string, rate double"))
     src = src.join(rates, "lang").filter(F.pmod(F.col("h"), F.lit(1 << 30)) < F.col("rate"))
 
     def run(batches):
@@ -234,7 +234,8 @@ def train(labelled: DataFrame, text: str = "text", lang: str = "lang", key: str
             yield pa.RecordBatch.from_arrays([pa.array([code] * len(at), pa.string()), pa.array(at, pa.int32()), pa.array(row[at], pa.int64())], names=["lang", "slot", "n"])
 
     # a language has at most BUCKETS + len(SCRIPTS) rows here
-    got = src.select("lang", "text").mapInArrow(run, "lang string, slot int, n long").groupBy("lang", "slot").agg(F.sum("n").alias("n")).toPandas()
+    with batch_bounds(src.sparkSession):
+        got = src.select("lang", "text").mapInArrow(run, "lang string, slot int, n long").groupBy("lang", "slot").agg(F.sum("n").alias("n")).toPandas()
     langs = sorted(got["lang"].unique())
     full = np.zeros((BUCKETS + len(SCRIPTS), len(langs)))
     full[got["slot"].to_numpy(int), np.searchsorted(langs, got["lang"].to_numpy(str)) if langs else []] = got["n"]
