@@ -99,12 +99,13 @@ def hot_keys(rows: DataFrame, key: str, share: float = HOT_SHARE) -> list[tuple]
     return [(r[0], int(r["n"] / least) + 1) for r in counts.collect()]
 
 
-def salted_join(many: DataFrame, one: DataFrame, key: str, spread: list[str], hot: list[tuple], how: str = "inner") -> DataFrame:
+def salted_join(many: DataFrame, one: DataFrame, key: str, spread: list[str], hot: list[tuple], how: str = "inner", written: bool = False) -> DataFrame:
     """``many`` joined with ``one`` by ``key``; rows of a hot key meet in several parts instead of one place.
 
     A hot row of ``many`` goes by a hash of the columns ``spread``; the rows of ``one`` with
     a hot key are repeated, once a part. Other keys join as they are. The list of hot keys
-    is broadcast; its size is bounded by ``hot_keys``.
+    is broadcast; its size is bounded by ``hot_keys``. ``written``: the repeated rows are
+    written first, so that their size is known and Spark spares ``many`` the shuffle where it is small.
     """
     if not hot:
         return many.join(one, key, how)
@@ -113,4 +114,4 @@ def salted_join(many: DataFrame, one: DataFrame, key: str, spread: list[str], ho
     n = F.coalesce("__parts", F.lit(1))
     split = many.join(parts, key, "left").withColumn("__part", F.pmod(F.xxhash64(*spread), n).cast("int")).drop("__parts")
     repeated = one.join(parts, key, "left").withColumn("__part", F.explode(F.sequence(F.lit(0), n - 1))).drop("__parts")
-    return split.join(repeated, [key, "__part"], how).drop("__part")
+    return split.join(materialise(repeated) if written else repeated, [key, "__part"], how).drop("__part")

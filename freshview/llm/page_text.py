@@ -370,7 +370,7 @@ def extract_pages(pages: DataFrame, min_pages: int = MIN_PAGES, min_share: float
     """Per row of pages (page_id, url, html): page_id, url, text, n_chars, n_template."""
     src = with_host(pages.select("page_id", "url", F.col("html").cast("string").alias("html")))
     templates = materialise(site_templates(src, min_pages, min_share))
-    joined = salted_join(src, templates, "host", ["page_id", "url"], hot_keys(src, "host"), "left").select("page_id", "url", "html", "template")
+    joined = salted_join(src, templates, "host", ["page_id", "url"], hot_keys(src, "host"), "left", written=True).select("page_id", "url", "html", "template")
 
     def run(batches):
         for batch in slices(batches):
