@@ -131,13 +131,14 @@ def _quantiles(df: DataFrame, *by: str) -> DataFrame:
 
 def z_sweep(spark: SparkSession, sf_dir: str, zs: tuple[float, ...] = (1, 2, 3, 4), cap: int = 100, m: float = RATIO, names: tuple[str, ...] = tuple(VIEWS), salts: int = 20) -> DataFrame:
     """75 % quantile of the errors over salts and random queries, by view and skew."""
-    out = None
+    out, kind = [], ""
     for name in names:
         for z in zs:
-            rows = _quantiles(errors(state(spark, sf_dir, name, z, m), (cap,), salts), "cap").drop("cap")
-            rows = rows.select(F.lit(name).alias("view"), F.lit(float(z)).alias("z"), "*").coalesce(1)
-            out = rows if out is None else out.unionByName(rows)
-    return out
+            # one row a view and skew; a job each, since a union of all would be one plan of hundreds of exchanges
+            row = _quantiles(errors(state(spark, sf_dir, name, z, m), (cap,), salts), "cap").drop("cap")
+            out += [(name, float(z), *r) for r in row.collect()]
+            kind = ", ".join(f"{c} double" for c in row.columns)
+    return spark.createDataFrame(out, f"view string, z double, {kind}")
 
 
 def size_sweep(spark: SparkSession, sf_dir: str, caps: tuple[int, ...] = (0, 10, 100, 1000), z: float = 4, m: float = RATIO, name: str = "v3", salts: int = 20) -> DataFrame:
