@@ -362,14 +362,22 @@ def _o14(spark, d):
     return _rounded(outliers.correction_with_outliers(s.stale, s.stale_s, s.fresh_s, outlier_sweep.outlier_rows(s, 100), AggQuery("sum", "rev"), M, s.view.keys), 1)
 
 
-@_add("o16_interval_with_outliers")
+@_add(
+    "o16_interval_with_outliers",
+    _Z
+    + """, d as (select l_orderkey, coalesce(cast(f.rev as double), 0) / 0.1 - coalesce(cast(s.rev as double), 0) / 0.1 as y from f full join s using (l_orderkey)),
+ e as (select cast((select sum(rev) from stale) as double) + (cast((select sum(rev) from f) as double) - cast((select sum(rev) from s) as double)) * 10 + cast((select sum(rev) from o) as double) - cast((select sum(rev) from stale where l_orderkey in (select l_orderkey from o)) as double) as estimate,
+ (select 1.96 * sqrt(0.9 * sum(y * y)) from d) as half_width)
+ select round(estimate, 1) as estimate, round(half_width, 1) as half_width, round(estimate - half_width, 1) as low, round(estimate + half_width, 1) as high from e""",
+)
 def _o16(spark, d):
     s = outlier_sweep.build(spark, d, 4)
     return _rounded(outliers.interval_with_outliers(s.stale, s.stale_s, s.fresh_s, outlier_sweep.outlier_rows(s, 100), AggQuery("sum", "rev"), M, s.view.keys), 1)
 
 
-_add("o17_size_sweep")(outlier_sweep.size_sweep)
-_add("w3_outlier_z_sweep")(outlier_sweep.z_sweep)
+_SWEEP = (O.LINE, lambda key, salt: f"substr(md5({salt} || '|' || {key}), 1, 8) < '{O.M}'")
+_add("o17_size_sweep", outlier_sweep.errors_sql(*_SWEEP, ("v3",), (4,), (0, 10, 100, 1000), "cap", O.INS))(outlier_sweep.size_sweep)
+_add("w3_outlier_z_sweep", outlier_sweep.errors_sql(*_SWEEP, outlier_sweep.VIEWS, (1, 2, 3, 4), (100,), "view, z", O.INS))(outlier_sweep.z_sweep)
 _add("w3_outlier_times")(outlier_sweep.size_times)
 
 

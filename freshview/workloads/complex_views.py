@@ -181,18 +181,18 @@ def _sampler(name: str):
 QUERIES = {f"{name}_sample": _sampler(name) for name in ("v3", "v4", "v5", "v9", "v10", "v13", "v13_histogram", "v15", "v18", "v21", "v22")}
 
 _SALES = "lineitem join orders on l_orderkey = o_orderkey"
-_REV = f"cast(sum({REV}) as double) as rev, count(*) as n"
+SUMMED = f"cast(sum({REV}) as double) as rev, count(*) as n"
 _LATE = LATE.replace("90 days", "90 day")
 #: DuckDB: each view (``{also}`` takes a further condition on rows, ``{where}`` one where there is none yet), and its key as text.
 VIEW_SQL = {
-    "v3": (f"select o_orderkey, {_REV} from {_SALES} join customer on o_custkey = c_custkey where c_mktsegment = 'BUILDING' and o_orderdate < '{ORDER_DATE}' and l_shipdate > '{ORDER_DATE}' {{also}} group by 1", "o_orderkey"),
+    "v3": (f"select o_orderkey, {SUMMED} from {_SALES} join customer on o_custkey = c_custkey where c_mktsegment = 'BUILDING' and o_orderdate < '{ORDER_DATE}' and l_shipdate > '{ORDER_DATE}' {{also}} group by 1", "o_orderkey"),
     "v4": (f"select o_orderkey, o_orderpriority from orders where o_orderkey in (select l_orderkey from {_SALES} where {_LATE}) {{also}}", "o_orderkey"),
-    "v5": (f"select o_custkey, c_nationkey, {_REV} from {_SALES} join customer on o_custkey = c_custkey join supplier on l_suppkey = s_suppkey where s_nationkey = c_nationkey {{also}} group by 1, 2", "o_custkey || '|' || c_nationkey"),
-    "v9": (f"select l_partkey, cast(year(o_orderdate) as int) as o_year, {_REV} from {_SALES} {{where}} group by 1, 2", "l_partkey || '|' || year(o_orderdate)"),
-    "v10": (f"select o_custkey, {_REV} from {_SALES} where l_returnflag = 'R' and o_orderdate >= '1996-01-01' and o_orderdate < '1997-01-01' {{also}} group by 1", "o_custkey"),
+    "v5": (f"select o_custkey, c_nationkey, {SUMMED} from {_SALES} join customer on o_custkey = c_custkey join supplier on l_suppkey = s_suppkey where s_nationkey = c_nationkey {{also}} group by 1, 2", "o_custkey || '|' || c_nationkey"),
+    "v9": (f"select l_partkey, cast(year(o_orderdate) as int) as o_year, {SUMMED} from {_SALES} {{where}} group by 1, 2", "l_partkey || '|' || year(o_orderdate)"),
+    "v10": (f"select o_custkey, {SUMMED} from {_SALES} where l_returnflag = 'R' and o_orderdate >= '1996-01-01' and o_orderdate < '1997-01-01' {{also}} group by 1", "o_custkey"),
     "v13": ("select c_custkey, count(o_orderkey) as n_orders from customer left join orders on c_custkey = o_custkey {where} group by 1", "c_custkey"),
     "v13_histogram": ("select n_orders, count(*) as n from (select c_custkey, count(o_orderkey) as n_orders from customer left join orders on c_custkey = o_custkey group by 1) {where} group by 1", "n_orders"),
-    "v15": (f"select l_suppkey, strftime(l_shipdate, '%Y-%m') as ship_month, {_REV} from lineitem {{where}} group by 1, 2", "l_suppkey || '|' || strftime(l_shipdate, '%Y-%m')"),
+    "v15": (f"select l_suppkey, strftime(l_shipdate, '%Y-%m') as ship_month, {SUMMED} from lineitem {{where}} group by 1, 2", "l_suppkey || '|' || strftime(l_shipdate, '%Y-%m')"),
     "v18": ("select l_orderkey, sum(l_quantity) as qty from lineitem {where} group by 1 having sum(l_quantity) > 200", "l_orderkey"),
     "v21": (f"select l_suppkey, count(*) as n from {_SALES} where o_orderstatus = 'F' and {_LATE} and l_orderkey in (select l_orderkey from lineitem group by 1 having count(distinct l_suppkey) > 1) {{also}} group by 1", "l_suppkey"),
     "v22": ("select substr(c_name, 17, 2) as code, count(*) as n from customer where c_custkey not in (select o_custkey from orders where o_orderdate >= '1999-01-01') {also} group by 1", "substr(c_name, 17, 2)"),
