@@ -525,7 +525,7 @@ def _total(spark, d):
 
 _add("w7_throughput")(minibatch.throughput)
 _add("w7_period_errors")(minibatch.period_errors)
-_add("w7_smallest_batch")(lambda s, d: minibatch.smallest_batch(minibatch.throughput(s, d, views=("l3",)), 100.0))
+_add("w7_smallest_batch")(lambda s, d: minibatch.smallest_batch(minibatch.throughput(s, d)))
 _add("w7_cpu_utilisation")(minibatch.utilisation)
 _add("skew_popular_parts", f"with {O.LINE} select cast(floor(2000 * power((cast('0x' || substr(md5('z|' || l_orderkey || '|' || l_seq), 1, 8) as bigint) + 1) / 4294967296.0, 2)) as bigint) as part, count(*) as n from line group by 1")(
     lambda s, d: T.lines(s, d).select(skew.popular(2000, skew.unit(["l_orderkey", "l_seq"]), 2).alias("part")).groupBy("part").agg(F.count(F.lit(1)).alias("n"))
