@@ -10,6 +10,8 @@ from __future__ import annotations
 
 import math
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -44,6 +46,30 @@ def replicate(sample: DataFrame, key: tuple[str, ...], replicates: int, seed: st
     return drawn.withColumn("w", poisson_weight(F.concat_ws("|", F.lit(seed + side), F.col("b").cast("string"), F.col("__key")))).filter("w > 0").drop("__key")
 
 
+def percentile_udaf(p: float):
+    """A grouped-aggregate Pandas function of value and weight, equal to ``percentile`` with a frequency.
+
+    For measures that Spark has no weighted form of; one replicate's sampled rows must fit a
+    Python worker, which the built-in aggregate does not ask.
+    """
+
+    @F.pandas_udf("double")
+    def weighted(v: pd.Series, w: pd.Series) -> float:
+        kept = v.notna() & w.notna()
+        drawn = np.repeat(v[kept].to_numpy("float64"), w[kept].to_numpy("int64"))
+        return float(np.percentile(drawn, 100 * p)) if drawn.size else None
+
+    return weighted
+
+
+def direct_replicates_udaf(fresh_s: DataFrame, q: AggQuery, key: tuple[str, ...], replicates: int = REPLICATES, seed: str = "b1") -> DataFrame:
+    """Replicates of a median or percentile by the Pandas aggregate."""
+    if q.agg not in ("median", "percentile"):
+        raise UnsupportedEstimate(q.agg)
+    rows = replicate(fresh_s, key, replicates, seed).filter(F.expr(q.cond))
+    return rows.groupBy("b").agg(percentile_udaf(0.5 if q.agg == "median" else q.p)(F.expr(q.attr).cast("double"), F.col("w")).alias("v"))
+
+
 def _weighted(q: AggQuery, m: float, cond: str) -> Column:
     hit = F.coalesce(F.expr(cond), F.lit(False))
     attr = F.expr(q.attr).cast("double")

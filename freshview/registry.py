@@ -95,7 +95,7 @@ def _k11b(spark, d):
     return staleness.staleness_profile(whole(c.old["lineitem"], c.old["orders"]), whole(c.new("lineitem"), c.new("orders")), ("l_orderkey",)).select("class", "n")
 
 
-@_add("k12_is_stale")
+@_add("k12_is_stale", f"with {O.SPLIT} select count(*) filter (where dh < '{O.INS}' or dh >= '{O.DEL}') > 0 as changed, count(*) filter (where dh < '00000000') > 0 as unchanged from split")
 def _k12(spark, d):
     return spark.createDataFrame([(demand.changes(spark, d).is_stale(), demand.changes(spark, d, 0.0, 0.0).is_stale())], "changed boolean, unchanged boolean")
 
@@ -313,12 +313,26 @@ def _i11(spark, d):
     return _rounded(bootstrap.bootstrap_correction(s.stale, s.stale_s, s.fresh_s, demand.QUERIES["sum"], M, KEY, 40).select("low", "high", "replicates"), 0)
 
 
-@_add("i11_bootstrap_median")
+def _medians(side: str, seed: str = "b1") -> str:
+    return f"(select b, quantile_cont(cast(v as double), 0.5) as x from {_boot(side, seed, bootstrap.REPLICATES)}, unnest(range(w)) group by b)"
+
+
+def _median_drift(form: str, fresh_seed: str, stale_seed: str) -> str:
+    return f"""select round(was + f - s, 4) as estimate, round(was + quantile_cont(d, 0.025), 4) as low, round(was + quantile_cont(d, 0.975), 4) as high, count(d) as replicates, '{form}' as form
+ from (select f.x - s.x as d from {_medians('fresh_s', fresh_seed)} f join {_medians('stale_s', stale_seed)} s using (b)), (select (select median(cast(v as double)) from stale) as was, (select median(cast(v as double)) from fresh_s) as f, (select median(cast(v as double)) from stale_s) as s) group by was, f, s"""
+
+
+@_add("s41_bootstrap_udaf", O.demand() + f" select b, round(x, 4) as v from {_medians('fresh_s')}")
+def _s41(spark, d):
+    return _rounded(bootstrap.direct_replicates_udaf(_demand(spark, d).fresh_s, demand.QUERIES["median"], KEY).select(F.col("b").cast("bigint"), "v"))
+
+
+@_add("i11_bootstrap_median", O.demand() + " " + _median_drift("paired", "b1", "b1") + " union all " + _median_drift("unpaired", "b1f", "b1s"))
 def _i11m(spark, d):
     s = _demand(spark, d)
     q = demand.QUERIES["median"]
     paired = bootstrap.bootstrap_correction(s.stale, s.stale_s, s.fresh_s, q, M, KEY).withColumn("form", F.lit("paired"))
-    return paired.unionByName(bootstrap.bootstrap_correction(s.stale, s.stale_s, s.fresh_s, q, M, KEY, paired=False).withColumn("form", F.lit("unpaired")))
+    return _rounded(paired.unionByName(bootstrap.bootstrap_correction(s.stale, s.stale_s, s.fresh_s, q, M, KEY, paired=False).withColumn("form", F.lit("unpaired"))))
 
 
 @_add("i13_coverage", O.demand(False) + f""", p as (select coalesce(f.l_partkey, s.l_partkey) as k, coalesce(cast(f.v as double), 0) as f, coalesce(cast(s.v as double), 0) as s from fresh f full join stale s on f.l_partkey = s.l_partkey),

@@ -152,3 +152,15 @@ def test_metrics(spark):
     df = spark.createDataFrame([(10.0, 8.0, 9.0, 10.0), (0.0, 1.0, 1.0, 1.0), (-4.0, -5.0, -4.0, -4.0)], "truth double, stale double, direct double, correction double")
     rows = {r.method: r for r in metrics.error_summary(metrics.with_errors(df)).collect()}
     assert rows["stale"].worst == 0.25 and rows["stale"].n == 2 and abs(rows["stale"].median - 0.225) < 1e-12
+
+
+def test_udaf_bootstrap_equals_built_in(state):
+    q = AggQuery("percentile", "v", "n > 1", p=0.9)
+    one = {r.b: r.v for r in bootstrap.direct_replicates_udaf(state.fresh_s, q, KEY, 8).collect()}
+    two = {r.b: r.v for r in bootstrap.direct_replicates(state.fresh_s, q, 0.1, KEY, 8).collect()}
+    assert one.keys() == two.keys() and all(abs(one[b] - two[b]) < 1e-6 for b in one)
+
+
+def test_set_helps_more_with_size_and_skew(spark):
+    r = {x.cap: x for x in outlier_sweep.size_sweep(spark, D, (0, 20, 100), salts=6).collect()}
+    assert r[0].gain_direct in (1.0, None) and r[100].q75_direct_out <= r[20].q75_direct_out <= r[0].q75_direct_out
