@@ -24,7 +24,7 @@ def late_broadcast(spark):
     spark.conf.unset("spark.sql.adaptive.autoBroadcastJoinThreshold")
 
 
-@pytest.mark.parametrize("name", ["o13_direct_with_outliers", "o14_correction_with_outliers"])
+@pytest.mark.parametrize("name", ["o13_direct_with_outliers", "o14_correction_with_outliers", "o16_interval_with_outliers"])
 def test_outlier_queries_survive_a_late_broadcast(spark, late_broadcast, name):
     got = registry.queries()[name](spark, D).first()
     cursor = duck().execute(registry.oracle_sql()[name])
