@@ -3,6 +3,7 @@
 import duckdb
 import pytest
 from freshview import registry
+from freshview.workloads import join_view
 
 D = "/root/testdata/sf0.001"
 
@@ -30,3 +31,14 @@ def test_outlier_queries_survive_a_late_broadcast(spark, late_broadcast, name):
     cursor = duck().execute(registry.oracle_sql()[name])
     want = dict(zip([c[0] for c in cursor.description], cursor.fetchone()))
     assert {c: round(got[c], 1) for c in got.asDict()} == {c: round(v, 1) for c, v in want.items()}
+
+
+def scans(df, table: str) -> int:
+    plan = df._jdf.queryExecution().optimizedPlan().toString()
+    return plan.count({"lineitem": "l_extendedprice#", "orders": "o_orderpriority#"}[table]) and sum("Relation [" in line and table[0] + "_orderkey#" in line for line in plan.splitlines())
+
+
+def test_sweep_reads_the_lines_once(spark):
+    """Once for every change size and frame before, so the disk held a shuffle of all lines for each."""
+    df = join_view.delta_sweep(spark, D)
+    assert scans(df, "lineitem") == 1 and df.count() == 7
