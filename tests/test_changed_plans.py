@@ -3,6 +3,7 @@
 import duckdb
 import pytest
 from freshview import registry
+from freshview.operators.estimate import answers_many
 from freshview.workloads import join_view
 
 D = "/root/testdata/sf0.001"
@@ -42,3 +43,15 @@ def test_sweep_reads_the_lines_once(spark):
     """Once for every change size and frame before, so the disk held a shuffle of all lines for each."""
     df = join_view.delta_sweep(spark, D)
     assert scans(df, "lineitem") == 1 and df.count() == 7
+
+
+def test_accuracy_reads_the_lines_once_and_answers_as_refreshed_frames_do(spark):
+    assert scans(join_view.accuracy(spark, D), "lineitem") == 1
+    table = spark.createDataFrame(join_view.draws(0, 3), join_view.DRAW)
+    columns = {c: c for c in table.columns}
+    kind = lambda rows: {(r.draw, r.query_id, r.group_key): [None if v is None else round(v, 4) for v in (r.truth, r.stale, r.direct, r.correction)] for r in rows.collect()}
+    want = {}
+    for sample_on, names in (("full", [x for x in join_view.TEMPLATES if x != "j18"]), ("prefix", ["j18"])):
+        f = {k: join_view.with_helpers(join_view.wide(df, spark, D), sample_on == "prefix") for k, df in join_view.frames(spark, D, sample_on=sample_on).items()}
+        want |= kind(answers_many(f["stale"], f["fresh"], f["stale_s"], f["fresh_s"], [(x, join_view.query(x, columns)) for x in names], 0.1, table))
+    assert kind(join_view.run(spark, D, n=3)) == want and {q for _, q, _ in want} == set(join_view.TEMPLATES)
