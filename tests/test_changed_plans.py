@@ -1,5 +1,8 @@
 """Plans that change at run time, flags instead of frames, scratch folders, and queries that must read their tables."""
 
+from concurrent.futures import ThreadPoolExecutor
+from pathlib import Path
+
 import duckdb
 import pytest
 from freshview import registry
@@ -55,3 +58,14 @@ def test_accuracy_reads_the_lines_once_and_answers_as_refreshed_frames_do(spark)
         f = {k: join_view.with_helpers(join_view.wide(df, spark, D), sample_on == "prefix") for k, df in join_view.frames(spark, D, sample_on=sample_on).items()}
         want |= kind(answers_many(f["stale"], f["fresh"], f["stale_s"], f["fresh_s"], [(x, join_view.query(x, columns)) for x in names], 0.1, table))
     assert kind(join_view.run(spark, D, n=3)) == want and {q for _, q, _ in want} == set(join_view.TEMPLATES)
+
+
+@pytest.mark.parametrize("name", ["w1_time_by_ratio"])
+def test_timing_queries_run_beside_each_other(spark, tmp_path, name):
+    """A folder that a second run shares was emptied under the first one."""
+    before = set(spark.sparkContext._jsc.getPersistentRDDs().keySet())
+    with ThreadPoolExecutor(2) as pool:
+        runs = [pool.submit(registry.queries()[n], spark, D) for n in (name, name.replace("ratio", "change"))]
+        assert [r.result().count() for r in runs] == [4, 3]
+    store = Path(spark.conf.get("spark.sql.warehouse.dir").removeprefix("file:")) / "freshview_timing"
+    assert not list(store.glob("*-*")) and set(spark.sparkContext._jsc.getPersistentRDDs().keySet()) <= before
