@@ -60,7 +60,7 @@ def test_accuracy_reads_the_lines_once_and_answers_as_refreshed_frames_do(spark)
     assert kind(join_view.run(spark, D, n=3)) == want and {q for _, q, _ in want} == set(join_view.TEMPLATES)
 
 
-@pytest.mark.parametrize("name", ["w1_time_by_ratio"])
+@pytest.mark.parametrize("name", ["w1_time_by_ratio", "w4_time_by_ratio"])
 def test_timing_queries_run_beside_each_other(spark, tmp_path, name):
     """A folder that a second run shares was emptied under the first one."""
     before = set(spark.sparkContext._jsc.getPersistentRDDs().keySet())
