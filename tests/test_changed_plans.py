@@ -6,8 +6,8 @@ from pathlib import Path
 import duckdb
 import pytest
 from freshview import registry
-from freshview.operators.estimate import answers_many
-from freshview.workloads import join_view
+from freshview.operators.estimate import AggQuery, answers_many
+from freshview.workloads import complex_views, join_view
 
 D = "/root/testdata/sf0.001"
 
@@ -69,3 +69,15 @@ def test_timing_queries_run_beside_each_other(spark, tmp_path, name):
         assert [r.result().count() for r in runs] == [4, 3]
     store = Path(spark.conf.get("spark.sql.warehouse.dir").removeprefix("file:")) / "freshview_timing"
     assert not list(store.glob("*-*")) and set(spark.sparkContext._jsc.getPersistentRDDs().keySet()) <= before
+
+
+def test_complex_views_are_answered_from_one_read_as_their_refreshed_frames_are(spark):
+    """Four frames of each view were built apart, each with its own joins."""
+    assert scans(complex_views.run(spark, D, "v10"), "lineitem") == 1
+    kind = lambda df: {(r.draw, r.query_id): [None if v is None else round(v, 4) for v in (r.truth, r.stale, r.direct, r.correction)] for r in df.collect()}
+    draws = spark.createDataFrame(complex_views.predicates(4), "draw int, low string, high string")
+    for name in ("v4", "v5", "v13", "v18"):
+        digits = f"substr(md5('q|' || cast({complex_views.key_of(name)[0]} as string)), 1, 2)"
+        asked = [(agg, AggQuery(agg, complex_views.MEASURES[name], f"{digits} >= low and {digits} < high")) for agg in ("sum", "avg", "count")]
+        f = complex_views.frames(spark, D, name)
+        assert kind(complex_views.run(spark, D, name, n=4)) == kind(answers_many(f["stale"], f["fresh"], f["stale_s"], f["fresh_s"], asked, 0.1, draws)), name
