@@ -81,3 +81,12 @@ def test_complex_views_are_answered_from_one_read_as_their_refreshed_frames_are(
         asked = [(agg, AggQuery(agg, complex_views.MEASURES[name], f"{digits} >= low and {digits} < high")) for agg in ("sum", "avg", "count")]
         f = complex_views.frames(spark, D, name)
         assert kind(complex_views.run(spark, D, name, n=4)) == kind(answers_many(f["stale"], f["fresh"], f["stale_s"], f["fresh_s"], asked, 0.1, draws)), name
+
+
+def test_key_rules_read_their_tables(spark):
+    df = registry.queries()["k2_key_rules"](spark, D)
+    assert "Relation" in df._jdf.queryExecution().optimizedPlan().toString()
+    cursor = duck().execute(registry.oracle_sql()["k2_key_rules"])
+    assert [c[0] for c in cursor.description] == df.columns
+    rows = sorted(map(tuple, df.collect()))
+    assert rows == sorted(cursor.fetchall()) and all(n == keys for *_, n, keys in rows)
