@@ -90,3 +90,11 @@ def test_key_rules_read_their_tables(spark):
     assert [c[0] for c in cursor.description] == df.columns
     rows = sorted(map(tuple, df.collect()))
     assert rows == sorted(cursor.fetchall()) and all(n == keys for *_, n, keys in rows)
+
+
+def test_verdicts_read_their_tables(spark):
+    rows = {r.view: r for r in complex_views.verdicts(spark, D).collect()}
+    lines, orders, customers = (spark.read.parquet(f"{D}/{t}.parquet").count() for t in ("lineitem", "orders", "customer"))
+    assert rows["v3"].rows == lines + orders + customers and rows["v3"].kept < rows["v3"].rows
+    assert rows["v9"].outcome == "blocked" and rows["v9"].kept == rows["v9"].rows == lines + orders
+    assert rows["v1"].rows is None and len(rows) == 23
