@@ -164,3 +164,11 @@ def test_udaf_bootstrap_equals_built_in(state):
 def test_set_helps_more_with_size_and_skew(spark):
     r = {x.cap: x for x in outlier_sweep.size_sweep(spark, D, (0, 20, 100), salts=6).collect()}
     assert r[0].gain_direct in (1.0, None) and r[100].q75_direct_out <= r[20].q75_direct_out <= r[0].q75_direct_out
+
+
+def test_outlier_correction_sums_exact_amounts(spark):
+    """Summed as doubles row by row, the small amounts were lost beside the large ones."""
+    frame = lambda *xs: spark.createDataFrame([(i, x) for i, x in enumerate(xs)], "id long, x string").select("id", F.col("x").cast("decimal(34,2)").alias("x")).coalesce(1)
+    stale, fresh = frame("5.00"), frame("0.00", "9007199254740992.00", "1.00", "1.00", "-9007199254740992.00", "7.00")
+    got = outliers.correction_with_outliers(stale, stale, fresh, fresh.filter("id = 5"), AggQuery("sum", "x"), 1.0, ("id",)).first()[0]
+    assert got == 9.0
