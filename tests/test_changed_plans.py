@@ -98,3 +98,26 @@ def test_verdicts_read_their_tables(spark):
     assert rows["v3"].rows == lines + orders + customers and rows["v3"].kept < rows["v3"].rows
     assert rows["v9"].outcome == "blocked" and rows["v9"].kept == rows["v9"].rows == lines + orders
     assert rows["v1"].rows is None and len(rows) == 23
+
+
+def test_accuracy_compiles_every_method(spark):
+    """The JVM interprets methods of more than 8000 bytecodes; the one that made a line's cells had far more."""
+    spark.conf.set("spark.sql.adaptive.enabled", "false")
+    try:
+        code = join_view.accuracy(spark, D)._jdf.queryExecution().debug().codegenToSeq()
+        sizes = [code.apply(i)._3().maxMethodCodeSize() for i in range(code.size())]
+    finally:
+        spark.conf.unset("spark.sql.adaptive.enabled")
+    assert sizes and max(sizes) < 8000
+
+
+def test_accuracy_numbers_lines_without_part_or_supplier(spark, tmp_path):
+    """They count in a line's number, as in the SQL, and nowhere else."""
+    for t in registry.T.KEYS:
+        df = spark.read.parquet(f"{D}/{t}.parquet")
+        df.filter({"part": "p_partkey % 7 <> 1", "supplier": "s_suppkey <> 2", "customer": "c_custkey % 9 <> 1"}.get(t, "true")).write.parquet(f"{tmp_path}/{t}.parquet")
+    con = duckdb.connect()
+    for t in registry.T.KEYS:
+        con.execute(f"create view {t} as select * from '{tmp_path}/{t}.parquet/*.parquet'")
+    got = registry.queries()["w1_accuracy"](spark, str(tmp_path)).collect()
+    assert sorted(map(tuple, got)) == sorted(con.execute(registry.oracle_sql()["w1_accuracy"]).fetchall())
