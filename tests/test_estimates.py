@@ -172,3 +172,10 @@ def test_outlier_correction_sums_exact_amounts(spark):
     stale, fresh = frame("5.00"), frame("0.00", "9007199254740992.00", "1.00", "1.00", "-9007199254740992.00", "7.00")
     got = outliers.correction_with_outliers(stale, stale, fresh, fresh.filter("id = 5"), AggQuery("sum", "x"), 1.0, ("id",)).first()[0]
     assert got == 9.0
+
+
+def test_outlier_interval_lies_around_the_exact_correction(spark):
+    frame = lambda *xs: spark.createDataFrame([(i, x) for i, x in enumerate(xs)], "id long, x string").select("id", F.col("x").cast("decimal(34,2)").alias("x")).coalesce(1)
+    stale, fresh = frame("5.00"), frame("0.00", "9007199254740992.00", "1.00", "1.00", "-9007199254740992.00", "7.00")
+    got = outliers.interval_with_outliers(stale, stale, fresh, fresh.filter("id = 5"), AggQuery("sum", "x"), 1.0, ("id",)).first()
+    assert tuple(got) == (9.0, 0.0, 9.0, 9.0)
