@@ -6,6 +6,7 @@ from pathlib import Path
 import duckdb
 import pytest
 from freshview import registry
+from freshview.operators import outliers
 from freshview.operators.estimate import AggQuery, answers_many
 from freshview.workloads import complex_views, join_view
 
@@ -42,6 +43,35 @@ def scans(df, table: str) -> int:
     return plan.count({"lineitem": "l_extendedprice#", "orders": "o_orderpriority#"}[table]) and sum("Relation [" in line and table[0] + "_orderkey#" in line for line in plan.splitlines())
 
 
+def test_interval_with_outliers_reads_each_frame_once(spark):
+    """Twenty scans of the lines and thirteen joins before, six of them for the set."""
+    df = registry.queries()["o16_interval_with_outliers"](spark, D)
+    assert scans(df, "lineitem") == 6
+    assert df._jdf.queryExecution().optimizedPlan().toString().count("Join ") == 1
+
+
+@pytest.mark.parametrize("q", [AggQuery("sum", "x", "x < 900"), AggQuery("count", "1", "x > 2")])
+def test_interval_with_outliers_equals_sums_by_hand(spark, q):
+    """Keys that come, go or are null in one frame; outliers that are old, new or sampled."""
+    stale = {1: 5.0, 2: 3.0, 3: None, 4: 700.0, 5: 2.0, 6: 8.0}
+    fresh = {1: 6.0, 2: 3.0, 3: 4.0, 4: 800.0, 6: 9.0, 7: 1.0, 8: 950.0, 9: 600.0}
+    kept, out, m = {1, 3, 4, 5, 6, 7, 8}, {4, 8, 9}, 0.5
+    frame = lambda d, ids: spark.createDataFrame([(i, x) for i, x in d.items() if i in ids], "id long, x double")
+    every = set(stale) | set(fresh)
+    got = outliers.interval_with_outliers(frame(stale, every), frame(stale, kept), frame(fresh, kept), frame(fresh, out), q, m, ("id",)).first()
+
+    def amount(d, i):
+        x = d.get(i)
+        if q.agg == "count":
+            return float(x is not None and x > 2)
+        return x if x is not None and x < 900 else 0.0
+
+    drift = {i: (amount(fresh, i) - amount(stale, i)) / m for i in kept - out}
+    want = sum(amount(stale, i) for i in stale) + sum(drift.values()) + sum(amount(fresh, i) - amount(stale, i) for i in out)
+    width = 1.96 * (0.5 * sum(d * d for d in drift.values())) ** 0.5
+    assert tuple(got) == pytest.approx((want, width, want - width, want + width))
+
+
 def test_sweep_reads_the_lines_once(spark):
     """Once for every change size and frame before, so the disk held a shuffle of all lines for each."""
     df = join_view.delta_sweep(spark, D)
